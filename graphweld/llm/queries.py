@@ -6,10 +6,18 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphweld.llm import iso_media, url_rules
+from graphweld.llm import html_mincut, iso_media, mixing, url_rules
 from graphweld.llm.common import table
 
 
+def op1_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_mincut.extract(table(spark, sf_dir, "pages"))
+
+
+def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(table(spark, sf_dir, "documents"))
+
+
 def op6_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return iso_media.store(table(spark, sf_dir, "documents"))
 
@@ -19,7 +27,7 @@ def op9_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op6_media_columns, op9_url_rules]
+    found = [op1_main_text, op2_mix_sources, op6_media_columns, op9_url_rules]
     return {f.__name__: f for f in found}
 
 
