@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphweld.llm import html_mincut, iso_media, mixing, url_rules
+from graphweld.llm import html_mincut, iso_media, license_join, mixing, url_rules
 from graphweld.llm.common import table
 
 
@@ -18,6 +18,10 @@ def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents"))
 
 
+def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_join.scan(table(spark, sf_dir, "documents"))
+
+
 def op6_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return iso_media.store(table(spark, sf_dir, "documents"))
 
@@ -27,7 +31,7 @@ def op9_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_main_text, op2_mix_sources, op6_media_columns, op9_url_rules]
+    found = [op1_main_text, op2_mix_sources, op5_license_scan, op6_media_columns, op9_url_rules]
     return {f.__name__: f for f in found}
 
 
