@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphweld.llm import html_mincut, iso_media, license_join, mixing, simhash_bk, url_rules
+from graphweld.llm import html_mincut, iso_media, license_join, mixing, phrase_fingerprint, simhash_bk, url_rules
 from graphweld.llm.common import table
 
 
@@ -22,6 +22,10 @@ def op3_simhash_bk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_bk.cluster(table(spark, sf_dir, "documents"))
 
 
+def op4_phrase_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return phrase_fingerprint.compare_edited(table(spark, sf_dir, "documents"))
+
+
 def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_join.scan(table(spark, sf_dir, "documents"))
 
@@ -35,7 +39,7 @@ def op9_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_main_text, op2_mix_sources, op3_simhash_bk, op5_license_scan, op6_media_columns, op9_url_rules]
+    found = [op1_main_text, op2_mix_sources, op3_simhash_bk, op4_phrase_fingerprints, op5_license_scan, op6_media_columns, op9_url_rules]
     return {f.__name__: f for f in found}
 
 
