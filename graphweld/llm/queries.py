@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphweld.llm import html_mincut, iso_media, license_join, mixing, phrase_fingerprint, simhash_bk, token_packing, url_rules
+from graphweld.llm import html_mincut, iso_media, license_join, mixing, phrase_fingerprint, simhash_bk, suffix_dedup, token_packing, url_rules
 from graphweld.llm.common import table
 
 
@@ -34,6 +34,10 @@ def op6_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return iso_media.store(table(spark, sf_dir, "documents"))
 
 
+def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.strip(table(spark, sf_dir, "documents"))
+
+
 def op8_pack_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_packing.pack(table(spark, sf_dir, "documents"))
 
@@ -43,7 +47,7 @@ def op9_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_main_text, op2_mix_sources, op3_simhash_bk, op4_phrase_fingerprints, op5_license_scan, op6_media_columns, op8_pack_tokens, op9_url_rules]
+    found = [op1_main_text, op2_mix_sources, op3_simhash_bk, op4_phrase_fingerprints, op5_license_scan, op6_media_columns, op7_suffix_dedup, op8_pack_tokens, op9_url_rules]
     return {f.__name__: f for f in found}
 
 
