@@ -26,10 +26,14 @@ from graphweld.llm.common import WORD, cut, prefix_sums, spread
 SEED = 20
 
 
-def sizes(documents: DataFrame, *keep: str) -> DataFrame:
+def _key():
+    return F.xxhash64(F.lit(SEED), "doc_id", "text")
+
+
+def sizes(documents: DataFrame) -> DataFrame:
     """doc_id, source, size and a hash-random key of every row."""
     size = F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
-    return documents.select("doc_id", "source", *keep, size.alias("size"), F.xxhash64(F.lit(SEED), "doc_id", "text").alias("mix_key"))
+    return documents.select("doc_id", "source", size.alias("size"), _key().alias("mix_key"))
 
 
 def targets(sized: DataFrame, weights=(1, 2, 3), repeats: float = 3.0) -> DataFrame:
@@ -59,14 +63,14 @@ def targets(sized: DataFrame, weights=(1, 2, 3), repeats: float = 3.0) -> DataFr
     return per.select("source", "source_size", "source_rows", F.coalesce(F.least("cap", F.col("level") * F.col("weight")), "cap").alias("target"))
 
 
-def mix(documents: DataFrame, weights=(1, 2, 3), repeats: float = 3.0, keep: tuple[str, ...] = (), whole: bool = False) -> DataFrame:
-    """doc_id, size, source_size, target, taken of every row, and the columns named in ``keep``.
+def mix(documents: DataFrame, weights=(1, 2, 3), repeats: float = 3.0, whole: bool = False) -> DataFrame:
+    """doc_id, mix_key, size, source_size, target, taken of every row.
 
     ``taken`` counts words, repeats included. By default the document at the
     cut gives just the words that are missing; with ``whole`` it is taken if at
     least half of it fits.
     """
-    sized = cut(sizes(documents, *keep))
+    sized = cut(sizes(documents))
     goal = targets(sized, weights, repeats)
     most = goal.agg(F.max("source_rows")).first()[0] or 0
     buckets = spread(most)
@@ -81,7 +85,7 @@ def mix(documents: DataFrame, weights=(1, 2, 3), repeats: float = 3.0, keep: tup
     if whole:
         part = F.when(F.col("left") - F.col("before") >= F.col("size") / 2, F.col("size")).otherwise(0)
     run = run.withColumn("epochs", epochs).withColumn("left", left).withColumn("taken", (F.col("epochs") * F.col("size") + part).cast("long"))
-    return run.select("doc_id", *keep, "size", "source_size", "target", "taken")
+    return run.select("doc_id", "mix_key", "size", "source_size", "target", "taken")
 
 
 #: Sources beyond this number are joined by a shuffle instead of a broadcast.
@@ -90,3 +94,13 @@ BROADCAST_SOURCES = 10_000
 
 def _few(goal: DataFrame) -> bool:
     return goal.limit(BROADCAST_SOURCES + 1).count() <= BROADCAST_SOURCES
+
+
+def mixed_documents(documents: DataFrame, weights=(1, 2, 3), repeats: float = 3.0) -> DataFrame:
+    """The documents of the mixture with all their columns, as often as it takes each; whole documents only."""
+    names = documents.columns
+    taken = mix(documents, weights, repeats, whole=True).filter("taken > 0")
+    times = taken.groupBy("doc_id", "mix_key").agg(F.sum(F.expr("taken div size")).cast("int").alias("_times")).withColumnsRenamed({"doc_id": "_doc", "mix_key": "_key"})
+    rows = documents.withColumn("_mix_key", _key()).join(times, (F.col("doc_id") == F.col("_doc")) & (F.col("_mix_key") == F.col("_key")))
+    rows = rows.dropDuplicates(["doc_id", "_mix_key"])  # repeated rows have their times together
+    return rows.withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*names)

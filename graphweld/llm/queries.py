@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphweld.llm import html_mincut, iso_media, license_join, mixing, phrase_fingerprint, simhash_bk, suffix_dedup, token_packing, url_rules
+from graphweld.llm import html_mincut, iso_media, license_join, mixing, phrase_fingerprint, quality_bayes, simhash_bk, suffix_dedup, token_packing, url_rules
 from graphweld.llm.common import table
 
 
@@ -15,7 +15,7 @@ def op1_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(table(spark, sf_dir, "documents"))
+    return mixing.mix(table(spark, sf_dir, "documents")).drop("mix_key")
 
 
 def op3_simhash_bk(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -46,8 +46,12 @@ def op9_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_rules.judge(table(spark, sf_dir, "pages"))
 
 
+def op10_quality_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_bayes.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_main_text, op2_mix_sources, op3_simhash_bk, op4_phrase_fingerprints, op5_license_scan, op6_media_columns, op7_suffix_dedup, op8_pack_tokens, op9_url_rules]
+    found = [op1_main_text, op2_mix_sources, op3_simhash_bk, op4_phrase_fingerprints, op5_license_scan, op6_media_columns, op7_suffix_dedup, op8_pack_tokens, op9_url_rules, op10_quality_bayes]
     return {f.__name__: f for f in found}
 
 

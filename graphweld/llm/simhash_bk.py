@@ -311,3 +311,11 @@ def cluster(documents: DataFrame, radius: int = RADIUS, shingle: int = SHINGLE)
     least = named.groupBy("label").agg(F.min("first").alias("component_id"))
     named = named.join(least, "label").select("fp", "component_id", "copies")
     return marked.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "copies")
+
+
+def one_of_each(documents: DataFrame, radius: int = RADIUS, shingle: int = SHINGLE) -> DataFrame:
+    """The document with the smallest id of each component, with all its columns; repeated rows stay once."""
+    first = cluster(documents, radius, shingle).filter("doc_id = component_id").select("doc_id").distinct()
+    names = documents.columns
+    kept = documents.withColumn("_text", F.xxhash64("text")).join(first, "doc_id", "left_semi")
+    return kept.dropDuplicates(["doc_id", "_text"]).select(*names)

@@ -117,9 +117,9 @@ def seeds(bodies: list[bytes]) -> tuple[np.ndarray, ...]:
     return tuple(np.concatenate(c) for c in zip(*out, strict=True))
 
 
-def _keyed(documents: DataFrame) -> DataFrame:
+def _keyed(documents: DataFrame, *keep: str) -> DataFrame:
     body = F.coalesce("text", F.lit("")).cast("binary")
-    return documents.select("doc_id", F.xxhash64("doc_id", "text").alias("key"), body.alias("body"))
+    return documents.select("doc_id", *keep, F.xxhash64("doc_id", "text").alias("key"), body.alias("body"))
 
 
 def seed_table(keyed: DataFrame) -> DataFrame:
@@ -162,7 +162,7 @@ def classed(table: DataFrame) -> DataFrame:
 def spans(keyed: DataFrame, asked: DataFrame) -> DataFrame:
     """(h, hot, key, place, span): the bytes of the spans of all ``asked`` seeds."""
     lists = asked.groupBy("key").agg(F.collect_list(F.struct("h", "place", "hot")).alias("seeds"))
-    packed = packed_bodies(keyed)
+    packed = packed_bodies(keyed.select("key", "body"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
@@ -185,16 +185,16 @@ def spans(keyed: DataFrame, asked: DataFrame) -> DataFrame:
 
 
 def packed_bodies(keyed: DataFrame) -> DataFrame:
-    """doc_id, key and the compressed text: what the shuffles by text carry."""
+    """The rows with the compressed text ``z`` for ``body``: what the shuffles by text carry."""
+    kinds = {c: k for c, k in keyed.dtypes if c != "body"}
 
     def make():
         import zstandard
 
         deflate = zstandard.ZstdCompressor(level=3)
-        return lambda part: {"doc_id": part.column("doc_id"), "key": part.column("key"), "z": [deflate.compress(x) for x in part.column("body").to_pylist()]}
+        return lambda part: {c: part.column(c) for c in kinds} | {"z": [deflate.compress(x) for x in part.column("body").to_pylist()]}
 
-    kind = dict(keyed.dtypes)["doc_id"]
-    return map_slices(keyed, "body", make, f"doc_id {kind}, key long, z binary")
+    return map_slices(keyed, "body", make, "".join(f"`{c}` {k}, " for c, k in kinds.items()) + "z binary")
 
 
 def induced(group: np.ndarray, place: np.ndarray, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -375,13 +375,16 @@ def characters(body: bytes, runs: list[tuple[int, int]]) -> list[tuple[int, int]
     return out
 
 
-def strip(documents: DataFrame, with_text: bool = False) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans and the digest of what is left; with_text: also that text, at whole characters."""
-    keyed = _keyed(documents)
+def strip(documents: DataFrame, with_text: bool = False, keep: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans and the digest of what is left, and the columns named in ``keep``.
+
+    with_text: also that text; characters that a run covers in part stay whole.
+    """
+    keyed = _keyed(documents, *keep)
     lists = repeated(keyed).groupBy("key").agg(F.collect_list(F.struct("a", "b")).alias("parts"))
-    joined = packed_bodies(keyed).join(lists, "key", "left").select("doc_id", "z", "parts")
-    kind = dict(documents.dtypes)["doc_id"]
-    schema = f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", text string" * with_text
+    joined = packed_bodies(keyed).join(lists, "key", "left").select("doc_id", *keep, "z", "parts")
+    kinds = dict(documents.dtypes)
+    schema = "".join(f"{c} {kinds[c]}, " for c in ("doc_id", *keep)) + "n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", text string" * with_text
 
     def make():
         import zstandard
@@ -397,7 +400,7 @@ def strip(documents: DataFrame, with_text: bool = False) -> DataFrame:
                 text = kept(body, characters(body, runs)).decode() if with_text else None
                 for k, v in zip(out, (len(body), len(body) - len(rest), len(runs), hashlib.sha256(rest).hexdigest(), text), strict=True):
                     out[k].append(v)
-            return out | {"doc_id": part.column("doc_id")}
+            return out | {c: part.column(c) for c in ("doc_id", *keep)}
 
         return work
 
