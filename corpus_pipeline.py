@@ -16,8 +16,6 @@ from pyspark.sql import functions as F
 from graphweld.llm import mixing, quality_bayes, simhash_bk, suffix_dedup, token_packing
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
-#: Near duplicates in this stage: shingles of five words.
-SHINGLE = 5
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -27,8 +25,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates."""
-    return simhash_bk.one_of_each(docs.select(*COLUMNS), shingle=SHINGLE)
+    """One document of each group of near duplicates: shingles of five words, similarity of about 0.8 and more."""
+    return simhash_bk.one_of_each(docs.select(*COLUMNS))
 
 
 def suffix_strip(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

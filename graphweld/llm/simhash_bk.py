@@ -13,6 +13,11 @@ A shard emits a spanning forest of its links, never all pairs. A shard of over
 ``SHARD`` fingerprints is cut into chunks, and each pair of chunks is a task of
 its own. Components follow from the links by star contraction.
 
+``cluster`` finds exactly the pairs within 4 bits. A similarity of 0.8 over
+shingles changes far more bits, so ``near_groups`` uses 128 bits and a radius
+of 28, and finds its shards under keys of 16 bits in which the least sure bits
+are tried both ways.
+
 Defined results: a null or empty text has fingerprint zero and is linked like
 any other; equal texts, repeated rows included, share fingerprint and
 component; a single row is its own component; no rows give no rows.
@@ -133,108 +138,113 @@ def links_small(values: list[int], radius: int) -> list[tuple[int, int]]:
     return found
 
 
-def links_large(values: np.ndarray, tree: np.ndarray, asking: np.ndarray, radius: int) -> list[tuple[int, int]]:
+def _bits(words: list[np.ndarray], places: np.ndarray, pivot: int) -> np.ndarray:
+    """Hamming distances of ``places`` to ``pivot`` over all words."""
+    return sum(np.bitwise_count(w[places] ^ w[pivot]).astype(np.int64) for w in words)
+
+
+def links_large(words: list[np.ndarray], tree: np.ndarray, asking: np.ndarray, radius: int) -> list[tuple[int, int]]:
     """As links_small for places ``asking`` against a tree of places ``tree``; all questions go down the tree together."""
-    forest = Forest(len(values))
+    forest = Forest(len(words[0]))
     stack = [(tree, asking)]
     while stack:
         own, asked = stack.pop()
         pivot, rest = own[0], own[1:]
-        d = np.bitwise_count(values[asked] ^ values[pivot])
+        d = _bits(words, asked, pivot)
         near = asked[d <= radius]
         if len(near):
             forest.join(int(pivot), near)
         if len(rest):
-            edge = np.bitwise_count(values[rest] ^ values[pivot]).astype(np.int64)
+            edge = _bits(words, rest, pivot)
             order = np.argsort(edge, kind="stable")
             keys, at = np.unique(edge[order], return_index=True)
             for k, child in zip(keys.tolist(), np.split(rest[order], at[1:]), strict=True):
-                follow = asked[np.abs(d.astype(np.int64) - k) <= radius]
+                follow = asked[np.abs(d - k) <= radius]
                 if len(follow):
                     stack.append((child, follow))
     return forest.links
 
 
-def links_of(values: np.ndarray, radius: int) -> list[tuple[int, int]]:
-    if len(values) <= SMALL:
-        return links_small(values.tolist(), radius)
-    every = np.arange(len(values))
-    return links_large(values, every, every, radius)
+def links_of(words: list[np.ndarray], radius: int) -> list[tuple[int, int]]:
+    n = len(words[0])
+    if n <= SMALL:
+        values = words[0].tolist()
+        for w in words[1:]:
+            values = [v << BITS | x for v, x in zip(values, w.tolist(), strict=True)]
+        return links_small(values, radius)
+    every = np.arange(n)
+    return links_large(words, every, every, radius)
 
 
 LINK = pa.schema([("t", pa.int32()), ("key", pa.int64()), ("a", pa.int64()), ("b", pa.int64())])
 
 
-def search_shards(radius: int, shard: int):
-    """mapInArrow over rows (t, key, fp) sorted by them: links of each shard, or (fp, null) for the members of a too large one."""
-
-    def emit(t: int, key: int, values: np.ndarray, large: bool, out: list) -> None:
-        if large:
-            out.append((np.full(len(values), t, np.int32), np.full(len(values), key), values, None))
-        else:
-            pairs = links_of(values.view(np.uint64), radius)
-            if pairs:
-                p = np.array(pairs)
-                out.append((np.full(len(p), t, np.int32), np.full(len(p), key), values[p[:, 0]], values[p[:, 1]]))
+def search_shards(radius: int, shard: int, words: int = 0):
+    """mapInArrow over rows (t, key, id, words ...) sorted by t and key: links (a, b) of each shard, or (id, null) for the members of a too large one.
 
-    def packed(out: list) -> Iterator[pa.RecordBatch]:
-        for t, key, a, b in out:
-            yield pa.RecordBatch.from_arrays([pa.array(t, pa.int32()), pa.array(key, pa.int64()), pa.array(a, pa.int64()), pa.nulls(len(a), pa.int64()) if b is None else pa.array(b, pa.int64())], schema=LINK)
-
-    def joined(out: list) -> Iterator[pa.RecordBatch]:
-        plain = [x for x in out if x[3] is not None]
-        if plain:
-            yield from packed([tuple(np.concatenate(c) for c in zip(*plain, strict=True))])
-        yield from packed([x for x in out if x[3] is None])
+    words: how many columns hold the fingerprint; 0 if the id itself is it.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        t = key = fp = None
-        large = False  # the shard that is open is known to be too large
+        out: list[tuple] = []
+        held: list[np.ndarray] | None = None  # the open shard, unless it is known to be too large
+        mark = None  # of the open shard
+        large = False
+
+        def close() -> None:
+            if held is not None and len(held[2]) > 1:
+                solve([held])
+
+        def whole(columns: list[np.ndarray]) -> None:
+            n = len(columns[2])
+            out.append((columns[0], columns[1], columns[2], np.zeros(n, np.int64), np.ones(n, bool)))
+
+        def solve(shards: list[list[np.ndarray]]) -> None:
+            for columns in shards:
+                if len(columns[2]) > shard:
+                    whole(columns)
+                    continue
+                fingerprint = [c.view(np.uint64) for c in columns[3:]] if words else [columns[2].view(np.uint64)]
+                pairs = links_of(fingerprint, radius)
+                if pairs:
+                    p = np.array(pairs)
+                    n = len(p)
+                    out.append((np.full(n, columns[0][0], np.int32), np.full(n, columns[1][0]), columns[2][p[:, 0]], columns[2][p[:, 1]], np.zeros(n, bool)))
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            if out:
+                t, key, a, b, null = (np.concatenate(c) for c in zip(*out, strict=True))
+                out.clear()
+                yield pa.RecordBatch.from_arrays([pa.array(t, pa.int32()), pa.array(key, pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64(), mask=null)], schema=LINK)
+
         for batch in batches:
             if not len(batch):
                 continue
-            new = [batch.column(k).to_numpy(zero_copy_only=False) for k in range(3)]
-            t, key, fp = new if fp is None else (np.concatenate(x) for x in zip((t, key, fp), new, strict=True))
-            change = np.flatnonzero((t[1:] != t[:-1]) | (key[1:] != key[:-1])) + 1
-            bounds = np.concatenate(([0], change))
-            out: list = []
-            sizes = np.diff(bounds)
-            for i in np.flatnonzero((sizes > 1) | ((np.arange(len(sizes)) == 0) & large)).tolist():
-                a, b = int(bounds[i]), int(bounds[i + 1])
-                emit(int(t[a]), int(key[a]), fp[a:b], (large and i == 0) or b - a > shard, out)
-            last = int(bounds[-1])
-            large = large and last == 0
-            if large or len(fp) - last > shard:
-                emit(int(t[last]), int(key[last]), fp[last:], True, out)
-                large = True
-                t, key, fp = t[last : last + 1], key[last : last + 1], fp[last:last]
-                t, key = t[:0], key[:0]
-                held = (int(new[0][-1]), int(new[1][-1]))
-                yield from joined(out)
-                t = key = fp = None
-                # what follows of this shard is emitted too
-                for later in batches:
-                    cols = [later.column(k).to_numpy(zero_copy_only=False) for k in range(3)]
-                    same = int(np.argmin(np.append((cols[0] == held[0]) & (cols[1] == held[1]), False)))
-                    if same:
-                        out = []
-                        emit(held[0], held[1], cols[2][:same], True, out)
-                        yield from packed(out)
-                    if same < len(later):
-                        t, key, fp = (c[same:] for c in cols)
-                        break
-                large = False
-                continue
-            t, key, fp = t[last:], key[last:], fp[last:]
-            yield from joined(out)
-        if fp is not None and len(fp) > 1:
-            # whole shards may be left after a large one
-            bounds = np.concatenate(([0], np.flatnonzero((t[1:] != t[:-1]) | (key[1:] != key[:-1])) + 1, [len(fp)]))
-            out = []
-            for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
-                if b - a > 1:
-                    emit(int(t[a]), int(key[a]), fp[a:b], b - a > shard, out)
-            yield from joined(out)
+            columns = [batch.column(k).to_numpy(zero_copy_only=False) for k in range(3 + words)]
+            t, key = columns[:2]
+            bounds = [0, *(np.flatnonzero((t[1:] != t[:-1]) | (key[1:] != key[:-1])) + 1).tolist(), len(t)]
+            for a, b in zip(bounds[:-1], bounds[1:], strict=True):
+                last = b == len(t)
+                now = (int(t[a]), int(key[a]))
+                if now != mark:
+                    close()
+                    held, mark, large = None, now, False
+                    if b - a == 1 and not last:
+                        continue
+                elif large:
+                    whole([c[a:b] for c in columns])
+                    continue
+                part = [c[a:b] for c in columns]
+                held = part if held is None else [np.concatenate(x) for x in zip(held, part, strict=True)]
+                if not last:
+                    close()
+                    held = None
+                elif len(held[2]) > shard:
+                    whole(held)
+                    held, large = None, True
+            yield from flush()
+        close()
+        yield from flush()
 
     return run
 
@@ -255,33 +265,40 @@ def near_links(distinct: DataFrame, radius: int = RADIUS, shard: int = SHARD, bl
     """(a, b): links between distinct fingerprints ``fp`` that connect all that are within the radius."""
     blocks = blocks or max(radius + 1, blocks_for(distinct.count()))
     keys = F.array(*[F.struct(F.lit(i).alias("t"), F.col("fp").bitwiseAND(F.lit(m).cast("long")).alias("key")) for i, m in enumerate(masks(blocks, radius))])
-    rows = distinct.select("fp", F.explode(keys).alias("k")).select("k.t", "k.key", "fp")
-    dealt = rows.repartition("t", "key").sortWithinPartitions("t", "key", "fp")
-    found = cut(dealt.mapInArrow(search_shards(radius, shard), "t int, key long, a long, b long"))
+    rows = distinct.select("fp", F.explode(keys).alias("k")).select("k.t", "k.key", F.col("fp").alias("id"))
+    return shard_links(rows, radius, shard)
+
+
+def shard_links(rows: DataFrame, radius: int, shard: int, words: DataFrame | None = None) -> DataFrame:
+    """(a, b): links from all shards. rows: t, key, id and the words of the fingerprint, if these aren't the id; words: these by id."""
+    names = [] if words is None else [c for c in words.columns if c != "id"]
+    dealt = rows.repartition("t", "key").sortWithinPartitions("t", "key", "id")
+    found = cut(dealt.mapInArrow(search_shards(radius, shard, len(names)), "t int, key long, a long, b long"))
     links = found.filter("b IS NOT NULL").select("a", "b").distinct()
-    hot = found.filter("b IS NULL").select("t", "key", F.col("a").alias("fp"))
+    hot = found.filter("b IS NULL").select("t", "key", F.col("a").alias("id"))
     if hot.isEmpty():
         return links
-    return links.unionByName(hot_links(hot, radius, shard))
+    return links.unionByName(hot_links(hot if words is None else hot.join(words, "id"), radius, shard, names or ["id"]))
 
 
-def hot_links(hot: DataFrame, radius: int, shard: int) -> DataFrame:
+def hot_links(hot: DataFrame, radius: int, shard: int, names: list[str]) -> DataFrame:
     """Links within shards larger than a task may hold: one task for each pair of their chunks."""
     chunks = hot.groupBy("t", "key").agg(F.ceil(2 * F.count(F.lit(1)) / shard).cast("int").alias("n"))
-    cells = hot.join(chunks, ["t", "key"]).withColumn("c", F.pmod(F.xxhash64("fp"), F.col("n")).cast("int"))
+    cells = hot.join(chunks, ["t", "key"]).withColumn("c", F.pmod(F.xxhash64("id"), F.col("n")).cast("int"))
     cells = cells.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("n") - 1)))
-    cells = cells.select("t", "key", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), "c", "fp")
+    cells = cells.select("t", "key", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), "c", *dict.fromkeys(["id", *names]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def solve(rows: list[pa.RecordBatch]) -> pa.RecordBatch:
             table = pa.Table.from_batches(rows)
             i, c = table.column("i").to_numpy(), table.column("c").to_numpy()
-            values = table.column("fp").to_numpy()
+            ids = table.column("id").to_numpy()
+            values = [table.column(c).to_numpy().view(np.uint64) for c in names]
             tree = np.flatnonzero(c == i[0])
             other = np.flatnonzero(c == table.column("j").to_numpy())
-            pairs = links_large(values.view(np.uint64), tree, other, radius) if len(tree) and len(other) else []
+            pairs = links_large(values, tree, other, radius) if len(tree) and len(other) else []
             p = np.array(pairs, np.int64).reshape(-1, 2)
-            return pa.RecordBatch.from_arrays([pa.array(values[p[:, 0]]), pa.array(values[p[:, 1]])], names=["a", "b"])
+            return pa.RecordBatch.from_arrays([pa.array(ids[p[:, 0]]), pa.array(ids[p[:, 1]])], names=["a", "b"])
 
         held: list[pa.RecordBatch] = []
         mark = None
@@ -313,9 +330,74 @@ def cluster(documents: DataFrame, radius: int = RADIUS, shingle: int = SHINGLE)
     return marked.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "copies")
 
 
-def one_of_each(documents: DataFrame, radius: int = RADIUS, shingle: int = SHINGLE) -> DataFrame:
-    """The document with the smallest id of each component, with all its columns; repeated rows stay once."""
-    first = cluster(documents, radius, shingle).filter("doc_id = component_id").select("doc_id").distinct()
+# ---------------------------------------------------------------- similarity joins over wider fingerprints
+
+#: Shingle words, bits that may differ of 128 (a similarity of 0.8 differs in 18 on average), key bits, and how many of the least sure bits of a key are tried both ways.
+WIDE_SHINGLE, WIDE_RADIUS, KEY_BITS, UNSURE = 5, 28, 16, 2
+
+
+def wide_fingerprint(text: bytes, shingle: int = WIDE_SHINGLE) -> tuple[int, int, list[int]]:
+    """(high word, low word, keys): 128 majority bits over word shingles, ties by the exclusive or of all hashes.
+
+    keys: of each ``KEY_BITS`` bits, these with all choices for the ``UNSURE``
+    bits whose majority was the closest. Near texts differ in such bits, so
+    they meet under one of the keys.
+    """
+    from xxhash import xxh3_128_digest
+
+    words = text.lower().split()
+    flat = b" ".join(words)
+    ends = np.cumsum([len(w) + 1 for w in words]) if words else np.zeros(0, np.int64)
+    if len(words) <= shingle:
+        parts = [flat]
+    else:
+        parts = [flat[a:b] for a, b in zip(np.concatenate(([0], ends[:-shingle])).tolist(), (ends[shingle - 1 :] - 1).tolist(), strict=True)]
+    ones, n, odd = np.zeros(128, np.int64), len(parts), np.zeros(16, np.uint8)
+    for k in range(0, n, 1 << 13):
+        raw = np.frombuffer(b"".join(map(xxh3_128_digest, parts[k : k + (1 << 13)])), np.uint8).reshape(-1, 16)
+        ones += np.unpackbits(raw, axis=1).sum(0, dtype=np.int64)
+        odd ^= np.bitwise_xor.reduce(raw, axis=0)
+    lead = 2 * ones - n
+    bits = (lead > 0) | ((lead == 0) & np.unpackbits(odd).astype(bool))
+    high, low = np.packbits(bits).view(">u8").tolist()
+    rows = bits.reshape(-1, KEY_BITS)
+    base = rows @ (1 << np.arange(KEY_BITS))
+    close = np.argsort(np.abs(lead).reshape(-1, KEY_BITS), axis=1, kind="stable")[:, :UNSURE]
+    keys = base[:, None]
+    for i in range(UNSURE):
+        keys = np.hstack([keys, keys ^ (1 << close[:, i : i + 1])])
+    return high, low, keys.ravel().tolist()
+
+
+def wide_fingerprints(documents: DataFrame, shingle: int = WIDE_SHINGLE) -> DataFrame:
+    """doc_id, hi, lo, keys of every row."""
+
+    def make():
+        def work(part):
+            rows = [wide_fingerprint(x or b"", shingle) for x in part.column("body").to_pylist()]
+            hi, lo = (np.array([r[k] for r in rows], np.uint64).view(np.int64) for k in (0, 1))
+            return {"doc_id": part.column("doc_id"), "hi": hi, "lo": lo, "keys": [r[2] for r in rows]}
+
+        return work
+
+    return map_slices(documents.select("doc_id", F.col("text").cast("binary").alias("body")), "body", make, "doc_id long, hi long, lo long, keys array<int>")
+
+
+def near_groups(documents: DataFrame, shingle: int = WIDE_SHINGLE, radius: int = WIDE_RADIUS, shard: int = SHARD) -> DataFrame:
+    """doc_id and component_id (smallest doc_id reachable) over links of near texts, for similarities of about 0.8 and more."""
+    marked = cut(wide_fingerprints(documents, shingle))
+    distinct = marked.groupBy("hi", "lo").agg(F.min(F.struct("doc_id", "keys")).alias("m")).select("hi", "lo", F.col("m.doc_id").alias("id"), "m.keys")
+    rows = distinct.select("id", "hi", "lo", F.posexplode("keys").alias("t", "key"))
+    rows = rows.select(F.expr(f"t div {1 << UNSURE}").cast("int").alias("t"), F.col("key").cast("long").alias("key"), "id", "hi", "lo")
+    labels = components(shard_links(rows, radius, shard, distinct.select("id", "hi", "lo")))
+    named = distinct.select("hi", "lo", "id").join(labels.withColumnRenamed("node", "id"), "id", "left")
+    named = named.select("hi", "lo", F.coalesce("label", "id").alias("component_id"))
+    return marked.select("doc_id", "hi", "lo").join(named, ["hi", "lo"]).select("doc_id", "component_id")
+
+
+def one_of_each(documents: DataFrame, shingle: int = WIDE_SHINGLE, radius: int = WIDE_RADIUS) -> DataFrame:
+    """The document with the smallest id of each group of near texts, with all its columns; repeated rows stay once."""
+    first = near_groups(documents, shingle, radius).filter("doc_id = component_id").select("doc_id").distinct()
     names = documents.columns
     kept = documents.withColumn("_text", F.xxhash64("text")).join(first, "doc_id", "left_semi")
     return kept.dropDuplicates(["doc_id", "_text"]).select(*names)
