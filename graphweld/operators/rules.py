@@ -8,8 +8,6 @@ from pyspark.sql import functions as F
 from graphweld.operators import functionality as fun
 from graphweld.operators.facts import is_literal
 
-RANK = [F.desc("m"), F.desc("s_h"), "r", "h", "r2", "h2"]
-
 
 def counterparts(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame | None = None, theta_r: float = 0.1) -> DataFrame:
     """(t, t2, r, h, r2, h2, s_h, s_r): facts whose heads are matched (h, h2, s) and whose relations are similar (r, r2, s_r).
@@ -85,7 +83,7 @@ def entity_scores(a: DataFrame, b: DataFrame, cp: DataFrame, chosen: DataFrame |
     fb = list_functionality(b, lists.select(F.col("b").alias("items")), longest).select(F.col("items").alias("b"), F.col("f_all").alias("f3"), F.col("f_here").alias("f4"))
     rows = lists.join(fa, "a").join(fb, "b")
     parts = ["hm_h", "hm_r"] + ["f1", "f3"] * ("global" in terms) + ["f2", "f4"] * ("local" in terms)
-    rows = rows.withColumn("score", F.least(*parts))
+    rows = rows.withColumn("score", F.round(F.least(*parts), 9))  # so that ties are ties
     why = F.struct("score", (-F.col("n")).alias("shorter"), "a", "b", "hm_h", "hm_r", "f1", "f2", "f3", "f4")
     return rows.groupBy("t", "t2").agg(F.max(why).alias("why")).select("t", "t2", F.col("why.score").alias("score"), "why")
 
@@ -116,8 +114,8 @@ def subrelations(a: DataFrame, b: DataFrame, nodes: DataFrame, alpha: float = 3.
     w = witnesses(a, b, nodes)
     total = a.groupBy("r").agg(F.count(F.lit(1)).alias("total"))
     seen = w.groupBy("r", "r2").agg(F.sum("m").alias("s"), F.count(F.lit(1)).alias("k"), F.min("m").alias("low"))
-    rows = seen.join(F.broadcast(total), "r").withColumn("coverage", F.col("s") / F.col("total"))
-    degree = F.when(F.col("k") == F.col("total"), F.col("low")).otherwise(0.0) if minimum else F.least(F.lit(1.0), F.lit(float(alpha)) * F.col("coverage"))
+    rows = seen.join(F.broadcast(total), "r").withColumn("coverage", F.round(F.col("s") / F.col("total"), 9))
+    degree = F.when(F.col("k") == F.col("total"), F.col("low")).otherwise(0.0) if minimum else F.round(F.least(F.lit(1.0), F.lit(float(alpha)) * F.col("coverage")), 9)
     return rows.select("r", "r2", "coverage", degree.alias("degree"))
 
 

@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 
 from graphweld.operators import facts as fx
 from graphweld.plans.fact_rules import FULL, KINDS, PART, TYPES, FactRule, rules_sql
+from graphweld.plans.lineage import cut
 
 
 @dataclass(frozen=True)
@@ -121,7 +122,7 @@ class Twin:
 
 def twin(spark: SparkSession, sf_dir: str, name: str) -> Twin:
     profile = PROFILES[name]
-    base = fx.base(spark, sf_dir, profile.rules)
+    base = cut(fx.base(spark, sf_dir, profile.rules))
     return Twin(side_facts(base, profile, "A"), side_facts(base, profile, "B"), gold_entities(base, profile), gold_relations(spark, profile))
 
 
