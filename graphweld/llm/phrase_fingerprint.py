@@ -64,8 +64,11 @@ def phrase_starts(symbols: np.ndarray, starts: np.ndarray, rounds: int) -> np.nd
         before[starts] = label[starts] ^ 1  # a text has no left neighbour
         low = _LOWEST[label ^ before]
         label = (low.astype(np.uint16) << 1) | ((label >> low) & 1)
+    after = np.empty_like(label)
+    after[:-1] = label[1:]
+    after[starts[1:] - 1] = after[-1] = 0xFFFF  # nor a right one at its end
     cut = np.zeros(len(label), bool)
-    cut[1:-1] = (label[1:-1] > label[:-2]) & (label[1:-1] >= label[2:])
+    cut[1:] = (label[1:] > label[:-1]) & (label[1:] >= after[1:])
     cut[starts] = True
     return np.flatnonzero(cut)
 
