@@ -25,7 +25,7 @@ def skeleton(text: Column) -> Column:
     return F.regexp_replace(F.lower(text), "[aeiou]", "")
 
 
-ENCODERS: dict[str, Callable[[Column], Column]] = {"ngram": lambda c: c, "skeleton": skeleton}
+ENCODERS: dict[str, Callable[[Column], Column]] = {"ngram": F.lower, "skeleton": skeleton}
 
 
 def vectors(strings: DataFrame, encoder: str = "ngram") -> DataFrame:

@@ -210,7 +210,7 @@ def first_of_maxima(spark, d):
     return fis.first_of_maxima(_combined(spark, d).withColumn("mu", F.round("mu", 9)), "k")
 
 
-_SYSTEM = ([("r1", "fan", "mean", 1.0), ("r2", "crowd", "identity", 1.0), ("r3", "shop", "hmean", 1.0), ("r4", "queue", "alpha_mean", 3.0), ("r5", "queue", "min", 1.0)], [("r1", 0, "heat"), ("r1", 1, "crowd"), ("r2", 0, "fan"), ("r3", 0, "fan"), ("r3", 1, "heat"), ("r4", 0, "shop"), ("r4", 1, "none"), ("r4", 2, "none"), ("r5", 0, "shop"), ("r5", 1, "crowd")], [("heat", 2 / 3, True), ("none", 0.0, True), ("crowd", 0.5, False), ("fan", 0.0, False), ("shop", 0.0, False), ("queue", 0.0, False)])
+_SYSTEM = ([("r1", "fan", "min", 1.0), ("r2", "crowd", "identity", 1.0), ("r3", "shop", "hmean", 1.0), ("r4", "queue", "alpha_mean", 3.0), ("r5", "queue", "min", 1.0)], [("r1", 0, "heat"), ("r1", 1, "crowd"), ("r2", 0, "fan"), ("r3", 0, "fan"), ("r3", 1, "heat"), ("r4", 0, "shop"), ("r4", 1, "none"), ("r4", 2, "none"), ("r5", 0, "shop"), ("r5", 1, "crowd")], [("heat", 2 / 3, True), ("none", 0.0, True), ("crowd", 0.5, False), ("fan", 0.0, False), ("shop", 0.0, False), ("queue", 0.0, False)])
 
 
 def _system(spark):
@@ -218,15 +218,15 @@ def _system(spark):
     return spark.createDataFrame(r, "rule string, conclusion string, agg string, alpha double"), spark.createDataFrame(p, "rule string, pos int, var string"), spark.createDataFrame(v, "var string, floor double, fixed boolean")
 
 
-@query("SELECT var, round(value, 6) AS value FROM (VALUES ('heat', 2.0 / 3), ('none', 0.0), ('crowd', 2.0 / 3), ('fan', 2.0 / 3), ('shop', 2.0 / 3), ('queue', 2.0 / 3)) v(var, value)")
+@query("SELECT var, round(value, 6) AS value FROM (VALUES ('heat', 2.0 / 3), ('none', 0.0), ('crowd', 0.5), ('fan', 0.5), ('shop', 2 / (1.5 + 2)), ('queue', 2 / (1.5 + 2))) v(var, value)")
 def fis_fixed_point_demo(spark, d):
     return fis.solve(*_system(spark), epsilon=1e-8).select("var", *six("value"))
 
 
-_AT_FLOORS = "(VALUES ('r1', 'fan', (2.0 / 3 + 0.5) / 2, 0.0), ('r2', 'crowd', 0.0, 0.5), ('r3', 'shop', 0.0, 0.0), ('r4', 'queue', 0.0, 0.0), ('r5', 'queue', 0.0, 0.0)) s(rule, conclusion, strength, value)"
+_AT_FLOORS = "(VALUES ('r1', 'fan', 0.5, 0.0), ('r2', 'crowd', 0.0, 0.5), ('r3', 'shop', 0.0, 0.0), ('r4', 'queue', 0.0, 0.0), ('r5', 'queue', 0.0, 0.0)) s(rule, conclusion, strength, value)"
 
 
-@query(f"SELECT rule, conclusion, round(strength, 6) AS strength, value FROM {_AT_FLOORS} WHERE strength > value + 1e-9")
+@query(f"SELECT rule, conclusion, round(strength, 6) AS strength, value::DOUBLE AS value FROM {_AT_FLOORS} WHERE strength > value + 1e-9")
 def fis_violations(spark, d):
     r, p, v = _system(spark)
     return fis.violations(r, p, v.withColumn("value", F.col("floor"))).select("rule", "conclusion", *six("strength"), F.col("value").cast("double").alias("value"))

@@ -35,7 +35,7 @@ def grams_sql(text: str) -> str:
     return f"unnest([substr('^' || {text} || '$', i, 3) FOR i IN generate_series(1, greatest(1, length({text})))])"
 
 
-def string_sims(theta: float = 0.7, text: str = "s", left: str = "fa", right: str = "fb") -> str:
+def string_sims(theta: float = 0.7, text: str = "lower(s)", left: str = "fa", right: str = "fb") -> str:
     """CTE sims (s, s2, sim) of strings by 3-gram cosine, before the best are chosen."""
     one = lambda f: f"""SELECT s, g, count(*) * 1.0 AS c FROM (SELECT s, {grams_sql(text)} AS g FROM (SELECT DISTINCT substr(t, 2) AS s FROM {f} WHERE kind = 'string')) GROUP BY s, g"""
     return f"""ga AS ({one(left)}), gb AS ({one(right)}),
@@ -49,7 +49,7 @@ NUMBERS = """nums AS (SELECT DISTINCT x.t AS n, y.t AS n2 FROM (SELECT DISTINCT
   ON y.x BETWEEN least(x.x * (1 - 2e-9), x.x * (1 + 2e-9)) AND greatest(x.x * (1 - 2e-9), x.x * (1 + 2e-9)) AND abs(x.x - y.x) <= 1e-9 * greatest(abs(x.x), abs(y.x)))"""
 
 
-def literal_matches(theta: float = 0.7, text: str = "s") -> str:
+def literal_matches(theta: float = 0.7, text: str = "lower(s)") -> str:
     """CTE lm (h, h2, s): all literal matches of a twin."""
     return f"""{string_sims(theta, text)}, {BEST}, {NUMBERS},
 lm AS MATERIALIZED (SELECT '"' || s AS h, '"' || s2 AS h2, sim AS s FROM best UNION ALL SELECT n, n2, 1.0 FROM nums
