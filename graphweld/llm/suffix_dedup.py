@@ -123,7 +123,13 @@ def _keyed(documents: DataFrame, *keep: str) -> DataFrame:
 
 
 def seed_table(keyed: DataFrame) -> DataFrame:
-    """(h, c, key, place): hash, digest of the span, text, and first window, windows and seed packed into a number."""
+    """(h, c, key, place): hash, digest of the span, text, and first window, windows and seed packed into a number.
+
+    A span that a slice of rows holds more than once is known to be repeated:
+    one row of it goes on to be compared, and all its places are told directly,
+    as rows with a hash of their own and -1 - place. So a passage that is
+    everywhere is a row a slice and not a row a place.
+    """
 
     def make():
         from xxhash import xxh64_intdigest
@@ -133,7 +139,16 @@ def seed_table(keyed: DataFrame) -> DataFrame:
             text, first, last, p, h = seeds(bodies)
             c = np.fromiter((xxh64_intdigest(bodies[i][a:b]) for i, a, b in zip(text.tolist(), first.tolist(), (last + LENGTH).tolist(), strict=True)), np.uint64, len(text))
             key = part.column("key").to_numpy()[text]
-            return {"h": h.view(np.int64), "c": c.view(np.int64), "key": key, "place": first << 16 | (last - first) << 8 | (p - first)}
+            place = first << 16 | (last - first) << 8 | (p - first)
+            _, one, which, times = np.unique(h * np.uint64(0x9E3779B97F4A7C15) ^ c, return_index=True, return_inverse=True, return_counts=True)
+            told = np.flatnonzero(times[which] > 1)
+            own = (key[told].view(np.uint64) ^ (place[told].view(np.uint64) * np.uint64(0xD1342543DE82EF95))) * np.uint64(0x9E3779B97F4A7C15)
+            return {
+                "h": np.concatenate((h[one], own)).view(np.int64),
+                "c": np.concatenate((c[one], np.zeros(len(told), np.uint64))).view(np.int64),
+                "key": np.concatenate((key[one], key[told])),
+                "place": np.concatenate((place[one], -1 - place[told])),
+            }
 
         return work
 
@@ -153,10 +168,11 @@ def classed(table: DataFrame) -> DataFrame:
             "n": F.count(F.lit(1)).over(by),
         }
     )
-    rows = rows.filter("n > 1")
-    whole = F.coalesce(F.col("before") == F.col("c"), F.lit(False)) | F.coalesce(F.col("after") == F.col("c"), F.lit(False))
-    ask = (F.col("low") != F.col("high")) & F.coalesce(F.col("before") != F.col("c"), F.lit(True))
-    return rows.select("h", "key", "place", whole.alias("whole"), ask.alias("ask"), (F.col("n") > SHARD).alias("hot")).filter("whole OR ask")
+    rows = rows.filter("n > 1 OR place < 0")
+    told = F.col("place") < 0
+    whole = told | F.coalesce(F.col("before") == F.col("c"), F.lit(False)) | F.coalesce(F.col("after") == F.col("c"), F.lit(False))
+    ask = ~told & (F.col("low") != F.col("high")) & F.coalesce(F.col("before") != F.col("c"), F.lit(True))
+    return rows.select("h", "key", F.when(told, -1 - F.col("place")).otherwise(F.col("place")).alias("place"), whole.alias("whole"), ask.alias("ask"), (F.col("n") > SHARD).alias("hot")).filter("whole OR ask")
 
 
 def spans(keyed: DataFrame, asked: DataFrame) -> DataFrame:
