@@ -58,8 +58,8 @@ def map_slices(df: DataFrame, column: str, make: Callable[[], Callable[[pa.Recor
     return df.mapInArrow(run, schema)
 
 
-def spread(rows: int, per_bucket: int = 2000) -> int:
-    """A power of two of buckets, so that a bucket of the largest key holds a few thousand rows."""
+def spread(rows: int, per_bucket: int = 200) -> int:
+    """A power of two of buckets, so that a bucket of the largest key holds a few hundred rows."""
     n = 16
     while n * per_bucket < rows and n < 1 << 16:
         n *= 2
