@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from graphweld.operators import functionality as fun
 from graphweld.operators.facts import is_literal
+from graphweld.plans.lineage import cut
 
 
 def counterparts(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame | None = None, theta_r: float = 0.1) -> DataFrame:
@@ -54,22 +55,42 @@ def prefixes(lists: DataFrame, longest: int, minimum: bool = False) -> DataFrame
     return rows.select("t", "t2", "n", side("r", "h").alias("a"), side("r2", "h2").alias("b"), mean("s_h").alias("hm_h"), mean("s_r").alias("hm_r"))
 
 
-def list_functionality(facts: DataFrame, needed: DataFrame, longest: int) -> DataFrame:
-    """(items, f_all, f_here): global and local functionality of the distinct lists in ``needed``; facts closed under inverses."""
+def list_functionality(facts: DataFrame, needed: DataFrame, longest: int, of_relations: DataFrame | None = None, of_heads: DataFrame | None = None) -> DataFrame:
+    """(items, f_all, f_here): global and local functionality of the distinct lists in ``needed``; facts closed under inverses.
+
+    of_relations and of_heads: the values of single relations and heads, if they are known already.
+    """
     items = needed.select("items").distinct()
-    rels = lambda c: F.transform(c, lambda x: x.r)
+    of_relations = fun.of_relations(facts) if of_relations is None else of_relations
+    of_heads = fun.of_heads(facts) if of_heads is None else of_heads
     single = items.filter("size(items) = 1")
-    here = single.select("items", F.col("items")[0]["r"].alias("r"), F.col("items")[0]["h"].alias("h")).join(fun.of_heads(facts).withColumnRenamed("f", "f_here"), ["r", "h"])
-    out = here.join(F.broadcast(fun.of_relations(facts).withColumnRenamed("f", "f_all")), "r").select("items", "f_all", "f_here")
+    here = single.select("items", F.col("items")[0]["r"].alias("r"), F.col("items")[0]["h"].alias("h")).join(of_heads.withColumnRenamed("f", "f_here"), ["r", "h"])
+    out = here.join(F.broadcast(of_relations.withColumnRenamed("f", "f_all")), "r").select("items", "f_all", "f_here")
     if longest > 1:
-        more = items.filter("size(items) > 1").withColumn("rels", rels(F.col("items")))
+        more = items.filter("size(items) > 1").withColumn("rels", F.transform("items", lambda x: x.r))
         everywhere = fun.global_lists(facts, more, longest).withColumnRenamed("f", "f_all")
         local = fun.local_lists(facts, more).withColumnRenamed("f", "f_here")
         out = out.unionByName(more.join(local, "items").join(everywhere, "rels").select("items", "f_all", "f_here"))
     return out
 
 
-def entity_scores(a: DataFrame, b: DataFrame, cp: DataFrame, chosen: DataFrame | None = None, longest: int = 2, minimum: bool = False, terms: tuple[str, ...] = ("global", "local"), lists: DataFrame | None = None) -> DataFrame:
+class ListFunctionality:
+    """Functionality of the lists of one graph; it never changes, so each list is computed once in all rounds."""
+
+    def __init__(self, facts: DataFrame, longest: int) -> None:
+        self.facts, self.longest, self.known = facts, longest, None
+        self.relations, self.heads = cut(fun.of_relations(facts)), cut(fun.of_heads(facts))
+
+    def of(self, needed: DataFrame) -> DataFrame:
+        items = needed.select("items").distinct()
+        fresh = cut(items if self.known is None else items.join(self.known.select("items"), "items", "left_anti"))
+        if self.known is None or not fresh.isEmpty():
+            new = list_functionality(self.facts, fresh, self.longest, self.relations, self.heads)
+            self.known = cut(new if self.known is None else self.known.unionByName(new))
+        return self.known
+
+
+def entity_scores(a: DataFrame, b: DataFrame, cp: DataFrame, chosen: DataFrame | None = None, longest: int = 2, minimum: bool = False, terms: tuple[str, ...] = ("global", "local"), lists: DataFrame | None = None, known: tuple[ListFunctionality, ListFunctionality] | None = None) -> DataFrame:
     """(t, t2, score, why): the strongest list of each pair. a and b are closed under inverses.
 
     The strength of a list is the weakest of the head score, the relation score
@@ -78,9 +99,10 @@ def entity_scores(a: DataFrame, b: DataFrame, cp: DataFrame, chosen: DataFrame |
     if lists is None:
         if chosen is not None:
             cp = cp.join(chosen.select("t", "t2"), ["t", "t2"], "left_semi")
-        lists = prefixes(ranked_lists(cp, longest), longest, minimum)
-    fa = list_functionality(a, lists.select(F.col("a").alias("items")), longest).select(F.col("items").alias("a"), F.col("f_all").alias("f1"), F.col("f_here").alias("f2"))
-    fb = list_functionality(b, lists.select(F.col("b").alias("items")), longest).select(F.col("items").alias("b"), F.col("f_all").alias("f3"), F.col("f_here").alias("f4"))
+        lists = cut(prefixes(ranked_lists(cp, longest), longest, minimum))
+    of_a, of_b = (k.of for k in known) if known else ((lambda x: list_functionality(a, x, longest)), (lambda x: list_functionality(b, x, longest)))
+    fa = of_a(lists.select(F.col("a").alias("items"))).select(F.col("items").alias("a"), F.col("f_all").alias("f1"), F.col("f_here").alias("f2"))
+    fb = of_b(lists.select(F.col("b").alias("items"))).select(F.col("items").alias("b"), F.col("f_all").alias("f3"), F.col("f_here").alias("f4"))
     rows = lists.join(fa, "a").join(fb, "b")
     parts = ["hm_h", "hm_r"] + ["f1", "f3"] * ("global" in terms) + ["f2", "f4"] * ("local" in terms)
     rows = rows.withColumn("score", F.round(F.least(*parts), 9))  # so that ties are ties

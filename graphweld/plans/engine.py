@@ -67,7 +67,7 @@ def evidence(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame
     return rows.join(relations.filter("s_r > 0").select("r", "r2", "s_r"), ["r", "r2"]).select("t", "t2", "r", "h", "r2", "h2", "s_h", "s_r")
 
 
-def entity_step(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame | None, p: Params, chosen: DataFrame | None = None) -> tuple[DataFrame, DataFrame | None]:
+def entity_step(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame | None, p: Params, chosen: DataFrame | None = None, known=None) -> tuple[DataFrame, DataFrame | None]:
     """(scores, candidates): one pass of the entity rule."""
     cp = evidence(a, b, heads, relations, p)
     if p.direction is not None:
@@ -76,8 +76,8 @@ def entity_step(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFra
             chosen = rules.candidates(cp, p.direction)
         cp = cp.join(chosen.select("t", "t2"), ["t", "t2"], "left_semi")
     if p.lists == "subsets":
-        return rules.entity_scores(a, b, cp, longest=2, minimum=p.minimum, terms=p.terms, lists=rules.subset_lists(cp, p.minimum)), chosen
-    return rules.entity_scores(a, b, cp, longest=p.longest, minimum=p.minimum, terms=p.terms), chosen
+        return rules.entity_scores(a, b, cp, longest=2, minimum=p.minimum, terms=p.terms, lists=cut(rules.subset_lists(cp, p.minimum)), known=known), chosen
+    return rules.entity_scores(a, b, cp, longest=p.longest, minimum=p.minimum, terms=p.terms, known=known), chosen
 
 
 def merged(old: DataFrame | None, new: DataFrame, seeds: DataFrame | None) -> DataFrame:
@@ -111,6 +111,8 @@ def align(facts_a: DataFrame, facts_b: DataFrame, params: Params | None = None,
     started = time.time()
     literals = cut(lit.matches(facts_a, facts_b, p.theta_s, 1, p.encoder, identity=p.identity))
     a, b = cut(with_inverse(facts_a)), cut(with_inverse(facts_b))
+    longest = 2 if p.lists == "subsets" else p.longest
+    known = rules.ListFunctionality(a, longest), rules.ListFunctionality(b, longest)
     seconds = {"literals": time.time() - started}
     entities = merged(None, _no_scores(a), seeds) if seeds is not None else None
     relations = chosen = None
@@ -119,7 +121,7 @@ def align(facts_a: DataFrame, facts_b: DataFrame, params: Params | None = None,
     for number in range(p.rounds):
         began = time.time()
         heads = literals if entities is None else literals.unionByName(entities.select(F.col("t").alias("h"), F.col("t2").alias("h2"), F.col("score").alias("s")))
-        new, found = entity_step(a, b, heads, relations, p, None if p.refresh else chosen)
+        new, found = entity_step(a, b, heads, relations, p, None if p.refresh else chosen, known)
         chosen = chosen if chosen is not None or p.refresh else cut(found.select("t", "t2")) if found is not None else None
         scores = cut(merged(entities if p.accumulate else None, new, seeds))
         entities = cut(rules.mutual_max(scores)) if p.assign_each_round else scores

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import wraps
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -32,6 +33,22 @@ def query(sql: str | None = None):
     return add
 
 
+_KEPT: dict = {}
+
+
+def kept(f):
+    """Remembers a function's checkpointed frames within an application, as many queries look at the same run."""
+
+    @wraps(f)
+    def run(spark, d, *args, **changes):
+        key = (f.__name__, spark.sparkContext.applicationId, d, args, tuple(sorted(changes.items())))
+        if key not in _KEPT:
+            _KEPT[key] = f(spark, d, *args, **changes)
+        return _KEPT[key]
+
+    return run
+
+
 def six(*columns: str):
     return [F.round(c, 6).alias(c) for c in columns]
 
@@ -264,6 +281,7 @@ for _agg, _sql in (("min", "min(v)"), ("hmean", "count(*) / sum(1 / v)"), ("alph
 # ---------------------------------------------------------------- literals
 
 
+@kept
 def _tiny(spark, d):
     return tw.twin(spark, d, "tiny")
 
@@ -340,6 +358,7 @@ def _round0(spark, d):
     return facts.with_inverse(w.a), facts.with_inverse(w.b), cut(literals.matches(w.a, w.b))
 
 
+@kept
 def _counterparts(spark, d, search=True):
     a, b, m = _round0(spark, d)
     a, b = cut(a), cut(b)
@@ -404,6 +423,7 @@ def entity_subsets_2(spark, d):
 _AFTER0 = f"{_ROUND0}, {_FUN}, {q.entity_sql('1')}, {q.mutual_sql('es1', 'mm1')}, nodes1 AS MATERIALIZED (SELECT h, h2, s FROM lm UNION ALL SELECT t, t2, score FROM mm1 WHERE score > 0)"
 
 
+@kept
 def _after0(spark, d):
     a, b, m, cp = _counterparts(spark, d)
     best = rules.mutual_max(rules.entity_scores(a, b, cp, longest=2))
