@@ -215,6 +215,12 @@ _converged("align_ablation_single", "tiny", "lists of length 1", longest=1)
 _converged("align_ablation_min", "tiny", "min everywhere", minimum=True)
 _converged("align_ablation_alpha100", "tiny", "alpha 100", alpha=100.0)
 _converged("align_converged_onto_s", "onto_s", "full", rounds=5, hub=60)
+_WIDE = {"rounds": 3, "hub": 20, "longest": 2}
+_converged("align_converged_sparse15", "sparse15", "full", **_WIDE)
+_converged("align_converged_dense15", "dense15", "full", **_WIDE)
+_converged("align_converged_dense15_seeded", "dense15", "seeded", seeded=True, **_WIDE)
+_converged("align_converged_cross_x", "cross_x", "full", encoder="skeleton", ranking=True, **_WIDE)
+_converged("align_converged_onto_m", "onto_m", "full", **_WIDE)
 
 
 @query()
