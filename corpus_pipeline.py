@@ -25,7 +25,7 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates: shingles of five words, similarity of about 0.8 and more."""
+    """One document of each group of near duplicates: shingles of five words, similarity of 0.8 and more."""
     return simhash_bk.one_of_each(docs.select(*COLUMNS))
 
 
@@ -46,7 +46,7 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 STAGES = [("quality_classifier", quality), ("simhash_near_dedup", near_dedup), ("suffix_array_dedup", suffix_strip), ("mix_sources", mix_sources), ("best_fit_packing", pack)]
-#: SQL can't express the stages; tests/llm holds each against a plain version.
+#: SQL can't express the stages; tests/llm/test_operators.py holds each operator against a plain version or its invariants, test_pipeline.py the counts of the chain.
 ORACLE_SQL = None
 
 

@@ -13,14 +13,23 @@ A shard emits a spanning forest of its links, never all pairs. A shard of over
 ``SHARD`` fingerprints is cut into chunks, and each pair of chunks is a task of
 its own. Components follow from the links by star contraction.
 
-``cluster`` finds exactly the pairs within 4 bits. A similarity of 0.8 over
-shingles changes far more bits, so ``near_groups`` uses 128 bits and a radius
-of 28, and finds its shards under keys of 16 bits in which the least sure bits
-are tried both ways.
+``cluster`` finds exactly the pairs within 4 bits. ``near_groups`` links exactly
+the texts whose sets of word shingles have a Jaccard similarity of 0.8 or more
+(shingles are compared by 64-bit hashes). Candidates come from two searches:
+fingerprints of 128 bits within a radius of 28, under keys of 16 bits in which
+the least sure bits are tried both ways, find most links cheaply, also in large
+groups; a prefix join finds what they miss. In any one order of all shingles,
+two sets that similar share one of their first ``n - ceil(0.8 n) + 1``; the
+order puts shingles that are frequent in a sample last, which only changes
+cost. Its postings first propose stars, then all pairs that are not connected
+yet. Every candidate is verified on the full sets, so nothing is linked below
+the threshold and no link that components need is missed.
 
 Defined results: a null or empty text has fingerprint zero and is linked like
 any other; equal texts, repeated rows included, share fingerprint and
-component; a single row is its own component; no rows give no rows.
+component; a single row is its own component; no rows give no rows. In
+``near_groups`` a component's id is its smallest doc_id that is not null, and
+null only if all are null; ``one_of_each`` keeps one row of such a component too.
 """
 
 from __future__ import annotations
@@ -330,33 +339,54 @@ def cluster(documents: DataFrame, radius: int = RADIUS, shingle: int = SHINGLE)
     return marked.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "copies")
 
 
-# ---------------------------------------------------------------- similarity joins over wider fingerprints
+# ---------------------------------------------------------------- exact similarity join of shingle sets
 
 #: Shingle words, bits that may differ of 128 (a similarity of 0.8 differs in 18 on average), key bits, and how many of the least sure bits of a key are tried both ways.
 WIDE_SHINGLE, WIDE_RADIUS, KEY_BITS, UNSURE = 5, 28, 16, 2
+#: The least similarity, as a fraction.
+NUM, DEN = 4, 5
+#: Texts sampled for the order of shingles, and how many shingles it ranks.
+SAMPLE, RANKED = 2_000, 1 << 17
+#: Candidates' ids up to this number are broadcast to find their texts.
+BROADCAST_IDS = 2_000_000
 
 
-def wide_fingerprint(text: bytes, shingle: int = WIDE_SHINGLE) -> tuple[int, int, list[int]]:
-    """(high word, low word, keys): 128 majority bits over word shingles, ties by the exclusive or of all hashes.
-
-    keys: of each ``KEY_BITS`` bits, these with all choices for the ``UNSURE``
-    bits whose majority was the closest. Near texts differ in such bits, so
-    they meet under one of the keys.
-    """
+def shingle_hashes(text: bytes, shingle: int = WIDE_SHINGLE) -> np.ndarray:
+    """128-bit hashes of all word shingles, a row of 16 bytes each; a text of up to ``shingle`` words is one shingle."""
     from xxhash import xxh3_128_digest
 
     words = text.lower().split()
     flat = b" ".join(words)
-    ends = np.cumsum([len(w) + 1 for w in words]) if words else np.zeros(0, np.int64)
     if len(words) <= shingle:
         parts = [flat]
     else:
+        ends = np.cumsum([len(w) + 1 for w in words])
         parts = [flat[a:b] for a, b in zip(np.concatenate(([0], ends[:-shingle])).tolist(), (ends[shingle - 1 :] - 1).tolist(), strict=True)]
-    ones, n, odd = np.zeros(128, np.int64), len(parts), np.zeros(16, np.uint8)
+    return np.frombuffer(b"".join(map(xxh3_128_digest, parts)), np.uint8).reshape(-1, 16)
+
+
+def shingle_set(raw: np.ndarray) -> np.ndarray:
+    """Distinct 64-bit hashes in order."""
+    return np.unique(raw.view(np.int64)[:, 0])
+
+
+def set_key(own: np.ndarray) -> tuple[int, int]:
+    """128 bits that name a set."""
+    from xxhash import xxh3_128_digest
+
+    return tuple(np.frombuffer(xxh3_128_digest(own.tobytes()), np.int64).tolist())
+
+
+def wide_fingerprint(raw: np.ndarray) -> tuple[int, int, list[int]]:
+    """(high word, low word, keys): 128 majority bits over shingle hashes, ties by the exclusive or of all hashes.
+
+    keys: of each ``KEY_BITS`` bits, these with all choices for the ``UNSURE``
+    bits whose majority was the closest. Near texts differ in such bits, so
+    they meet under one of the keys.
+    """
+    ones, n, odd = np.zeros(128, np.int64), len(raw), np.bitwise_xor.reduce(raw, axis=0)
     for k in range(0, n, 1 << 13):
-        raw = np.frombuffer(b"".join(map(xxh3_128_digest, parts[k : k + (1 << 13)])), np.uint8).reshape(-1, 16)
-        ones += np.unpackbits(raw, axis=1).sum(0, dtype=np.int64)
-        odd ^= np.bitwise_xor.reduce(raw, axis=0)
+        ones += np.unpackbits(raw[k : k + (1 << 13)], axis=1).sum(0, dtype=np.int64)
     lead = 2 * ones - n
     bits = (lead > 0) | ((lead == 0) & np.unpackbits(odd).astype(bool))
     high, low = np.packbits(bits).view(">u8").tolist()
@@ -369,35 +399,235 @@ def wide_fingerprint(text: bytes, shingle: int = WIDE_SHINGLE) -> tuple[int, int
     return high, low, keys.ravel().tolist()
 
 
-def wide_fingerprints(documents: DataFrame, shingle: int = WIDE_SHINGLE) -> DataFrame:
-    """doc_id, hi, lo, keys of every row."""
+def prefix(own: np.ndarray, ranked: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """The first shingles of a set, one of which a similar set shares: unranked ones by hash, then ranked ones by count."""
+    n = len(own)
+    if len(ranked):
+        at = np.minimum(np.searchsorted(ranked, own), len(ranked) - 1)
+        known = ranked[at] == own
+        last, c = own[known], counts[at[known]]
+        own = np.concatenate([own[~known], last[np.lexsort((last, c))]])
+    return own[: n + (-NUM * n) // DEN + 1]
+
+
+def ranks(documents: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """(shingles by hash, how many sampled texts hold each): the most frequent of a sample of bounded size."""
+    step = max(1, documents.count() // SAMPLE)
 
     def make():
         def work(part):
-            rows = [wide_fingerprint(x or b"", shingle) for x in part.column("body").to_pylist()]
-            hi, lo = (np.array([r[k] for r in rows], np.uint64).view(np.int64) for k in (0, 1))
-            return {"doc_id": part.column("doc_id"), "hi": hi, "lo": lo, "keys": [r[2] for r in rows]}
+            return {"s": np.concatenate([shingle_set(shingle_hashes(x or b"", shingle)) for x in part.column("body").to_pylist()])}
 
         return work
 
-    return map_slices(documents.select("doc_id", F.col("text").cast("binary").alias("body")), "body", make, "doc_id long, hi long, lo long, keys array<int>")
+    some = documents.filter(F.pmod(F.xxhash64("text"), F.lit(step)) == 0).select(F.col("text").cast("binary").alias("body"))
+    rows = map_slices(some, "body", make, "s long").groupBy("s").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    found = sorted((r.s, r.n) for r in rows.orderBy(F.desc("n"), "s").limit(RANKED).collect())
+    return np.array([x[0] for x in found], np.int64), np.array([x[1] for x in found], np.int64)
 
 
-def near_groups(documents: DataFrame, shingle: int = WIDE_SHINGLE, radius: int = WIDE_RADIUS, shard: int = SHARD) -> DataFrame:
-    """doc_id and component_id (smallest doc_id reachable) over links of near texts, for similarities of about 0.8 and more."""
-    marked = cut(wide_fingerprints(documents, shingle))
-    distinct = marked.groupBy("hi", "lo").agg(F.min(F.struct("doc_id", "keys")).alias("m")).select("hi", "lo", F.col("m.doc_id").alias("id"), "m.keys")
-    rows = distinct.select("id", "hi", "lo", F.posexplode("keys").alias("t", "key"))
+def marks(documents: DataFrame, shingle: int) -> DataFrame:
+    """doc_id, x (hash of the text), the key k1, k2 of the shingle set, its size n and prefix, and the wide fingerprint of every row."""
+    ranked, counts = ranks(documents, shingle)
+
+    def make():
+        def work(part):
+            out: dict[str, list] = {c: [] for c in ("k1", "k2", "n", "prefix", "hi", "lo", "keys")}
+            for text in part.column("body").to_pylist():
+                raw = shingle_hashes(text or b"", shingle)
+                own = shingle_set(raw)
+                high, low, keys = wide_fingerprint(raw)
+                for c, v in zip(out, (*set_key(own), len(own), prefix(own, ranked, counts), high, low, keys), strict=True):
+                    out[c].append(v)
+            for c in ("hi", "lo"):
+                out[c] = np.array(out[c], np.uint64).view(np.int64)
+            return out | {"doc_id": part.column("doc_id"), "x": part.column("x")}
+
+        return work
+
+    kind = dict(documents.dtypes)["doc_id"]
+    source = documents.select("doc_id", F.xxhash64("text").alias("x"), F.col("text").cast("binary").alias("body"))
+    return map_slices(source, "body", make, f"doc_id {kind}, x long, k1 long, k2 long, n int, prefix array<long>, hi long, lo long, keys array<int>")
+
+
+def may_reach(n: np.ndarray, p: np.ndarray, n2: np.ndarray, p2: np.ndarray) -> np.ndarray:
+    """Can sets of n and n2 shingles that share the one at p and p2 be similar enough? By sizes and places."""
+    most = np.minimum(p, p2) + 1 + np.minimum(n - p - 1, n2 - p2 - 1)
+    return (DEN * np.minimum(n, n2) >= NUM * np.maximum(n, n2)) & ((NUM + DEN) * most >= NUM * (n + n2))
+
+
+POSTING = pa.schema([("s", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("n", pa.int32()), ("p", pa.int32())])
+
+
+def search_postings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (s, n, p, id) sorted by s, n, id: stars of each posting as (null, a, b), and the members of postings of three and more as (s, id, null, n, p)."""
+    out: list[tuple] = []
+    mark, seen, held, pivot = None, 0, [], None  # of the open posting: shingle, rows so far, rows not given out, last pivot
+
+    def rows(s: int, part: list[np.ndarray]) -> None:
+        k = len(part[0])
+        out.append((np.full(k, s), part[2], np.zeros(k, np.int64), part[0], part[1], np.zeros(k, bool)))
+
+    for batch in batches:
+        if not len(batch):
+            continue
+        s, n, p, ids = (batch.column(k).to_numpy() for k in range(4))
+        bounds = [0, *(np.flatnonzero(s[1:] != s[:-1]) + 1).tolist(), len(s)]
+        for a, b in zip(bounds[:-1], bounds[1:], strict=True):
+            now = int(s[a])
+            if now != mark:
+                mark, seen, held, pivot = now, 0, [], None
+                if b - a == 1 and b < len(s):
+                    continue
+            part = [n[a:b].astype(np.int64), p[a:b].astype(np.int64), ids[a:b]]
+            seen += b - a
+            if seen < 3:
+                held.append(part)
+            else:
+                for x in (*held, part):
+                    rows(now, x)
+                held = []
+            at = 0
+            while at < b - a:
+                first = at
+                if pivot is None or DEN * pivot[0] < NUM * part[0][at]:
+                    pivot, first = tuple(int(c[at]) for c in part), at + 1
+                end = int(np.searchsorted(part[0], pivot[0] * DEN // NUM, "right"))
+                pn, pp, pid = (c[first:end] for c in part)
+                ok = may_reach(np.int64(pivot[0]), np.int64(pivot[1]), pn, pp) if end > first else np.zeros(0, bool)
+                if ok.any():
+                    k = int(ok.sum())
+                    out.append((np.zeros(k, np.int64), np.full(k, pivot[2]), pid[ok], np.zeros(k, np.int64), np.zeros(k, np.int64), np.ones(k, bool)))
+                at = max(end, first)
+        if out:
+            shingle, left, right, size, place, pair = (np.concatenate(c) for c in zip(*out, strict=True))
+            out.clear()
+            yield pa.RecordBatch.from_arrays([pa.array(shingle, pa.int64(), mask=pair), pa.array(left, pa.int64()), pa.array(right, pa.int64(), mask=~pair), pa.array(size.astype(np.int32)), pa.array(place.astype(np.int32))], schema=POSTING)
+
+
+def open_pairs(members: DataFrame, labels: DataFrame, shard: int) -> DataFrame:
+    """(a, b): all pairs under a shingle that have different labels and may be similar; one task for each pair of chunks of a large posting."""
+    named = members.join(labels.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("label", "id"))
+    sizes = named.groupBy("s").agg(F.ceil(F.count(F.lit(1)) / shard).cast("int").alias("m"), F.min("label").alias("l1"), F.max("label").alias("l2")).filter("l1 < l2")
+    cells = named.join(sizes.select("s", "m"), "s").withColumn("c", F.pmod(F.xxhash64("id"), F.col("m")).cast("int"))
+    cells = cells.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("m") - 1)))
+    cells = cells.select("s", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), "c", "id", "label", "n", "p")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def solve(parts: list[list[np.ndarray]]) -> Iterator[pa.RecordBatch]:
+            _, i, j, c, ids, label, n, p = (np.concatenate(x) for x in zip(*parts, strict=True))
+            n, p = n.astype(np.int64), p.astype(np.int64)
+            left, right = np.flatnonzero(c == i), np.flatnonzero(c == j)
+            for k in left.tolist():
+                other = right[(label[right] != label[k]) & may_reach(n[k], p[k], n[right], p[right])]
+                if i[0] == j[0]:
+                    other = other[other > k]
+                if len(other):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(ids[k], ids[other])), pa.array(np.maximum(ids[k], ids[other]))], names=["a", "b"])
+
+        held: list[list[np.ndarray]] = []
+        mark = None
+        for batch in batches:
+            cols = [batch.column(k).to_numpy() for k in range(8)]
+            change = np.flatnonzero(np.any([x[1:] != x[:-1] for x in cols[:3]], axis=0)) + 1
+            for a, b in zip([0, *change.tolist()], [*change.tolist(), len(batch)], strict=True):
+                if a == b:
+                    continue
+                now = tuple(int(x[a]) for x in cols[:3])
+                if held and now != mark:
+                    yield from solve(held)
+                    held = []
+                mark = now
+                held.append([x[a:b] for x in cols])
+        if held:
+            yield from solve(held)
+
+    return cells.repartition("s", "i", "j").sortWithinPartitions("s", "i", "j").mapInArrow(run, "a long, b long").distinct()
+
+
+def verified(documents: DataFrame, nodes: DataFrame, pairs: DataFrame, shingle: int) -> DataFrame:
+    """The pairs (a, b) of nodes (id, first, k1, k2, n) whose shingle sets are similar enough. Texts travel, as they are smaller than their sets; all of them are shuffled only if the candidates are more than ``BROADCAST_IDS``."""
+
+    def keyed():
+        def work(part):
+            body = part.column("body")
+            keys = [set_key(shingle_set(shingle_hashes(x or b"", shingle))) for x in body.to_pylist()]
+            return {"k1": [k[0] for k in keys], "k2": [k[1] for k in keys], "body": body}
+
+        return work
+
+    def make():
+        last: list = [None, None]
+
+        def own(text):
+            if last[0] != text:
+                last[:] = text, shingle_set(shingle_hashes(text or b"", shingle))
+            return last[1]
+
+        def work(part):
+            good = []
+            for x, y in zip(part.column("body_a").to_pylist(), part.column("body_b").to_pylist(), strict=True):
+                mine = shingle_set(shingle_hashes(x or b"", shingle))
+                other = own(y)
+                shared = len(np.intersect1d(mine, other, assume_unique=True))
+                good.append((NUM + DEN) * shared >= NUM * (len(mine) + len(other)))
+            kept = part.filter(pa.array(good, pa.bool_()))
+            return {"a": kept.column("a"), "b": kept.column("b")}
+
+        return work
+
+    asked = nodes.join(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "id", "left_semi").select("id", "first", "k1", "k2")
+    asked = cut(asked)
+    firsts = asked.select(F.col("first").alias("_first")).distinct()
+    if asked.count() <= BROADCAST_IDS:
+        firsts = F.broadcast(firsts)
+    texts = documents.join(firsts, F.col("doc_id").eqNullSafe(F.col("_first")), "left_semi").select(F.col("text").cast("binary").alias("body"))
+    texts = map_slices(texts, "body", keyed, "k1 long, k2 long, body binary").join(asked.select("id", "k1", "k2"), ["k1", "k2"])
+    texts = cut(texts.select("id", "body").dropDuplicates(["id"]))
+    both = pairs.join(texts.select(F.col("id").alias("a"), F.col("body").alias("body_a")), "a").join(texts.select(F.col("id").alias("b"), F.col("body").alias("body_b")), "b")
+    return cut(map_slices(both.select("a", "b", "body_a", "body_b"), "body_a", make, "a long, b long"))
+
+
+def _grouped(documents: DataFrame, shingle: int, radius: int, shard: int) -> DataFrame:
+    """doc_id, x and component (a node's number) of every row."""
+    documents = documents.select("doc_id", "text")
+    marked = cut(marks(documents, shingle))
+    same = [F.first(c).alias(c) for c in ("n", "prefix", "hi", "lo", "keys")]
+    nodes = cut(marked.groupBy("k1", "k2").agg(F.min("doc_id").alias("first"), *same).withColumn("id", F.monotonically_increasing_id()))
+    few = nodes.select("id", "first", "k1", "k2", "n")
+
+    rows = nodes.select("id", "hi", "lo", F.posexplode("keys").alias("t", "key"))
     rows = rows.select(F.expr(f"t div {1 << UNSURE}").cast("int").alias("t"), F.col("key").cast("long").alias("key"), "id", "hi", "lo")
-    labels = components(shard_links(rows, radius, shard, distinct.select("id", "hi", "lo")))
-    named = distinct.select("hi", "lo", "id").join(labels.withColumnRenamed("node", "id"), "id", "left")
-    named = named.select("hi", "lo", F.coalesce("label", "id").alias("component_id"))
-    return marked.select("doc_id", "hi", "lo").join(named, ["hi", "lo"]).select("doc_id", "component_id")
+    near = shard_links(rows, radius, shard, nodes.select("id", "hi", "lo"))
+
+    postings = nodes.select("n", F.posexplode("prefix").alias("p", "s"), "id").select("s", "n", "p", "id")
+    found = cut(postings.repartition("s").sortWithinPartitions("s", "n", "id").mapInArrow(search_postings, "s long, a long, b long, n int, p int"))
+    pairs = near.unionByName(found.filter("s IS NULL").select("a", "b")).filter("a <> b")
+    pairs = cut(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+    links = verified(documents, few, pairs, shingle)
+    labels = components(links)
+
+    members = found.filter("s IS NOT NULL").select("s", F.col("a").alias("id"), "n", "p")
+    rest = cut(open_pairs(members, labels, shard).join(pairs, ["a", "b"], "left_anti"))
+    if not rest.isEmpty():
+        labels = components(links.unionByName(verified(documents, few, rest, shingle)))
+    named = few.select("k1", "k2", "id").join(labels.withColumnRenamed("node", "id"), "id", "left")
+    named = named.select("k1", "k2", F.coalesce("label", "id").alias("component"))
+    return marked.select("doc_id", "x", "k1", "k2").join(named, ["k1", "k2"]).select("doc_id", "x", "component")
+
+
+def near_groups(documents: DataFrame, shingle: int = WIDE_SHINGLE, radius: int = WIDE_RADIUS, shard: int = SHARD) -> DataFrame:
+    """doc_id and component_id (smallest doc_id reachable) over all links of texts with a similarity of 0.8 and more."""
+    rows = cut(_grouped(documents, shingle, radius, shard))
+    least = rows.groupBy("component").agg(F.min("doc_id").alias("component_id"))
+    return rows.join(least, "component").select("doc_id", "component_id")
 
 
 def one_of_each(documents: DataFrame, shingle: int = WIDE_SHINGLE, radius: int = WIDE_RADIUS) -> DataFrame:
-    """The document with the smallest id of each group of near texts, with all its columns; repeated rows stay once."""
-    first = near_groups(documents, shingle, radius).filter("doc_id = component_id").select("doc_id").distinct()
+    """The document with the smallest id of each group of near texts, with all its columns; null ids come last, repeated rows stay once."""
+    rows = _grouped(documents, shingle, radius, SHARD)
+    first = rows.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "x")).alias("m"))
+    first = first.select(F.col("m.doc_id").alias("_doc"), F.col("m.x").alias("_x")).distinct()
     names = documents.columns
-    kept = documents.withColumn("_text", F.xxhash64("text")).join(first, "doc_id", "left_semi")
+    kept = documents.withColumn("_text", F.xxhash64("text")).join(first, F.col("doc_id").eqNullSafe(F.col("_doc")) & (F.col("_text") == F.col("_x")), "left_semi")
     return kept.dropDuplicates(["doc_id", "_text"]).select(*names)

@@ -158,6 +158,49 @@ def test_wide_groups_find_near_copies(spark):
     assert sorted(x.doc_id for x in kept.collect()) == [*range(0, 80, 2), 200, 202]
 
 
+def shingles(text):
+    w = words_of((text or "").lower())
+    return {" ".join(w[i : i + 5]) for i in range(max(1, len(w) - 4))}
+
+
+@pytest.mark.parametrize("shard", [4096, 7])
+def test_near_groups_equal_brute_force(spark, shard):
+    r = random.Random(8)
+    text = lambda n: [f"w{r.randint(0, 9999)}" for _ in range(n)]
+    common = text(12)
+    out: list = []
+    for i in range(150):
+        w = text(r.choice([6, 7, 8, 12, 20, 60, 120, 300]))
+        near = list(w)
+        for _ in range(r.randint(1, max(1, len(w) // 12))):
+            near[r.randrange(len(w))] = f"new{i}"
+        if r.random() < 0.3:
+            near += text(len(w) // 8)
+        out += [w, near, *([common + text(r.choice([2, 4, 30]))] if i % 3 == 0 else [])]
+    hub = text(100)
+    for k in range(25):  # all near the hub, not near each other
+        out.append([*hub[: 4 * k], "cut", *hub[4 * k + 1 :]] if k % 2 else [*hub, *[f"end{k}"] * 3, *text(14)])
+    out = [(i, " ".join(w), "a") for i, w in enumerate([*out, hub])]
+    out += [(5000, None, "a"), (5001, "", "a"), (5002, "one two", "a"), (5003, "One  two", "a"), (5004, "one two three", "a")]
+    sets = [shingles(t) for _, t, _ in out]
+    like = lambda a, b: len(a & b) / len(a | b)
+    bands = Counter(min(9, int(10 * like(sets[i], sets[i + 1]))) for i in range(len(sets) - 1))
+    assert all(bands[k] for k in (5, 6, 7, 8, 9))
+    want = classes(sets, lambda a, b: 5 * len(a & b) >= 4 * len(a | b))
+    got = {x.doc_id: x.component_id for x in simhash_bk.near_groups(documents(spark, out), shard=shard).collect()}
+    assert got == {d: out[g][0] for (d, _, _), g in zip(out, want, strict=True)}
+
+
+def test_near_groups_without_ids(spark):
+    base = " ".join(f"w{i}" for i in range(100))
+    out = [(None, base, "a"), (4, base, "a"), (3, base + " end", "a"), (None, "lone text of no id", "a"), (None, "lone text of no id", "a"), (9, "another one", "b"), (9, "and a third", "b")]
+    got = Counter((x.doc_id, x.component_id) for x in simhash_bk.near_groups(documents(spark, out)).collect())
+    assert got == Counter([(None, 3), (4, 3), (3, 3), (None, None), (None, None), (9, 9), (9, 9)])
+    kept = Counter((x.doc_id, x.text) for x in simhash_bk.one_of_each(documents(spark, out)).collect())
+    assert kept == Counter([(3, base + " end"), (None, "lone text of no id"), (9, "another one"), (9, "and a third")])
+    assert simhash_bk.near_groups(documents(spark, [])).count() == 0
+
+
 def test_phrase_fingerprints(spark, rows):
     own = [x for x in rows if not (x[0] == 107 and x[1] == "same id")][:-1]
     got = {r.doc_id: r for r in phrase_fingerprint.compare_edited(documents(spark, own), ranges=7).collect()}
