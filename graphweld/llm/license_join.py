@@ -1,13 +1,17 @@
 """License scans as an exact set-similarity join of text blocks with templates.
 
-A block is a line of a text; a template is a set of words. A block meets a
-template if it holds at least ``threshold`` of the template's words. The words
+A block is a window of a text's words, as long as the template with its
+repeated words and sliding over line ends, or a line, whatever its length; a
+template is a set of words. Words of decoration (comment signs) are none, so
+wrapped and commented statements are found. A block meets a template if it
+holds at least ``threshold`` of the template's words. The words
 of the templates are ordered by how many texts of the whole corpus hold them,
 rarest first. A block that meets the threshold must hold one of the first
 ``n - ceil(threshold * n) + 1`` words (prefix filter), must have at least
 ``ceil(threshold * n)`` words (length filter), and after the first hit at
 position ``i`` the words from ``i`` on must still suffice (positional filter).
-Candidates that pass are verified by counting, so the join is exact.
+Candidates that pass are verified by counting, so the join is exact. Windows
+are counted while they slide, and only around places of prefix words.
 
 Templates are a parameter of checked size and travel with the tasks. Corpus
 frequencies are counted in a first pass over all texts and add up to one row a
@@ -103,6 +107,48 @@ def join_block(words: set[bytes], ready: list, index: dict) -> dict[int, float]:
     return found
 
 
+def join_windows(words: list[bytes], ready: list, index: dict, spans: list[int]) -> tuple[dict[int, float], set[int]]:
+    """Templates that a window of ``spans[t]`` words contains to the threshold, with the best containment, and the first word of each such window that no other overlaps."""
+    seen: dict[int, dict[int, int]] = {}
+    for at, w in enumerate(words):
+        for t, i in index.get(w, ()):
+            seen.setdefault(t, {})[at] = i
+    found: dict[int, float] = {}
+    blocks: set[int] = set()
+    for t, places in seen.items():
+        _, tokens, need = ready[t]
+        span, vocabulary, end = spans[t], frozenset(tokens), -1
+        ordered = sorted(places)
+        k = 0
+        while k < len(ordered):
+            # one run of places whose windows touch
+            first = last = ordered[k]
+            least = places[first]
+            while k < len(ordered) and ordered[k] - last < span:
+                last = ordered[k]
+                least = min(least, places[last])
+                k += 1
+            low, high = max(0, first - span + 1), min(len(words), last + span)
+            if high - low < need or len(tokens) - least < need:
+                continue
+            held: Counter = Counter()
+            for at in range(low, high):
+                if words[at] in vocabulary:
+                    held[words[at]] += 1
+                out = at - span
+                if out >= low and words[out] in vocabulary:
+                    held[words[out]] -= 1
+                    if not held[words[out]]:
+                        del held[words[out]]
+                if len(held) >= need:
+                    found[t] = max(found.get(t, 0.0), len(held) / len(tokens))
+                    start = max(low, at - span + 1)
+                    if start > end:
+                        blocks.add(start)
+                        end = at
+    return found, blocks
+
+
 def word_counts(documents: DataFrame, templates: dict[str, list[str]] = TEMPLATES) -> dict[bytes, int]:
     """How many texts of the whole corpus hold each template word. One row a word reaches the driver."""
     vocabulary = frozenset(w.encode() for texts in templates.values() for t in texts for w in t.split())
@@ -123,10 +169,11 @@ def word_counts(documents: DataFrame, templates: dict[str, list[str]] = TEMPLATE
 
 
 def scan(documents: DataFrame, templates: dict[str, list[str]] = TEMPLATES, phrases: dict[str, str] = PHRASES, threshold: float = THRESHOLD) -> DataFrame:
-    """Words, base places and labels of every document, the method's labels, its best containment and blocks."""
+    """Words, base places and labels of every document, the method's labels, its best containment and its blocks: lines or separate windows that meet a template, whichever are more."""
     if sum(map(len, templates.values())) > MAX_TEMPLATES:
         raise ValueError("more templates than one task may hold")
     ready, index = compile_templates(templates, word_counts(documents, templates), threshold)
+    spans = [len(t.split()) for texts in templates.values() for t in texts]
     base = [(p.encode(), label) for p, label in phrases.items()]
     rare = frozenset(index)
 
@@ -147,6 +194,10 @@ def scan(documents: DataFrame, templates: dict[str, list[str]] = TEMPLATES, phra
                             blocks += 1
                             for t, s in found.items():
                                 hits[t] = max(s, hits.get(t, 0.0))
+                    found, places_of = join_windows(words, ready, index, spans)
+                    blocks = max(blocks, len(places_of))
+                    for t, s in found.items():
+                        hits[t] = max(s, hits.get(t, 0.0))
                 own = {x[2] for x in places}
                 row = (
                     len(words),

@@ -235,6 +235,31 @@ def test_licenses(spark):
     assert all(got[i].score == 0 and got[i].labels == "" and got[i].first_word is None for i in (3, 4, 5))
 
 
+def test_wrapped_licenses(spark):
+    wrap = lambda text, n, sign="": "\n".join(sign + " ".join(text.split()[i : i + n]) for i in range(0, len(text.split()), n))
+    wanted = {k: license_join.TEMPLATES[k][0] for k in ("bsd", "lgpl", "agpl", "mpl-2.0")}
+    texts = [(k, f"Some file\n\n{wrap(t, n, sign)}\n\ncode here") for k, t in wanted.items() for n in (3, 5, 7) for sign in ("", " * ", "# ")]
+    apart = "redistribution and use in source " + "filler words here " * 9 + "binary forms with or without modification are permitted"
+    got = {r.doc_id: r for r in license_join.scan(documents(spark, [*((i, t, "a") for i, (_, t) in enumerate(texts)), (900, apart.replace(" filler", "\nfiller"), "a")])).collect()}
+    assert all(k in got[i].labels.split(",") and got[i].score >= 0.8 and got[i].n_blocks for i, (k, _) in enumerate(texts))
+    assert got[900].labels == "" and got[900].n_blocks == 0
+
+
+def test_windows_equal_brute_force():
+    r = random.Random(9)
+    templates = {f"t{i}": [" ".join(r.choices("abcdefghij", k=r.randint(2, 9)))] for i in range(10)}
+    ready, index = license_join.compile_templates(templates, {}, 0.8)
+    spans = [len(t.split()) for texts in templates.values() for t in texts]
+    for _ in range(500):
+        words = [x.encode() for x in r.choices("abcdefghijklmnopqrstuvw", k=r.randint(0, 60))]
+        want = {}
+        for t, (_, tokens, need) in enumerate(ready):
+            best = max((len(set(words[i : i + spans[t]]) & set(tokens)) for i in range(len(words))), default=0)
+            if best >= need:
+                want[t] = best / len(tokens)
+        assert license_join.join_windows(words, ready, index, spans)[0] == want
+
+
 def test_set_join_equals_brute_force():
     r = random.Random(6)
     templates = {f"t{i}": [" ".join(r.sample("a b c d e f g h i j k l m n".split(), r.randint(2, 9)))] for i in range(12)}
