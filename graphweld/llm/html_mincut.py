@@ -8,7 +8,8 @@ parent element are joined by smoothness edges. The minimum cut of that network
 is the cheapest labelling; the blocks on the source side are the main text.
 
 Defined results: a null or empty page has an empty text; unclosed or cut-off
-tags are read as browsers do; a cut-off tag at the end of a page is dropped.
+tags are read as browsers do; a raw element without an end tag lasts to the end
+of the page; a cut-off tag at the end of a page is dropped.
 """
 
 from __future__ import annotations
@@ -21,9 +22,9 @@ from pyspark.sql import DataFrame
 from graphweld.llm.common import map_slices
 
 # Element names, and words of class, id and role attributes.
-INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i img ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
+INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i img ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr button svg g text tspan path math mi mn mo ms mtext mrow mfrac msqrt mroot msup msub msubsup".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style noscript template textarea title iframe object svg math select button option datalist xmp noembed noframes canvas audio video".split())
+RAW = frozenset("script style noscript template textarea title iframe object select option datalist xmp noembed noframes canvas audio video".split())
 BOILER = frozenset("nav footer aside form menu dialog fieldset head".split())
 CONTENT = frozenset("article main".split())
 BOILER_WORDS = frozenset(
@@ -36,6 +37,7 @@ CONTENT_WORDS = frozenset("article post entry story content main body text post-
 BOILER_ROLES = frozenset("navigation banner contentinfo complementary search form alert alertdialog dialog menu menubar toolbar".split())
 
 TOKEN = re.compile(r"<!--.*?(?:-->|--!>|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|</?([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(>|\Z)|</[^>]*(?:>|\Z)", re.S)
+RAW_END = {name: re.compile(rf"</{name}(?=[\s/>]|\Z)[^>]*(?:>|\Z)", re.I) for name in RAW}
 ATTRIBUTE = re.compile(r"\b(class|id|role|hidden|aria-hidden|style|itemprop)\b\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I | re.S)
 SPACE = re.compile(r"\s+")
 SPLIT_WORDS = re.compile(r"[^a-z0-9]+")
@@ -85,7 +87,6 @@ def blocks_of(page: str) -> list[Block]:
     found: list[Block] = []
     current: Block | None = None
     links = serial = at = 0
-    raw = ""
 
     def add(text: str) -> None:
         nonlocal current
@@ -108,21 +109,13 @@ def blocks_of(page: str) -> list[Block]:
             found.append(current)
             current = None
 
-    for m in TOKEN.finditer(page):
-        if raw:
-            if m[1] is None or not m[0].startswith("</") or m[1].lower() != raw:
-                continue
-        else:
-            add(page[at : m.start()])
+    while m := TOKEN.search(page, at):
+        add(page[at : m.start()])
         at = m.end()
         if m[1] is None:
             continue
         name = m[1].lower()
         if m[0].startswith("</"):
-            if raw:
-                if name == raw:
-                    raw = ""
-                continue
             if name == "br":
                 add(" ")
                 continue
@@ -139,7 +132,8 @@ def blocks_of(page: str) -> list[Block]:
         if not m[3]:  # the page ends inside this tag
             continue
         if name in RAW and not m[2].endswith("/"):
-            raw = name
+            end = RAW_END[name].search(page, at)  # markup means nothing up to the end tag
+            at = end.end() if end else len(page)
             close() if name not in ("script", "style", "noscript", "template") else None
             continue
         if name in VOID:
@@ -169,7 +163,7 @@ def blocks_of(page: str) -> list[Block]:
         links += name == "a"
         top = stack[-1]
         stack.append((name, serial, top[2] + boiler, top[3] + content))
-    if not raw and at < len(page):
+    if at < len(page):
         rest = page[at:]
         add(rest[: rest.rindex("<")] if re.search(r"<[a-zA-Z/!?][^>]*\Z", rest) else rest)
     close()

@@ -43,6 +43,14 @@ def test_main_text():
     assert html_mincut.main_text("<article><p>cut off &am</p><p>here <b") == "cut off &am here"
 
 
+def test_raw_elements_end_at_their_end_tag():
+    body = "<article><p>The text of it, all of it.</p></article>"
+    for script in ("<script>for(i=0;i<n;i++)f()</script>", "<SCRIPT>a<b</Script >", "<style>a<b</style>", "<title>x<y 'z</title>"):
+        assert html_mincut.main_text(script + body + "<script>1</script>") == "The text of it, all of it."
+    assert html_mincut.main_text("<article><p>Let <math><mi>x</mi></math> be, <svg><path d='1'/><text>five</text></svg> or <button>six</button>.</p></article>") == "Let x be, five or six."
+    assert html_mincut.main_text(body + "<script>if(a<b)") == "The text of it, all of it."
+
+
 def test_minimum_cut_is_the_cheapest_labelling():
     r = random.Random(1)
     for _ in range(60):
