@@ -120,8 +120,11 @@ def propagate_features(facts: DataFrame, features: DataFrame, hops: int = 2) ->
     return features
 
 
-def feature_propagation(a: DataFrame, b: DataFrame, relations_a, relations_b, hops: int = 1, rounds: int = 5, rare: int = 200) -> DataFrame:
-    """(t, t2, score): names' grams spread over the graph, cosine through grams that few entities have, then transport and mutual best."""
+def feature_propagation(a: DataFrame, b: DataFrame, relations_a, relations_b, hops: int = 1, rounds: int = 5) -> DataFrame:
+    """(t, t2, score): names' grams spread over the graph, cosine of all pairs that share a gram, then transport and mutual best.
+
+    Exact: common grams propose pairs and count like any other, so the pairs can grow with the product of the sides.
+    """
 
     def vectors(f, rels):
         w = names(f, rels).select("e", F.explode(lit.grams(F.col("s"))).alias("g")).groupBy("e", "g").agg(F.count(F.lit(1)).cast("double").alias("w"))
@@ -129,6 +132,5 @@ def feature_propagation(a: DataFrame, b: DataFrame, relations_a, relations_b, ho
         return rows.withColumn("w", F.col("w") / F.sqrt(F.sum(F.col("w") * F.col("w")).over(Window.partitionBy("e"))))
 
     x, y = vectors(a, relations_a), vectors(b, relations_b).withColumnsRenamed({"e": "e2", "w": "w2"})
-    few = y.groupBy("g").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") <= rare).select("g")
-    pairs = x.join(few, "g").join(y, "g").groupBy(F.col("e").alias("t"), F.col("e2").alias("t2")).agg(F.sum(F.col("w") * F.col("w2")).alias("score"))
+    pairs = x.join(y, "g").groupBy(F.col("e").alias("t"), F.col("e2").alias("t2")).agg(F.sum(F.col("w") * F.col("w2")).alias("score"))
     return rules.mutual_max(sinkhorn(pairs, rounds))

@@ -203,3 +203,11 @@ def test_nulls_give_no_facts(spark):
     assert facts.inverse_name(F.lit("r")) is not None
     f = facts.with_inverse(facts.with_inverse(triples(spark, "a r b")).select("h", "r", "t"))
     assert {(r.h, r.r, r.t) for r in f.collect()} == {("a", "r", "b"), ("b", "r~", "a")}
+
+
+def test_feature_propagation_counts_common_grams(spark):
+    fact = "h string, r string, t string, kind string, x double"
+    said = [("e", "common"), *[(f"p{i}", f"common {i:04d}") for i in range(210)], *[(f"s{i}", f"{i:04d} common") for i in range(210)]]
+    side = lambda mark: spark.createDataFrame([(mark + e, "name", '"' + s, "string", None) for e, s in said], fact)
+    got = baselines.feature_propagation(side("a"), side("b"), ("name",), ("name",), hops=0).collect()
+    assert {r.t2 for r in got if r.t == "ae"} == {"be"}
