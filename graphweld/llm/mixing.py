@@ -101,6 +101,6 @@ def mixed_documents(documents: DataFrame, weights=(1, 2, 3), repeats: float = 3.
     names = documents.columns
     taken = mix(documents, weights, repeats, whole=True).filter("taken > 0")
     times = taken.groupBy("doc_id", "mix_key").agg(F.sum(F.expr("taken div size")).cast("int").alias("_times")).withColumnsRenamed({"doc_id": "_doc", "mix_key": "_key"})
-    rows = documents.withColumn("_mix_key", _key()).join(times, (F.col("doc_id") == F.col("_doc")) & (F.col("_mix_key") == F.col("_key")))
+    rows = documents.withColumn("_mix_key", _key()).join(times, F.col("doc_id").eqNullSafe(F.col("_doc")) & (F.col("_mix_key") == F.col("_key")))
     rows = rows.dropDuplicates(["doc_id", "_mix_key"])  # repeated rows have their times together
     return rows.withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*names)

@@ -16,14 +16,17 @@ its own. Components follow from the links by star contraction.
 ``cluster`` finds exactly the pairs within 4 bits. ``near_groups`` links exactly
 the texts whose sets of word shingles have a Jaccard similarity of 0.8 or more
 (shingles are compared by 64-bit hashes). Candidates come from two searches:
-fingerprints of 128 bits within a radius of 28, under keys of 16 bits in which
-the least sure bits are tried both ways, find most links cheaply, also in large
+fingerprints of 128 bits within a radius of 28, under keys of 16 bits or more in which
+the least sure bit is tried both ways, find most links cheaply, also in large
 groups; a prefix join finds what they miss. In any one order of all shingles,
 two sets that similar share one of their first ``n - ceil(0.8 n) + 1``; the
 order puts shingles that are frequent in a sample last, which only changes
 cost. Its postings first propose stars, then all pairs that are not connected
-yet. Every candidate is verified on the full sets, so nothing is linked below
-the threshold and no link that components need is missed.
+yet. A candidate whose counts of shingles by hash class rule the similarity out
+is dropped (the sum of the smaller counts bounds the overlap); every other one
+is verified on the full sets, so nothing is linked below the threshold and no
+link that components need is missed. Keys grow with the number of texts, so
+that a key holds a few texts at any size.
 
 Defined results: a null or empty text has fingerprint zero and is linked like
 any other; equal texts, repeated rows included, share fingerprint and
@@ -42,7 +45,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphweld.llm.common import cut, map_slices
+from graphweld.llm.common import cut, map_slices, stored
 from graphweld.llm.components import components
 
 BITS, RADIUS, SHINGLE, SEED = 64, 4, 4, 42
@@ -152,12 +155,21 @@ def _bits(words: list[np.ndarray], places: np.ndarray, pivot: int) -> np.ndarray
     return sum(np.bitwise_count(w[places] ^ w[pivot]).astype(np.int64) for w in words)
 
 
-def links_large(words: list[np.ndarray], tree: np.ndarray, asking: np.ndarray, radius: int) -> list[tuple[int, int]]:
-    """As links_small for places ``asking`` against a tree of places ``tree``; all questions go down the tree together."""
-    forest = Forest(len(words[0]))
+def links_large(words: list[np.ndarray], tree: np.ndarray, asking: np.ndarray, radius: int, forest: Forest | None = None) -> list[tuple[int, int]]:
+    """As links_small for places ``asking`` against a tree of places ``tree``; all questions go down the tree together.
+
+    Where a whole subtree is in one group, its members have nothing to ask any
+    more, so a dense group is linear work. forest: links that are known.
+    """
+    forest = Forest(len(words[0])) if forest is None else forest
     stack = [(tree, asking)]
     while stack:
         own, asked = stack.pop()
+        group = forest.group[own]
+        if (group == group[0]).all():
+            asked = asked[forest.group[asked] != group[0]]
+            if not len(asked):
+                continue
         pivot, rest = own[0], own[1:]
         d = _bits(words, asked, pivot)
         near = asked[d <= radius]
@@ -305,7 +317,12 @@ def hot_links(hot: DataFrame, radius: int, shard: int, names: list[str]) -> Data
             values = [table.column(c).to_numpy().view(np.uint64) for c in names]
             tree = np.flatnonzero(c == i[0])
             other = np.flatnonzero(c == table.column("j").to_numpy())
-            pairs = links_large(values, tree, other, radius) if len(tree) and len(other) else []
+            forest = Forest(len(ids))
+            for chunk in (tree, other) if i[0] != table.column("j").to_numpy()[0] else ():
+                if len(chunk):
+                    links_large(values, chunk, chunk, radius, forest)
+            forest.links.clear()  # the tasks of the single chunks give these
+            pairs = links_large(values, tree, other, radius, forest) if len(tree) and len(other) else []
             p = np.array(pairs, np.int64).reshape(-1, 2)
             return pa.RecordBatch.from_arrays([pa.array(ids[p[:, 0]]), pa.array(ids[p[:, 1]])], names=["a", "b"])
 
@@ -341,8 +358,10 @@ def cluster(documents: DataFrame, radius: int = RADIUS, shingle: int = SHINGLE)
 
 # ---------------------------------------------------------------- exact similarity join of shingle sets
 
-#: Shingle words, bits that may differ of 128 (a similarity of 0.8 differs in 18 on average), key bits, and how many of the least sure bits of a key are tried both ways.
-WIDE_SHINGLE, WIDE_RADIUS, KEY_BITS, UNSURE = 5, 28, 16, 2
+#: Shingle words, bits that may differ of 128 (a similarity of 0.8 differs in 18 on average), least key bits, and how many of the least sure bits of a key are tried both ways.
+WIDE_SHINGLE, WIDE_RADIUS, KEY_BITS, UNSURE = 5, 28, 16, 1
+#: Hash classes in which a set's shingles are counted.
+CLASSES = 64
 #: The least similarity, as a fraction.
 NUM, DEN = 4, 5
 #: Texts sampled for the order of shingles, and how many shingles it ranks.
@@ -377,10 +396,20 @@ def set_key(own: np.ndarray) -> tuple[int, int]:
     return tuple(np.frombuffer(xxh3_128_digest(own.tobytes()), np.int64).tolist())
 
 
-def wide_fingerprint(raw: np.ndarray) -> tuple[int, int, list[int]]:
+def key_bits(texts: int) -> int:
+    """Bits of a key that leave some 32 unrelated texts under one; a search under longer keys finds fewer of the links, the prefix join finds the rest."""
+    return min(42, max(KEY_BITS, texts.bit_length() + UNSURE - 5))
+
+
+def class_counts(own: np.ndarray) -> bytes:
+    """How many shingles of a set are in each hash class, a byte each, 255 for that many and more."""
+    return np.minimum(np.bincount((own.view(np.uint64) >> np.uint64(58)).astype(np.int64), minlength=CLASSES), 255).astype(np.uint8).tobytes()
+
+
+def wide_fingerprint(raw: np.ndarray, width: int = KEY_BITS) -> tuple[int, int, list[int]]:
     """(high word, low word, keys): 128 majority bits over shingle hashes, ties by the exclusive or of all hashes.
 
-    keys: of each ``KEY_BITS`` bits, these with all choices for the ``UNSURE``
+    keys: of each ``width`` bits, these with all choices for the ``UNSURE``
     bits whose majority was the closest. Near texts differ in such bits, so
     they meet under one of the keys.
     """
@@ -390,9 +419,9 @@ def wide_fingerprint(raw: np.ndarray) -> tuple[int, int, list[int]]:
     lead = 2 * ones - n
     bits = (lead > 0) | ((lead == 0) & np.unpackbits(odd).astype(bool))
     high, low = np.packbits(bits).view(">u8").tolist()
-    rows = bits.reshape(-1, KEY_BITS)
-    base = rows @ (1 << np.arange(KEY_BITS))
-    close = np.argsort(np.abs(lead).reshape(-1, KEY_BITS), axis=1, kind="stable")[:, :UNSURE]
+    used = len(bits) // width * width
+    base = bits[:used].reshape(-1, width) @ (1 << np.arange(width))
+    close = np.argsort(np.abs(lead[:used]).reshape(-1, width), axis=1, kind="stable")[:, :UNSURE]
     keys = base[:, None]
     for i in range(UNSURE):
         keys = np.hstack([keys, keys ^ (1 << close[:, i : i + 1])])
@@ -410,9 +439,9 @@ def prefix(own: np.ndarray, ranked: np.ndarray, counts: np.ndarray) -> np.ndarra
     return own[: n + (-NUM * n) // DEN + 1]
 
 
-def ranks(documents: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+def ranks(documents: DataFrame, shingle: int, total: int) -> tuple[np.ndarray, np.ndarray]:
     """(shingles by hash, how many sampled texts hold each): the most frequent of a sample of bounded size."""
-    step = max(1, documents.count() // SAMPLE)
+    step = max(1, total // SAMPLE)
 
     def make():
         def work(part):
@@ -427,17 +456,19 @@ def ranks(documents: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def marks(documents: DataFrame, shingle: int) -> DataFrame:
-    """doc_id, x (hash of the text), the key k1, k2 of the shingle set, its size n and prefix, and the wide fingerprint of every row."""
-    ranked, counts = ranks(documents, shingle)
+    """doc_id, x (hash of the text), the key k1, k2 of the shingle set, its size n, prefix and class counts, and the wide fingerprint of every row."""
+    total = documents.count()
+    ranked, counts = ranks(documents, shingle, total)
+    width = key_bits(total)
 
     def make():
         def work(part):
-            out: dict[str, list] = {c: [] for c in ("k1", "k2", "n", "prefix", "hi", "lo", "keys")}
+            out: dict[str, list] = {c: [] for c in ("k1", "k2", "n", "prefix", "classes", "hi", "lo", "keys")}
             for text in part.column("body").to_pylist():
                 raw = shingle_hashes(text or b"", shingle)
                 own = shingle_set(raw)
-                high, low, keys = wide_fingerprint(raw)
-                for c, v in zip(out, (*set_key(own), len(own), prefix(own, ranked, counts), high, low, keys), strict=True):
+                high, low, keys = wide_fingerprint(raw, width)
+                for c, v in zip(out, (*set_key(own), len(own), prefix(own, ranked, counts), class_counts(own), high, low, keys), strict=True):
                     out[c].append(v)
             for c in ("hi", "lo"):
                 out[c] = np.array(out[c], np.uint64).view(np.int64)
@@ -447,7 +478,7 @@ def marks(documents: DataFrame, shingle: int) -> DataFrame:
 
     kind = dict(documents.dtypes)["doc_id"]
     source = documents.select("doc_id", F.xxhash64("text").alias("x"), F.col("text").cast("binary").alias("body"))
-    return map_slices(source, "body", make, f"doc_id {kind}, x long, k1 long, k2 long, n int, prefix array<long>, hi long, lo long, keys array<int>")
+    return map_slices(source, "body", make, f"doc_id {kind}, x long, k1 long, k2 long, n int, prefix array<long>, classes binary, hi long, lo long, keys array<long>")
 
 
 def may_reach(n: np.ndarray, p: np.ndarray, n2: np.ndarray, p2: np.ndarray) -> np.ndarray:
@@ -505,23 +536,35 @@ def search_postings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
             yield pa.RecordBatch.from_arrays([pa.array(shingle, pa.int64(), mask=pair), pa.array(left, pa.int64()), pa.array(right, pa.int64(), mask=~pair), pa.array(size.astype(np.int32)), pa.array(place.astype(np.int32))], schema=POSTING)
 
 
-def open_pairs(members: DataFrame, labels: DataFrame, shard: int) -> DataFrame:
-    """(a, b): all pairs under a shingle that have different labels and may be similar; one task for each pair of chunks of a large posting."""
+def overlap_bound(n: np.ndarray, x: np.ndarray, m: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """May sets of n and m shingles with class counts x and y be similar enough? The smaller counts add up to the overlap at most."""
+    size = np.minimum(n, m)
+    least = np.minimum(x, y).astype(np.int64)
+    least = np.where(least == 255, size[:, None], least)
+    return (NUM + DEN) * np.minimum(least.sum(1), size) >= NUM * (n + m)
+
+
+def open_pairs(members: DataFrame, labels: DataFrame, classes: DataFrame, shard: int) -> DataFrame:
+    """(a, b): all pairs under a shingle that have different labels and may be similar, by sizes, places and class counts; one task for each pair of chunks of a large posting. classes: id, classes."""
     named = members.join(labels.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("label", "id"))
     sizes = named.groupBy("s").agg(F.ceil(F.count(F.lit(1)) / shard).cast("int").alias("m"), F.min("label").alias("l1"), F.max("label").alias("l2")).filter("l1 < l2")
-    cells = named.join(sizes.select("s", "m"), "s").withColumn("c", F.pmod(F.xxhash64("id"), F.col("m")).cast("int"))
+    cells = named.join(sizes.select("s", "m"), "s").join(classes, "id").withColumn("c", F.pmod(F.xxhash64("id"), F.col("m")).cast("int"))
     cells = cells.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("m") - 1)))
-    cells = cells.select("s", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), "c", "id", "label", "n", "p")
+    cells = cells.select("s", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), "c", "id", "label", "n", "p", "classes")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def solve(parts: list[list[np.ndarray]]) -> Iterator[pa.RecordBatch]:
-            _, i, j, c, ids, label, n, p = (np.concatenate(x) for x in zip(*parts, strict=True))
+            _, i, j, c, ids, label, n, p, counts = (np.concatenate(x) for x in zip(*parts, strict=True))
+            if (label == label[0]).all():
+                return
             n, p = n.astype(np.int64), p.astype(np.int64)
             left, right = np.flatnonzero(c == i), np.flatnonzero(c == j)
             for k in left.tolist():
                 other = right[(label[right] != label[k]) & may_reach(n[k], p[k], n[right], p[right])]
                 if i[0] == j[0]:
                     other = other[other > k]
+                if len(other):
+                    other = other[overlap_bound(np.full(len(other), n[k]), counts[k], n[other], counts[other])]
                 if len(other):
                     yield pa.RecordBatch.from_arrays([pa.array(np.minimum(ids[k], ids[other])), pa.array(np.maximum(ids[k], ids[other]))], names=["a", "b"])
 
@@ -529,6 +572,7 @@ def open_pairs(members: DataFrame, labels: DataFrame, shard: int) -> DataFrame:
         mark = None
         for batch in batches:
             cols = [batch.column(k).to_numpy() for k in range(8)]
+            cols.append(np.frombuffer(b"".join(batch.column(8).to_pylist()), np.uint8).reshape(-1, CLASSES))
             change = np.flatnonzero(np.any([x[1:] != x[:-1] for x in cols[:3]], axis=0)) + 1
             for a, b in zip([0, *change.tolist()], [*change.tolist(), len(batch)], strict=True):
                 if a == b:
@@ -545,30 +589,48 @@ def open_pairs(members: DataFrame, labels: DataFrame, shard: int) -> DataFrame:
     return cells.repartition("s", "i", "j").sortWithinPartitions("s", "i", "j").mapInArrow(run, "a long, b long").distinct()
 
 
+def within_reach(nodes: DataFrame, pairs: DataFrame) -> DataFrame:
+    """The pairs (a, b) whose class counts leave room for the similarity; none that has it is lost."""
+    side = lambda c: nodes.select(F.col("id").alias(c), F.col("n").alias(f"n_{c}"), F.col("classes").alias(f"classes_{c}"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            n, m = (batch.column(c).to_numpy().astype(np.int64) for c in ("n_a", "n_b"))
+            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(-1, CLASSES) for c in ("classes_a", "classes_b"))
+            yield batch.select(["a", "b"]).filter(pa.array(overlap_bound(n, x, m, y)))
+
+    return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "n_a", "n_b", "classes_a", "classes_b").mapInArrow(run, "a long, b long")
+
+
 def verified(documents: DataFrame, nodes: DataFrame, pairs: DataFrame, shingle: int) -> DataFrame:
-    """The pairs (a, b) of nodes (id, first, k1, k2, n) whose shingle sets are similar enough. Texts travel, as they are smaller than their sets; all of them are shuffled only if the candidates are more than ``BROADCAST_IDS``."""
+    """The pairs (a, b) of nodes (id, first, x, n, classes) whose shingle sets are similar enough.
 
-    def keyed():
-        def work(part):
-            body = part.column("body")
-            keys = [set_key(shingle_set(shingle_hashes(x or b"", shingle))) for x in body.to_pylist()]
-            return {"k1": [k[0] for k in keys], "k2": [k[1] for k in keys], "body": body}
+    Compressed texts travel, as they are smaller than their sets, and only
+    those of candidates; all texts are shuffled only if the candidates are more
+    than ``BROADCAST_IDS``.
+    """
 
-        return work
+    def deflated():
+        import zstandard
+
+        deflate = zstandard.ZstdCompressor(level=3)
+        return lambda part: {"id": part.column("id"), "z": [deflate.compress(x or b"") for x in part.column("body").to_pylist()]}
 
     def make():
+        import zstandard
+
+        inflate = zstandard.ZstdDecompressor()
         last: list = [None, None]
 
-        def own(text):
-            if last[0] != text:
-                last[:] = text, shingle_set(shingle_hashes(text or b"", shingle))
-            return last[1]
+        def own(z):
+            return shingle_set(shingle_hashes(inflate.decompress(z), shingle))
 
         def work(part):
             good = []
-            for x, y in zip(part.column("body_a").to_pylist(), part.column("body_b").to_pylist(), strict=True):
-                mine = shingle_set(shingle_hashes(x or b"", shingle))
-                other = own(y)
+            for x, y in zip(part.column("z_a").to_pylist(), part.column("z_b").to_pylist(), strict=True):
+                if last[0] != y:
+                    last[:] = y, own(y)
+                mine, other = own(x), last[1]
                 shared = len(np.intersect1d(mine, other, assume_unique=True))
                 good.append((NUM + DEN) * shared >= NUM * (len(mine) + len(other)))
             kept = part.filter(pa.array(good, pa.bool_()))
@@ -576,42 +638,42 @@ def verified(documents: DataFrame, nodes: DataFrame, pairs: DataFrame, shingle:
 
         return work
 
-    asked = nodes.join(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "id", "left_semi").select("id", "first", "k1", "k2")
-    asked = cut(asked)
-    firsts = asked.select(F.col("first").alias("_first")).distinct()
-    if asked.count() <= BROADCAST_IDS:
-        firsts = F.broadcast(firsts)
-    texts = documents.join(firsts, F.col("doc_id").eqNullSafe(F.col("_first")), "left_semi").select(F.col("text").cast("binary").alias("body"))
-    texts = map_slices(texts, "body", keyed, "k1 long, k2 long, body binary").join(asked.select("id", "k1", "k2"), ["k1", "k2"])
-    texts = cut(texts.select("id", "body").dropDuplicates(["id"]))
-    both = pairs.join(texts.select(F.col("id").alias("a"), F.col("body").alias("body_a")), "a").join(texts.select(F.col("id").alias("b"), F.col("body").alias("body_b")), "b")
-    return cut(map_slices(both.select("a", "b", "body_a", "body_b"), "body_a", make, "a long, b long"))
+    pairs = stored(within_reach(nodes, pairs))
+    asked = stored(nodes.join(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "id", "left_semi").select("id", "first", F.col("x").alias("_x")))
+    few = F.broadcast(asked) if asked.count() <= BROADCAST_IDS else asked
+    rows = documents.select("doc_id", F.xxhash64("text").alias("x"), F.col("text").cast("binary").alias("body"))
+    rows = rows.join(few, F.col("doc_id").eqNullSafe(F.col("first")) & (F.col("x") == F.col("_x"))).select("id", "body")
+    texts = map_slices(rows, "body", deflated, "id long, z binary").dropDuplicates(["id"])  # repeated rows have one text
+    both = pairs.join(texts.select(F.col("id").alias("a"), F.col("z").alias("z_a")), "a").join(texts.select(F.col("id").alias("b"), F.col("z").alias("z_b")), "b")
+    return cut(map_slices(both.select("a", "b", "z_a", "z_b"), "z_a", make, "a long, b long", 1 << 20))
 
 
 def _grouped(documents: DataFrame, shingle: int, radius: int, shard: int) -> DataFrame:
     """doc_id, x and component (a node's number) of every row."""
     documents = documents.select("doc_id", "text")
-    marked = cut(marks(documents, shingle))
-    same = [F.first(c).alias(c) for c in ("n", "prefix", "hi", "lo", "keys")]
-    nodes = cut(marked.groupBy("k1", "k2").agg(F.min("doc_id").alias("first"), *same).withColumn("id", F.monotonically_increasing_id()))
-    few = nodes.select("id", "first", "k1", "k2", "n")
+    marked = stored(marks(documents, shingle))
+    same = [F.first(c).alias(c) for c in ("n", "prefix", "classes", "hi", "lo", "keys")]
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "x")).alias("m")
+    nodes = marked.groupBy("k1", "k2").agg(first, *same).withColumn("id", F.monotonically_increasing_id())
+    nodes = stored(nodes.select("id", "k1", "k2", F.col("m.doc_id").alias("first"), F.col("m.x").alias("x"), "n", "prefix", "classes", "hi", "lo", "keys"))
+    few = nodes.select("id", "first", "x", "n", "classes")
 
     rows = nodes.select("id", "hi", "lo", F.posexplode("keys").alias("t", "key"))
-    rows = rows.select(F.expr(f"t div {1 << UNSURE}").cast("int").alias("t"), F.col("key").cast("long").alias("key"), "id", "hi", "lo")
+    rows = rows.select(F.expr(f"t div {1 << UNSURE}").cast("int").alias("t"), "key", "id", "hi", "lo")
     near = shard_links(rows, radius, shard, nodes.select("id", "hi", "lo"))
 
     postings = nodes.select("n", F.posexplode("prefix").alias("p", "s"), "id").select("s", "n", "p", "id")
-    found = cut(postings.repartition("s").sortWithinPartitions("s", "n", "id").mapInArrow(search_postings, "s long, a long, b long, n int, p int"))
+    found = stored(postings.repartition("s").sortWithinPartitions("s", "n", "id").mapInArrow(search_postings, "s long, a long, b long, n int, p int"))
     pairs = near.unionByName(found.filter("s IS NULL").select("a", "b")).filter("a <> b")
-    pairs = cut(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+    pairs = stored(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
     links = verified(documents, few, pairs, shingle)
     labels = components(links)
 
     members = found.filter("s IS NOT NULL").select("s", F.col("a").alias("id"), "n", "p")
-    rest = cut(open_pairs(members, labels, shard).join(pairs, ["a", "b"], "left_anti"))
+    rest = stored(open_pairs(members, labels, nodes.select("id", "classes"), shard).join(pairs, ["a", "b"], "left_anti"))
     if not rest.isEmpty():
         labels = components(links.unionByName(verified(documents, few, rest, shingle)))
-    named = few.select("k1", "k2", "id").join(labels.withColumnRenamed("node", "id"), "id", "left")
+    named = nodes.select("k1", "k2", "id").join(labels.withColumnRenamed("node", "id"), "id", "left")
     named = named.select("k1", "k2", F.coalesce("label", "id").alias("component"))
     return marked.select("doc_id", "x", "k1", "k2").join(named, ["k1", "k2"]).select("doc_id", "x", "component")
 
