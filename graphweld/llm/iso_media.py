@@ -2,12 +2,18 @@
 
 ``wrap`` stores a payload as 8-bit unsigned mono audio ('raw ') in a file with
 one track; ``walk`` parses any nesting of boxes (32-bit, 64-bit and to-the-end
-sizes); ``track`` decodes the sample tables and gives codec, time scale,
-duration and the byte range of every sample and keyframe, without touching the
-payload; ``payload`` concatenates the ranges.
+sizes); ``tracks`` decodes the sample tables of every track and gives codec,
+time scale, duration and the byte range of every sample and keyframe, without
+touching the payload; ``payload`` concatenates the ranges. ``store`` makes the
+media columns of texts, ``describe`` those of media files from elsewhere.
 
 A sample is a block of 576 bytes; every 8th one is a keyframe. A null text is
 stored as an empty one. Equal texts give equal files: no clocks in headers.
+Defined results for foreign bytes: a track whose tables are missing, cut off or
+point outside the file is left out; bytes without any track, or null, give no
+rows of ``describe``; samples of fragments (``moof``) are not listed, as they
+have no sample tables; composition offsets (``ctts``) don't move bytes and are
+skipped. The codec is the first sample entry's.
 """
 
 from __future__ import annotations
@@ -16,12 +22,14 @@ import hashlib
 import struct
 import zlib
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphweld.llm.common import map_slices
 
 BLOCK, RATE, KEY_EVERY, PER_CHUNK = 576, 8000, 8, 32
+SPANS = "array<struct<start:long,end:long>>"
 #: Boxes that hold boxes.
 CONTAINERS = frozenset((b"moov", b"trak", b"mdia", b"minf", b"stbl", b"dinf", b"edts", b"mvex", b"moof", b"traf", b"udta"))
 #: The unity matrix of the header boxes.
@@ -111,25 +119,27 @@ def walk(file: bytes, start: int = 0, end: int | None = None, path: tuple = ()):
         start = stop
 
 
-def track(file: bytes) -> dict:
-    """Codec, time scale, duration and sample byte ranges of the first track that has samples."""
-    found: dict[bytes, tuple[int, int]] = {}
-    for path, a, b in walk(file):
-        if path[-1] != b"mdat" and path[-1] not in found:
-            found[path[-1]] = (a, b)
+def decode(file: bytes, found: dict[bytes, tuple[int, int]]) -> dict:
+    """Codec, time scale, duration and sample byte ranges from the boxes of one track. Raises an error where they are broken."""
 
     def numbers(kind: bytes, code: str = "I", width: int = 1) -> list[tuple]:
         if kind not in found:
             return []
-        a = found[kind][0]
+        a, end = found[kind]
         (n,) = struct.unpack_from(">I", file, a + 4)
-        return list(struct.iter_unpack(f">{width}{code}", file[a + 8 : a + 8 + n * width * struct.calcsize(f">{code}")]))
+        size = struct.calcsize(f">{width}{code}")
+        if a + 8 + n * size > end:
+            raise ValueError("table beyond its box")
+        return list(struct.iter_unpack(f">{width}{code}", file[a + 8 : a + 8 + n * size]))
 
     a = found[b"mdhd"][0]
     scale, duration = struct.unpack_from(">IQ", file, a + 20) if file[a] else struct.unpack_from(">2I", file, a + 12)
     codec = file[found[b"stsd"][0] + 12 : found[b"stsd"][0] + 16].decode("latin-1")
-    same, n = struct.unpack_from(">2I", file, found[b"stsz"][0] + 4)
-    sizes = [same] * n if same else [x for (x,) in struct.iter_unpack(">I", file[found[b"stsz"][0] + 12 : found[b"stsz"][0] + 12 + 4 * n])]
+    a, end = found[b"stsz"]
+    same, n = struct.unpack_from(">2I", file, a + 4)
+    if not same and a + 12 + 4 * n > end:
+        raise ValueError("table beyond its box")
+    sizes = None if same else [x for (x,) in struct.iter_unpack(">I", file[a + 12 : a + 12 + 4 * n])]
     chunks = [x for (x,) in (numbers(b"co64", "Q") or numbers(b"stco"))]
     runs = numbers(b"stsc", width=3)
     ranges: list[tuple[int, int]] = []
@@ -137,15 +147,67 @@ def track(file: bytes) -> dict:
         last = runs[k + 1][0] - 1 if k + 1 < len(runs) else len(chunks)
         for c in range(first - 1, last):
             at = chunks[c]
-            for _ in range(per):
-                if len(ranges) == n:
-                    break
-                ranges.append((at, at + sizes[len(ranges)]))
-                at += sizes[len(ranges) - 1]
+            for _ in range(min(per, n - len(ranges))):
+                size = same or sizes[len(ranges)]
+                if at + size > len(file):
+                    raise ValueError("sample beyond the file")
+                ranges.append((at, at + size))
+                at += size
+    if len(ranges) < n:
+        raise ValueError("samples without chunks")
     sync = [x - 1 for (x,) in numbers(b"stss")] if b"stss" in found else range(n)
     return {"codec": codec, "scale": scale, "duration": duration, "ranges": ranges, "keyframes": [ranges[i] for i in sync], "times": numbers(b"stts", width=2)}
 
 
+def tracks(file: bytes) -> list[dict]:
+    """Every track that can be decoded, in file order."""
+    groups: list[dict[bytes, tuple[int, int]]] = []
+    for path, a, b in walk(file):
+        if path[-1] == b"trak":
+            groups.append({})
+        elif b"trak" in path:
+            groups[-1].setdefault(path[-1], (a, b))
+    out = []
+    for found in groups:
+        try:
+            out.append(decode(file, found))
+        except (KeyError, IndexError, ValueError, struct.error):  # tables that are missing, cut off or out of bounds
+            continue
+    return out
+
+
+def track(file: bytes) -> dict | None:
+    """The first track that has samples, else the first one; None if there is none."""
+    every = tracks(file)
+    return next((t for t in every if t["ranges"]), every[0] if every else None)
+
+
+def seconds(info: dict) -> float | None:
+    return info["duration"] / info["scale"] if info["scale"] else None
+
+
+def spans(ranges: list[tuple[int, int]]) -> list[dict]:
+    return [{"start": a, "end": b} for a, b in ranges]
+
+
+def describe(media: DataFrame) -> DataFrame:
+    """One row per track of each file of ``media`` (id, media binary): codec, seconds, number of samples and keyframe byte ranges."""
+
+    def make():
+        def work(part):
+            out: dict[str, list] = {k: [] for k in ("owner", "track", "codec", "seconds", "samples", "keyframes")}
+            for i, file in enumerate(part.column("media").to_pylist()):
+                for k, info in enumerate(tracks(file or b"")):
+                    for c, v in zip(out, (i, k, info["codec"], seconds(info), len(info["ranges"]), spans(info["keyframes"])), strict=True):
+                        out[c].append(v)
+            return out | {"id": part.column("id").take(pa.array(out["owner"], pa.int64()))}
+
+        return work
+
+    kind = dict(media.dtypes)["id"]
+    return map_slices(media.select("id", "media"), "media", make, f"id {kind}, track int, codec string, seconds double, samples long, keyframes {SPANS}")
+
+
 def payload(file: bytes, info: dict) -> bytes:
     return b"".join(file[a:b] for a, b in info["ranges"])
 
@@ -154,21 +216,21 @@ def feature(file: bytes, info: dict) -> str:
     """Codec, duration in seconds, samples, keyframes, their byte span and a digest of all keyframe ranges."""
     keys = info["keyframes"]
     digest = zlib.crc32(b"".join(struct.pack(">2Q", *r) for r in keys))
-    return f"codec={info['codec'].strip()};seconds={info['duration'] / info['scale']:.3f};samples={len(info['ranges'])};keyframes={len(keys)};span={keys[0][0]}-{keys[-1][1]};ranges={digest:08x}"
+    return f"codec={info['codec'].strip()};seconds={seconds(info):.3f};samples={len(info['ranges'])};keyframes={len(keys)};span={keys[0][0]}-{keys[-1][1]};ranges={digest:08x}"
 
 
 def store(documents: DataFrame, with_media: bool = False) -> DataFrame:
-    """One row per document: sizes, digests and features of its media file, and the file itself on demand."""
+    """One row per document: sizes, digests, features, codec, duration and keyframe byte ranges of its media file, and the file itself on demand."""
 
     def make():
         def work(part):
-            out: dict[str, list] = {k: [] for k in ("n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "media")}
+            out: dict[str, list] = {k: [] for k in ("n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "codec", "seconds", "keyframes", "media")}
             for text in part.column("body").to_pylist():
                 text = text or b""
                 file = wrap(pad(text))
                 info = track(file)
                 back = payload(file, info)
-                row = (len(text), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-32:]), len(file), hashlib.sha256(file).hexdigest(), feature(file, info), file)
+                row = (len(text), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-32:]), len(file), hashlib.sha256(file).hexdigest(), feature(file, info), info["codec"].strip(), seconds(info), spans(info["keyframes"]), file)
                 for k, v in zip(out, row, strict=True):
                     out[k].append(v)
             return out | {"doc_id": part.column("doc_id")}
@@ -176,5 +238,5 @@ def store(documents: DataFrame, with_media: bool = False) -> DataFrame:
         return work
 
     kind = dict(documents.dtypes)["doc_id"]
-    schema = f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string" + ", media binary" * with_media
+    schema = f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, codec string, seconds double, keyframes {SPANS}" + ", media binary" * with_media
     return map_slices(documents.select("doc_id", F.col("text").cast("binary").alias("body")), "body", make, schema)
