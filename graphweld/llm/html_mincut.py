@@ -3,9 +3,12 @@
 A page becomes a row of text blocks. Every block gets two costs from a small
 classifier (ancestors, class and id words, link density, length, punctuation):
 what it costs to call it content, and what it costs to call it boilerplate.
-These are terminal capacities; neighbours in page order and blocks under one
-parent element are joined by smoothness edges. The minimum cut of that network
-is the cheapest labelling; the blocks on the source side are the main text.
+These are terminal capacities, bounded by ``HARD``. Smoothness edges join
+neighbours in page order, the stronger the fewer elements lie between them in
+the tree, and blocks with one parent element. The minimum cut of that network
+is the cheapest labelling; the blocks on the source side are the main text. So
+a short block between two paragraphs goes with them, and one at their end does
+not.
 
 Defined results: a null or empty page has an empty text; unclosed or cut-off
 tags are read as browsers do; a raw element without an end tag lasts to the end
@@ -38,20 +41,23 @@ BOILER_ROLES = frozenset("navigation banner contentinfo complementary search for
 
 TOKEN = re.compile(r"<!--.*?(?:-->|--!>|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|</?([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(>|\Z)|</[^>]*(?:>|\Z)", re.S)
 RAW_END = {name: re.compile(rf"</{name}(?=[\s/>]|\Z)[^>]*(?:>|\Z)", re.I) for name in RAW}
-ATTRIBUTE = re.compile(r"\b(class|id|role|hidden|aria-hidden|style|itemprop)\b\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I | re.S)
+ATTRIBUTE = re.compile(r"([^\s\"'<>/=]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.S)
 SPACE = re.compile(r"\s+")
 SPLIT_WORDS = re.compile(r"[^a-z0-9]+")
 SHUTS_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section summary table ul".split())
 SELF_SHUT = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 
+#: Most that ancestors can speak against a block; a quarter of it is the most that they can speak for it.
 HARD = 60.0
+#: Capacity between two neighbours within one element.
+SMOOTH = 1.0
 
 
 class Block:
-    __slots__ = ("boiler", "content", "kind", "linked", "parent", "parts", "size")
+    __slots__ = ("boiler", "content", "kind", "linked", "parts", "path", "size")
 
-    def __init__(self, parent, kind, boiler, content):
-        self.parts, self.linked, self.size, self.parent, self.kind, self.boiler, self.content = [], 0, 0, parent, kind, boiler, content
+    def __init__(self, path, kind, boiler, content):
+        self.parts, self.linked, self.size, self.path, self.kind, self.boiler, self.content = [], 0, 0, path, kind, boiler, content
 
 
 def judge_attributes(name: str, attributes: str) -> tuple[float, float]:
@@ -95,8 +101,8 @@ def blocks_of(page: str) -> list[Block]:
         if current is None:
             if text.isspace():
                 return
-            name, number, boiler, content = next(x for x in reversed(stack) if x[0] not in INLINE)
-            current = Block(number, name, max(boiler, stack[-1][2]), content)
+            name, _, boiler, content = next(x for x in reversed(stack) if x[0] not in INLINE)
+            current = Block(tuple(x[1] for x in stack if x[0] not in INLINE), name, max(boiler, stack[-1][2]), content)
         current.parts.append(text)
         n = len(text) - text.count(" ")
         current.size += n
@@ -175,8 +181,8 @@ def costs(block: Block, text: str) -> tuple[float, float]:
     density = block.linked / max(1, block.size)
     words = text.count(" ") + 1
     stops = sum(text.count(c) for c in ".!?;:,")
-    as_content = block.boiler + 3.0 * density * density
-    as_boiler = block.content + min(words, 40) * 0.05 + min(stops, 10) * 0.1
+    as_content = min(block.boiler, HARD) + 3.0 * density * density
+    as_boiler = min(block.content, HARD / 4) + min(words, 40) * 0.05 + min(stops, 10) * 0.1
     if block.kind in ("p", "h1", "h2", "h3", "h4", "h5", "h6", "blockquote", "pre", "figcaption", "td", "dd"):
         as_boiler += 1.5
     elif block.kind == "li" and density > 0.5:
@@ -253,8 +259,14 @@ def minimum_cut(source: list[float], sink: list[float], edges: dict[tuple[int, i
                 a = to[e ^ 1]
 
 
-def labelled(page: str | None) -> list[tuple[str, bool]]:
-    """(text, is content) of each block of the page."""
+def steps_between(a: tuple[int, ...], b: tuple[int, ...]) -> int:
+    """Steps from one element to another in the tree, given as paths from the root."""
+    common = next((i for i, (x, y) in enumerate(zip(a, b, strict=False)) if x != y), min(len(a), len(b)))
+    return len(a) + len(b) - 2 * common
+
+
+def labelled(page: str | None, smooth: float = SMOOTH) -> list[tuple[str, bool]]:
+    """(text, is content) of each block of the page. smooth: capacity between neighbours within one element; 0: each block alone."""
     found = []
     for b in blocks_of(page or ""):
         text = SPACE.sub(" ", html.unescape("".join(b.parts))).strip()
@@ -267,10 +279,10 @@ def labelled(page: str | None) -> list[tuple[str, bool]]:
     last: dict[int, int] = {}
     for i, (b, _) in enumerate(found):
         if i:
-            edges[i - 1, i] = 0.3
-        if (k := last.get(b.parent)) is not None:
-            edges[k, i] = edges.get((k, i), 0.0) + 0.5
-        last[b.parent] = i
+            edges[i - 1, i] = smooth / (1 + steps_between(found[i - 1][0].path, b.path) / 2)
+        if (k := last.get(b.path[-1])) is not None and k != i - 1:
+            edges[k, i] = smooth / 2
+        last[b.path[-1]] = i
     keep = minimum_cut([p[1] for p in pairs], [p[0] for p in pairs], edges)
     return [(x, k) for (_, x), k in zip(found, keep, strict=True)]
 
