@@ -12,14 +12,18 @@ are about 6 and 15 bytes long.
 The fingerprint is one permutation min-hash over the set of phrase names:
 32 bins for level 2 and 64 bins for level 3, a byte each, 0 for an empty bin.
 The likeness of two fingerprints is the share of phrases in common (twice the
-common ones over all), at level 3 if both have 16 full bins, else at level 2.
+common ones over all), estimated over the used bins of both levels together;
+short texts have few phrases of level 3 and so few bins of it.
 
 Texts and edited texts need a document's successor by descending doc_id. The
 rows are dealt once, into ranges of doc_id; the first row of each range is sent
-to the range that needs it as well. Equal ids are ordered by a hash of the text.
+to the range that needs it as well. Equal ids are ordered by a hash of the text
+and are one range, so ids should be names of documents, not of groups.
 
-Defined results: a null text is an empty one; an empty text has all bins empty
-and is unlike any other, but wholly like another empty one.
+Defined results: every row is returned; null ids come last in descending order,
+as the least id of all; a null text is an empty one; an empty text has all bins
+empty and is unlike any other, but wholly like another empty one; the successor
+of a single row is the row itself.
 """
 
 from __future__ import annotations
@@ -36,7 +40,8 @@ from pyspark.sql import functions as F
 from graphweld.llm.common import map_slices, slices
 
 BINS = {2: 32, 3: 64}
-ENOUGH = 16
+#: The place of null ids in the order.
+NO_ID = -(1 << 63)
 
 _LOWEST = np.zeros(1 << 16, np.uint8)
 for _bit in range(15, -1, -1):
@@ -117,18 +122,12 @@ def fingerprints(texts: list[bytes]) -> np.ndarray:
 
 def likeness(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Row by row: estimated share of common phrases, 0 to 1."""
-    at, found, full = 0, {}, {}
-    for level, bins in BINS.items():
-        x, y = a[:, at : at + bins], b[:, at : at + bins]
-        at += bins
-        used = ((x > 0) | (y > 0)).sum(1)
-        same = ((x == y) & (x > 0)).sum(1)
-        jaccard = np.divide(same, used, out=np.zeros(len(x)), where=used > 0)
-        jaccard = np.where(same == used, jaccard, np.maximum(0.0, (jaccard - 1 / 255) / (1 - 1 / 255)))
-        jaccard[used == 0] = 1.0
-        found[level] = 2 * jaccard / (1 + jaccard)
-        full[level] = np.minimum((x > 0).sum(1), (y > 0).sum(1))
-    return np.where(full[3] >= ENOUGH, found[3], found[2])
+    used = ((a > 0) | (b > 0)).sum(1)
+    same = ((a == b) & (a > 0)).sum(1)
+    jaccard = np.divide(same, used, out=np.zeros(len(a)), where=used > 0)
+    jaccard = np.where(same == used, jaccard, np.maximum(0.0, (jaccard - 1 / 255) / (1 - 1 / 255)))  # bytes agree by chance
+    jaccard[used == 0] = 1.0
+    return 2 * jaccard / (1 + jaccard)
 
 
 def fingerprint(documents: DataFrame) -> DataFrame:
@@ -157,7 +156,7 @@ def _describe(ids: list[int], texts: list[str]) -> pa.RecordBatch:
     own = fingerprints([x.encode() for x in texts])
     other = fingerprints(edited)
     rows = {
-        "doc_id": ids[:-1],
+        "doc_id": pa.array([None if x == NO_ID else x for x in ids[:-1]], pa.int64()),
         "n_chars": [len(x) for x in texts[:-1]],
         "edited_sha256": [hashlib.sha256(x).hexdigest() for x in edited],
         "fingerprint": [x.tobytes().hex() for x in own[:-1]],
@@ -173,7 +172,8 @@ def compare_edited(documents: DataFrame, ranges: int | None = None) -> DataFrame
     spark = documents.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     ranges = ranges or 4 * parts
-    ids = documents.select(F.col("doc_id").cast("long").alias("doc_id"))
+    known = F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id")
+    ids = documents.select(known)
     points = ids.agg(F.percentile_approx("doc_id", [k / ranges for k in range(1, ranges)] or [0.5], max(10_000, 20 * ranges))).first()[0]
     bounds = np.array(sorted(set(points or [])), np.int64)
 
@@ -181,7 +181,7 @@ def compare_edited(documents: DataFrame, ranges: int | None = None) -> DataFrame
     def range_of(doc_id: pd.Series) -> pd.Series:
         return pd.Series(np.searchsorted(bounds, doc_id.to_numpy(np.int64), side="left").astype(np.int32))
 
-    heads = ids.filter("doc_id IS NOT NULL").select("doc_id", range_of("doc_id").alias("p")).groupBy("p").agg(F.max("doc_id").alias("head")).collect()
+    heads = ids.select("doc_id", range_of("doc_id").alias("p")).groupBy("p").agg(F.max("doc_id").alias("head")).collect()
     heads = sorted((r.p, r.head) for r in heads)
     # the successor of a range's last row is the head of the range below; below the lowest comes the highest
     needs = {head: heads[(i + 1) % len(heads)][0] for i, (_, head) in enumerate(heads)}
@@ -191,7 +191,7 @@ def compare_edited(documents: DataFrame, ranges: int | None = None) -> DataFrame
         own = np.searchsorted(bounds, doc_id.to_numpy(np.int64), side="left").tolist()
         return pd.Series([[p, -1 - needs[d]] if d in needs else [p] for p, d in zip(own, doc_id.tolist(), strict=True)])
 
-    rows = documents.filter("doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    rows = documents.select(known, F.coalesce("text", F.lit("")).alias("text"))
     rows = rows.withColumn("place", F.explode(places("doc_id")))
     rows = rows.select(F.when(F.col("place") < 0, -1 - F.col("place")).otherwise(F.col("place")).alias("p"), (F.col("place") < 0).alias("extra"), "doc_id", "text")
     dealt = rows.repartition(parts, "p").sortWithinPartitions("p", "extra", F.col("doc_id").desc(), F.xxhash64("text"))
