@@ -7,10 +7,14 @@ Three levels of evidence meet in log odds:
   words, word lengths), fitted on a bounded sample of labelled rows;
 * the site (``source``) and the path below it (``source`` and ``lang``): beta
   posteriors of the share of good documents. A site's evidence is the sum of
-  the labels and of the classifier's probabilities over all its documents; the
+  the classifier's probabilities over all its documents; the
   prior of a path is its site's posterior and the prior of a site is the
   global share, with strengths from the method of moments, so sparse sites
-  shrink to what is known above them.
+  shrink to what is known above them. A document's own part is left out of the
+  posteriors that it meets, so nothing counts twice.
+
+The documents' ``source`` stands for the host and ``lang`` for the path, as the
+table has no urls.
 
 Sites are aggregated before the shuffle, so a hot source is one row a task. The
 only things that reach the driver are the sample's features (about
@@ -34,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphweld.llm.common import cut, map_slices
+from graphweld.llm.common import cut, map_slices, stored
 
 #: Labelled rows that the regression is fitted on, about; a share of all by a hash of their id, at most 1.2 times as many.
 SAMPLE = 10_000
@@ -130,7 +134,7 @@ def train(featured: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model
     marked = labels.filter("quality IS NOT NULL").groupBy("doc_id").agg(F.max("quality").alias("quality"))
     share = min(1.0, sample / max(1, labels.count()))
     chosen = marked.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < int(share * (1 << 20)))
-    rows = featured.select("doc_id", "x").join(chosen, "doc_id").select("x", "quality").limit(int(1.2 * sample)).collect()
+    rows = featured.select("doc_id", "x").join(chosen, "doc_id").select("x", "quality", F.xxhash64("doc_id", "x").alias("draw")).orderBy("draw", "quality").limit(int(1.2 * sample)).collect()
     x = np.array([r.x for r in rows], float).reshape(-1, len(NAMES))
     return fit(x, np.array([r.quality for r in rows], float))
 
@@ -166,49 +170,62 @@ def strength(groups: DataFrame, n: str, share: str) -> float:
     return float(min(1000.0, max(2.0, spread / between - 1))) if between > 0 else 1000.0
 
 
-def learn(documents: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> tuple[Model, DataFrame, DataFrame, float]:
-    """(classifier, its evidence for each row, posteriors by source and lang, global share of good documents)."""
+@dataclass
+class Prior:
+    """Global share of good documents and the prior strengths of sites and paths."""
+
+    share: float
+    site: float
+    path: float
+
+
+def learn(documents: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> tuple[Model, DataFrame, DataFrame, Prior]:
+    """(classifier, its evidence for each row, evidence sums by source and lang, prior)."""
     featured = cut(with_features(documents))
     model = train(featured, labels, sample)
-    marked = labels.filter("quality IS NOT NULL").groupBy("doc_id").agg(F.max("quality").cast("double").alias("label"))
-    rows = cut(scored(featured, model).join(marked, "doc_id", "left"))
-    paths = cut(rows.groupBy("source", "lang").agg(F.count(F.lit(1)).cast("double").alias("n"), F.sum(F.coalesce("label", "p")).alias("good")))
+    rows = cut(scored(featured, model))
+    paths = cut(rows.groupBy("source", "lang").agg(F.count(F.lit(1)).cast("double").alias("n"), F.sum("p").alias("good")))
     sites = paths.groupBy("source").agg(F.sum("n").alias("site_n"), F.sum("good").alias("site_good")).withColumn("site_share", F.col("site_good") / F.col("site_n"))
     total = sites.agg(F.sum("site_n").alias("n"), F.sum("site_good").alias("good")).first()
     share = (total.good / total.n) if total.n else model.share
     share = min(max(share, 1e-3), 1 - 1e-3)
     m_site = strength(sites, "site_n", "site_share")
     m_path = strength(paths.withColumn("share", F.col("good") / F.col("n")), "n", "share")
-    sites = sites.withColumn("site_posterior", (F.col("site_good") + m_site * share) / (F.col("site_n") + m_site))
-    levels = paths.withColumnRenamed("source", "_s").join(sites.select(F.col("source").alias("_t"), "site_posterior"), F.col("_s").eqNullSafe(F.col("_t")))
-    levels = levels.withColumn("path_posterior", (F.col("good") + m_path * F.col("site_posterior")) / (F.col("n") + m_path))
-    return model, rows, levels.select("_s", F.col("lang").alias("_l"), "site_posterior", "path_posterior"), share
-
-
-def combined(rows: DataFrame, levels: DataFrame, share: float) -> DataFrame:
-    """Adds the posteriors, quality and the decision to rows with source, lang and evidence."""
-    out = rows.join(levels, F.col("source").eqNullSafe(F.col("_s")) & F.col("lang").eqNullSafe(F.col("_l"))).drop("_s", "_l")
+    levels = paths.withColumnRenamed("source", "_s").join(sites.select(F.col("source").alias("_t"), "site_n", "site_good"), F.col("_s").eqNullSafe(F.col("_t")))
+    levels = levels.select("_s", F.col("lang").alias("_l"), F.col("n").alias("_n"), F.col("good").alias("_good"), F.col("site_n").alias("_site_n"), F.col("site_good").alias("_site_good"))
+    # a written table has a size that the planner knows, so it is broadcast only while it is small
+    return model, rows, stored(levels), Prior(share, m_site, m_path)
+
+
+def combined(rows: DataFrame, levels: DataFrame, prior: Prior, own) -> DataFrame:
+    """Adds the posteriors, quality and the decision to rows with source, lang and evidence. own: what the row itself adds to its site."""
+    out = rows.join(levels, F.col("source").eqNullSafe(F.col("_s")) & F.col("lang").eqNullSafe(F.col("_l")))
+    site = (F.greatest(F.col("_site_good") - own, F.lit(0.0)) + prior.site * prior.share) / (F.col("_site_n") - 1 + prior.site)
+    path = (F.greatest(F.col("_good") - own, F.lit(0.0)) + prior.path * F.col("site_posterior")) / (F.col("_n") - 1 + prior.path)
+    out = out.withColumn("site_posterior", site).withColumn("path_posterior", path)
     bounded = F.least(F.greatest("path_posterior", F.lit(1e-4)), F.lit(1 - 1e-4))
-    logit = F.col("evidence") + F.lit(SITE_WEIGHT) * (F.log(bounded / (1 - bounded)) - F.lit(math.log(share / (1 - share))))
+    logit = F.col("evidence") + F.lit(SITE_WEIGHT) * (F.log(bounded / (1 - bounded)) - F.lit(math.log(prior.share / (1 - prior.share))))
+    out = out.drop("_s", "_l", "_n", "_good", "_site_n", "_site_good")
     return out.withColumn("quality", 1 / (1 + F.exp(-logit))).withColumn("keep", F.col("quality") >= KEEP_FROM)
 
 
 def classify(documents: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
     """doc_id, source, lang, evidence, site_posterior, path_posterior, quality (probability of being good), keep."""
-    _, rows, levels, share = learn(documents, labels, sample)
-    return combined(rows, levels, share).select("doc_id", "source", "lang", "evidence", "site_posterior", "path_posterior", "quality", "keep")
+    _, rows, levels, prior = learn(documents, labels, sample)
+    return combined(rows, levels, prior, F.col("p")).select("doc_id", "source", "lang", "evidence", "site_posterior", "path_posterior", "quality", "keep")
 
 
 def keep_good(documents: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
     """The documents that are kept, with all their columns; their texts are read again instead of being shuffled."""
-    model, _, levels, share = learn(documents, labels, sample)
+    model, _, levels, prior = learn(documents, labels, sample)
 
     @F.pandas_udf("double")
     def evidence(body: pd.Series) -> pd.Series:
         return pd.Series(model.logit(np.array([features(b or b"") for b in body]).reshape(-1, len(NAMES))))
 
     names = documents.columns
-    taken = {c: f"_in_{i}" for i, c in enumerate(names) if c in ("evidence", "quality", "keep", "site_posterior", "path_posterior", "_s", "_l")}
+    own = ("evidence", "quality", "keep", "site_posterior", "path_posterior", "_s", "_l", "_n", "_good", "_site_n", "_site_good")
+    taken = {c: f"_in_{i}" for i, c in enumerate(names) if c in own}
     rows = documents.withColumnsRenamed(taken).withColumn("evidence", evidence(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
-    kept = combined(rows, levels, share).filter("keep").drop("evidence", "quality", "keep", "site_posterior", "path_posterior")
+    kept = combined(rows, levels, prior, 1 / (1 + F.exp(-F.col("evidence")))).filter("keep").drop(*own)
     return kept.withColumnsRenamed({v: k for k, v in taken.items()}).select(*names)
