@@ -49,6 +49,21 @@ def test_raw_elements_end_at_their_end_tag():
         assert html_mincut.main_text(script + body + "<script>1</script>") == "The text of it, all of it."
     assert html_mincut.main_text("<article><p>Let <math><mi>x</mi></math> be, <svg><path d='1'/><text>five</text></svg> or <button>six</button>.</p></article>") == "Let x be, five or six."
     assert html_mincut.main_text(body + "<script>if(a<b)") == "The text of it, all of it."
+    two = "<article><p>First words of it, here.</p>{}<p>Then the others, there.</p></article>"
+    for script in ("<script>document.write(\"<a href='x'+y);</script>", '<script>var s="<!--";</script>'):
+        assert html_mincut.main_text(two.format(script)) == "First words of it, here. Then the others, there."
+    for tag, text in (('<p title="A hidden gem">', "Kept."), ('<p data-id="comments">', "Kept."), ("<p><a href=/x?id=nav>", "Kept.")):
+        assert html_mincut.main_text(two.format(f"{tag}{text}</p>")) == f"First words of it, here. {text} Then the others, there."
+
+
+def test_the_cut_decides():
+    long = "<p>A long enough paragraph, with words and stops in it. And then some more of them, to be sure.</p>"
+    alone = lambda page: [k for _, k in html_mincut.labelled(page, smooth=0)]
+    cut = lambda page: [k for _, k in html_mincut.labelled(page)]
+    between = f"<body><div>{long}<div>Short bit</div>{long}</div></body>"
+    assert alone(between) == [True, False, True] and cut(between) == [True, True, True]
+    at_the_end = f"<body><div>{long}{long}<div>Short bit</div></div></body>"
+    assert alone(at_the_end) == cut(at_the_end) == [True, True, False]
 
 
 def test_minimum_cut_is_the_cheapest_labelling():
@@ -224,6 +239,9 @@ def test_phrase_fingerprints(spark, rows):
     assert got[103].fingerprint == got[104].fingerprint == got[3].fingerprint and got[104].near_next == 1.0
     assert phrase_fingerprint.compare_edited(documents(spark, [])).count() == 0
     assert phrase_fingerprint.compare_edited(documents(spark, rows)).count() == len(rows)
+    odd = phrase_fingerprint.compare_edited(documents(spark, [(5, "five five", "a"), (None, "none", "a"), (7, "seven", "a")])).collect()
+    sha = lambda x: hashlib.sha256(x.encode()).hexdigest()
+    assert {(x.doc_id, x.edited_sha256) for x in odd} == {(7, sha("sevef")), (5, sha("five fnon")), (None, sha("nons"))}
 
 
 def test_phrases_are_local():
@@ -245,7 +263,7 @@ def test_licenses(spark):
 
 def test_wrapped_licenses(spark):
     wrap = lambda text, n, sign="": "\n".join(sign + " ".join(text.split()[i : i + n]) for i in range(0, len(text.split()), n))
-    wanted = {k: license_join.TEMPLATES[k][0] for k in ("bsd", "lgpl", "agpl", "mpl-2.0")}
+    wanted = {k: license_join.TEMPLATES[k][0].replace("*", "") for k in ("bsd", "lgpl", "agpl", "mpl-2.0")}
     texts = [(k, f"Some file\n\n{wrap(t, n, sign)}\n\ncode here") for k, t in wanted.items() for n in (3, 5, 7) for sign in ("", " * ", "# ")]
     apart = "redistribution and use in source " + "filler words here " * 9 + "binary forms with or without modification are permitted"
     got = {r.doc_id: r for r in license_join.scan(documents(spark, [*((i, t, "a") for i, (_, t) in enumerate(texts)), (900, apart.replace(" filler", "\nfiller"), "a")])).collect()}
@@ -253,30 +271,58 @@ def test_wrapped_licenses(spark):
     assert got[900].labels == "" and got[900].n_blocks == 0
 
 
-def test_windows_equal_brute_force():
+def test_confusable_licenses(spark):
+    cases = {
+        "This work is licensed under CC BY 4.0": "cc-by",
+        "Licensed under a Creative Commons Attribution License.": "cc-by",
+        "Licensed under CC BY-NC 4.0.": "cc-by,cc-by-nc",  # the base phrase stands in it too
+        "Licensed under a Creative Commons Attribution-NonCommercial License": "cc-by-nc",
+        "licensed under CC BY-NC-SA 4.0": "cc-by,cc-by-nc-sa",
+        "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License": "gpl",
+        "GNU Lesser General Public License as published by the Free Software Foundation": "gpl,lgpl",
+        "GNU Affero General Public License as published by the Free Software Foundation": "agpl,gpl",
+        "Released under the BSD license": "bsd",
+        "released under the terms of the license": "",
+        "the reserved seats have all the rights": "",
+        "Released under the MIT License.": "mit",
+        "Licensed under the Apache License, Version 2.0.": "apache-2.0",
+        "This work is licensed under the GNU General Public License, version 3.": "gpl",
+        "All rights reserved.": "reserved",
+    }
+    got = {r.doc_id: r.labels for r in license_join.scan(documents(spark, [(i, t, "a") for i, t in enumerate(cases)])).collect()}
+    assert [got[i] for i in range(len(cases))] == list(cases.values())
+
+
+def slow_hits(words, templates, threshold=0.8):
+    """Every window of every template over a whole text, without filters or sliding counts."""
+    runs = []
+    for label, texts in templates.items():
+        for text in texts:
+            tokens, must = {w.rstrip("*") for w in text.split()}, {w[:-1] for w in text.split() if w.endswith("*")}
+            span = -int(-len(text.split()) // threshold)
+            own = []
+            for end in range(len(words)):
+                start = max(0, end - span + 1)
+                inside = set(words[start : end + 1]) & tokens
+                if len(inside) >= threshold * len(tokens) - 1e-9 and inside >= must:
+                    if own and start <= own[-1][1]:
+                        own[-1] = (own[-1][0], end)
+                    else:
+                        own.append((start, end))
+            runs += [(label, frozenset(must), a, b) for a, b in own]
+    return sorted({r[0] for r in runs if not any(r[1] < q[1] and q[2] <= r[3] and r[2] <= q[3] for q in runs)})
+
+
+def test_whole_documents_equal_brute_force():
     r = random.Random(9)
-    templates = {f"t{i}": [" ".join(r.choices("abcdefghij", k=r.randint(2, 9)))] for i in range(10)}
-    ready, index = license_join.compile_templates(templates, {}, 0.8)
-    spans = [len(t.split()) for texts in templates.values() for t in texts]
-    for _ in range(500):
-        words = [x.encode() for x in r.choices("abcdefghijklmnopqrstuvw", k=r.randint(0, 60))]
-        want = {}
-        for t, (_, tokens, need) in enumerate(ready):
-            best = max((len(set(words[i : i + spans[t]]) & set(tokens)) for i in range(len(words))), default=0)
-            if best >= need:
-                want[t] = best / len(tokens)
-        assert license_join.join_windows(words, ready, index, spans)[0] == want
-
-
-def test_set_join_equals_brute_force():
-    r = random.Random(6)
-    templates = {f"t{i}": [" ".join(r.sample("a b c d e f g h i j k l m n".split(), r.randint(2, 9)))] for i in range(12)}
-    counts = {w.encode(): r.randint(0, 50) for w in "abcdefghijklmn"}
+    pool = "abcdefghij"
+    templates = {f"t{i}": [" ".join(w + "*" * (r.random() < 0.3) for w in r.sample(pool, r.randint(2, 9)))] for i in range(10)}
+    counts = {w.encode(): r.randint(0, 50) for w in pool}
     ready, index = license_join.compile_templates(templates, counts, 0.8)
-    for _ in range(2000):
-        block = {x.encode() for x in r.sample("abcdefghijklmnopq", r.randint(0, 12))}
-        want = {t: sum(w in block for w in tokens) / len(tokens) for t, (_, tokens, _) in enumerate(ready) if sum(w in block for w in tokens) >= 0.8 * len(tokens) - 1e-9}
-        assert license_join.join_block(block, ready, index) == want
+    for _ in range(400):
+        words = r.choices("abcdefghijklmnopqrstuvw", k=r.randint(0, 80))
+        hits = license_join.most_specific(license_join.join_windows([w.encode() for w in words], ready, index), ready)
+        assert sorted({ready[h[0]].label for h in hits}) == slow_hits(words, templates)
 
 
 def test_media_round_trip(spark):
@@ -289,9 +335,24 @@ def test_media_round_trip(spark):
         assert iso_media.payload(bytes(got[i].media), info) == padded
         assert (got[i].n_bytes, got[i].payload_bytes, got[i].payload_sha256, got[i].tail_crc32) == (len(body), len(padded), hashlib.sha256(padded).hexdigest(), zlib.crc32(padded[-32:]))
         assert got[i].media_sha256 == hashlib.sha256(bytes(got[i].media)).hexdigest() and got[i].media_bytes == len(got[i].media)
+        assert [tuple(x) for x in got[i].keyframes] == info["keyframes"] == info["ranges"][::8] and got[i].codec == "raw" and got[i].seconds == len(padded) / 8000
     assert got[0].media_sha256 == got[1].media_sha256
 
 
+def test_foreign_media(spark):
+    good = iso_media.wrap(b"ab" * 288 * 5)
+    empty = iso_media.box(b"trak", iso_media.box(b"mdia"))
+    at = good.index(b"moov") - 4
+    grown = int.from_bytes(good[at : at + 4], "big") + len(empty)
+    first = good[:at] + grown.to_bytes(4, "big") + good[at + 4 : at + 8] + empty + good[at + 8 :]
+    lost = good.replace(b"stsz", b"free")
+    files = [good, first, lost, b"", None, b"\x89PNG not media", good[: len(good) // 2], b"\0\0\0\x08moov" * 3]
+    rows = iso_media.describe(spark.createDataFrame(list(enumerate(files)), "id long, media binary")).collect()
+    assert {r.id for r in rows} <= {0, 1, 6} and rows[0].samples == 5 and rows[0].codec == "raw " and len(rows[0].keyframes) == 1
+    assert iso_media.track(b"") is None
+
+
+
 def removed(rows):
     bodies = [(d, (t or "").encode()) for d, t, _ in rows]
     seen = Counter(b[i : i + 200] for _, b in bodies for i in range(len(b) - 199))
@@ -372,8 +433,29 @@ def test_url_rules(spark):
     assert got[2] == ("a.example.com", "/en/7x", "example.com/en/7", "allow") and got[3][2:] == ("com/en/", "block")
     assert got[4][2:] == ("net/de/", "block") and got[5][2:] == ("example.net/de/8", "allow") and got[6][2:] == ("net/de/", "block")
     assert got[7] == ("org", "", None, "allow") and got[8][2] == "org/es/"
-    rules = spark.createDataFrame(list(url_rules.RULES), "verdict string, host string, path string")
-    assert {r.page_id: (r.host, r.path, r.rule, r.verdict) for r in url_rules.judge_large(pages.select("page_id", "url"), rules).collect()} == got
+    rules = spark.createDataFrame([*url_rules.RULES, ("block", "", "/x"), ("block", None, "/x")], "verdict string, host string, path string")
+    assert {r.page_id: (r.host, r.path, r.rule, r.verdict) for r in url_rules.judge(pages.select("page_id", "url"), rules, ranges=3).collect()} == got
+    again = spark.createDataFrame([(1, "http://a.com/en/"), (1, "http://b.net/fr/"), (None, "http://b.net/de/")], "page_id long, url string")
+    assert {(r.page_id, r.host, r.rule) for r in url_rules.judge(again).collect()} == {(1, "a.com", "com/en/"), (1, "b.net", None), (None, "b.net", "net/de/")}
+    assert url_rules.judge(pages.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("ranges", [1, 5, 40])
+def test_url_merge_equals_brute_force(spark, ranges):
+    r = random.Random(ranges)
+    host = lambda: ".".join(r.choices(["a", "b", "a-b", "com", "net", "é"], k=r.randint(1, 4)))
+    path = lambda: "/" + "".join(r.choices("ab/", k=r.randint(0, 4)))
+    rules = list({(h, p): (r.choice(["allow", "block"]), h, p) for h, p in ((host(), path()) for _ in range(60))}.values())
+    urls = ["http://a.com/ab"] * 200 + [f"http://{host()}{path()}" for _ in range(300)]
+    pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    got = {x.page_id: (x.rule, x.verdict) for x in url_rules.judge(pages, rules, ranges=ranges).collect()}
+    for i, u in enumerate(urls):
+        h, p = u[7:].split("/", 1)[0], "/" + u[7:].split("/", 1)[1]
+        fit = [(len(a + b), a + b, v) for v, a, b in rules if (h == a or h.endswith("." + a)) and p.startswith(b)]
+        best = max(fit, default=None)
+        assert (got[i][0] is None) == (best is None)
+        if best:
+            assert len(got[i][0]) == best[0] and got[i] in {(t, v) for n, t, v in fit if n == best[0]}
 
 
 def test_quality(spark):
