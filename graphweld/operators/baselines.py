@@ -66,9 +66,9 @@ def probable_entities(a: DataFrame, b: DataFrame, heads: DataFrame, sub: DataFra
         cp = rules.counterparts(a, b, heads, None, theta).withColumns({"s1": F.lit(theta), "s2": F.lit(theta)})
     else:
         both = sub.withColumn("s_r", F.greatest("sub", "sup")).select("r", "r2", "s_r", F.col("sub").alias("s1"), F.col("sup").alias("s2"))
-        cp = rules.counterparts(a, b, heads, both.select("r", "r2", "s_r"), theta).join(F.broadcast(both.drop("s_r")), ["r", "r2"])
-    fa = F.broadcast(fun.of_relations(a).withColumnRenamed("f", "f1"))
-    fb = F.broadcast(fun.of_relations(b).withColumnsRenamed({"r": "r2", "f": "f2"}))
+        cp = rules.counterparts(a, b, heads, both.select("r", "r2", "s_r"), theta).join(both.drop("s_r"), ["r", "r2"])
+    fa = cut(fun.of_relations(a).withColumnRenamed("f", "f1"))  # written, so that the planner knows its size
+    fb = cut(fun.of_relations(b).withColumnsRenamed({"r": "r2", "f": "f2"}))
     rows = cp.join(fa, "r").join(fb, "r2")
     miss = (1.0 - F.col("s2") * F.col("f1") * F.col("s_h")) * (1.0 - F.col("s1") * F.col("f2") * F.col("s_h"))
     return rows.withColumn("p", 1.0 - miss).groupBy("t", "t2").agg(none_of(F.col("p")).alias("score"))
@@ -81,7 +81,7 @@ def probable_inclusion(a: DataFrame, b: DataFrame, nodes: DataFrame) -> DataFram
     pairs = a.select("h", "r", "t").join(heads, "h").join(tails, "t").withColumn("p", F.col("s1") * F.col("s2"))
     base = pairs.groupBy("r", "h", "t").agg(none_of(F.col("p")).alias("p")).groupBy("r").agg(F.sum("p").alias("total"))
     seen = pairs.join(b.select(F.col("h").alias("h2"), F.col("r").alias("r2"), F.col("t").alias("t2")), ["h2", "t2"]).groupBy("r", "h", "t", "r2").agg(none_of(F.col("p")).alias("p"))
-    return seen.groupBy("r", "r2").agg(F.sum("p").alias("s")).join(F.broadcast(base), "r").select("r", "r2", (F.col("s") / F.col("total")).alias("degree"))
+    return seen.groupBy("r", "r2").agg(F.sum("p").alias("s")).join(base, "r").select("r", "r2", (F.col("s") / F.col("total")).alias("degree"))
 
 
 def probabilistic(a: DataFrame, b: DataFrame, literals: DataFrame, rounds: int = 5, theta: float = 0.1, seeds: DataFrame | None = None) -> DataFrame:

@@ -10,7 +10,7 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from graphweld.functions.aggregators import PLAIN, grouped
@@ -118,8 +118,3 @@ def ground(a: DataFrame, b: DataFrame, theta_r: float = 0.1) -> tuple[DataFrame,
     rules = rows.select("rule", F.concat_ws("=", "t", "t2").alias("conclusion"), F.lit("min").alias("agg"), F.lit(1.0).alias("alpha"))
     premises = rows.select("rule", F.lit(0).alias("pos"), F.concat_ws("=", "h", "h2").alias("var")).unionByName(rows.select("rule", F.lit(1).alias("pos"), F.concat_ws("~", "r", "r2").alias("var")))
     return rules, premises
-
-
-def running_rank(rows: DataFrame, by: str, order: list) -> DataFrame:
-    """Position of each row of a rule."""
-    return rows.withColumn("pos", F.row_number().over(Window.partitionBy(by).orderBy(*order)))

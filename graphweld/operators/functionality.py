@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from graphweld.plans.lineage import cut
+
 
 def of_relations(facts: DataFrame) -> DataFrame:
     """(r, f): heads over facts. Two-step: heads are counted once each, before the final sum."""
@@ -67,13 +69,22 @@ def pair_mean_local(facts: DataFrame) -> DataFrame:
 
 
 def pair_sampled(facts: DataFrame, size: int, seed: int = 7) -> DataFrame:
-    """(r1, r2, f, n): estimate of ``of_pairs`` from at most ``size`` hash-chosen tails' lists per relation list.
-
-    The mean of local functionalities over a sample of (head list, tail) pairs;
-    the error is below sqrt(ln(2/d) / (2 n)) with probability 1 - d.
+    """(r1, r2, f, n): estimate of ``of_pairs`` from about ``size`` lists per relation list.
+
+    Tails are chosen by hash first, with a share for each relation list that
+    follows from the counted number of its lists, and only their lists are
+    enumerated. The estimate is the mean of the local functionalities of these
+    lists, which are exact. For lists drawn one by one the error is below
+    sqrt(ln(2/d) / (2 n)) with probability 1 - d; lists of one tail are drawn
+    together, so tails with many lists widen it.
     """
-    w = Window.partitionBy("r1", "r2").orderBy(F.xxhash64(F.lit(seed), "h1", "h2", "t"))
-    sample = pairs(facts).withColumn("k", F.row_number().over(w)).filter(F.col("k") <= size).drop("k")
+    share = cut(pair_counts(facts).select("r1", "r2", F.least(F.lit(1.0), F.lit(float(size)) / F.col("n")).alias("q")))
+    draw = lambda t: F.pmod(F.xxhash64(F.lit(seed), t), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    a = facts.select("t", F.col("r").alias("r1"), F.col("h").alias("h1"), draw(F.col("t")).alias("u"))
+    a = a.join(share.groupBy("r1").agg(F.max("q").alias("most")), "r1").filter("u < most").drop("most")
+    b = facts.select("t", F.col("r").alias("r2"), F.col("h").alias("h2"))
+    sample = a.join(b, "t").filter("r1 < r2 OR (r1 = r2 AND h1 < h2)").join(share, ["r1", "r2"]).filter("u < q")
+    sample = sample.select("r1", "h1", "r2", "h2", "t")
     needed = sample.select("r1", "h1", "r2", "h2").distinct()
     local = local_lists(facts, needed.select(F.array(F.struct(F.col("r1").alias("r"), F.col("h1").alias("h")), F.struct(F.col("r2").alias("r"), F.col("h2").alias("h"))).alias("items")))
     local = local.select(*(F.col("items")[i][c].alias(f"{c}{i + 1}") for i in range(2) for c in ("r", "h")), "f")
@@ -89,28 +100,70 @@ def pair_approximate(facts: DataFrame, error: float = 0.02) -> DataFrame:
 # ---------------------------------------------------------------- on demand, any length
 
 
-def local_lists(facts: DataFrame, needed: DataFrame) -> DataFrame:
-    """(items, f) for the distinct arrays of (r, h) in ``needed``: one over the tails that have all facts of the list."""
-    keys = needed.select("items").distinct().withColumn("size", F.size("items"))
-    one = keys.select("items", "size", F.explode("items").alias("i")).select("items", "size", "i.r", "i.h")
-    tails = one.join(facts.select("r", "h", "t"), ["r", "h"]).groupBy("items", "size", "t").agg(F.count(F.lit(1)).alias("n")).filter("n = size")
-    return tails.groupBy("items").agg((F.lit(1.0) / F.count(F.lit(1))).alias("f"))
-
+def local_lists(facts: DataFrame, needed: DataFrame, heads: DataFrame | None = None) -> DataFrame:
+    """(items, f) for the distinct arrays of (r, h) in ``needed``, lists that some tail has: one over the tails that have all facts.
 
-def global_lists(facts: DataFrame, needed: DataFrame, longest: int) -> DataFrame:
+    Only the tails of the fact with the fewest are looked at; the others are
+    looked up. A list with a fact of a single tail has that one, so it is 1.
+    heads: what ``of_heads`` gives, if it is known already.
+    """
+    degree = (of_heads(facts) if heads is None else heads).select("r", "h", F.round(1.0 / F.col("f")).cast("long").alias("d"))
+    keys = needed.select("items").distinct().withColumn("k", F.xxhash64("items"))
+    each = keys.select("k", "items", F.explode("items").alias("i")).select("k", "items", "i.r", "i.h").join(degree, ["r", "h"])
+    least = each.groupBy("k", "items").agg(F.min(F.struct("d", "r", "h")).alias("m"))
+    sure = least.filter("m.d = 1").select("items", F.lit(1.0).alias("f"))
+    open_ = least.filter("m.d > 1").select("items", F.col("m.r").alias("r"), F.col("m.h").alias("h"))
+    tails = open_.join(facts.select("r", "h", "t"), ["r", "h"]).select("items", "t", F.explode(F.filter("items", lambda x: ~((x.r == F.col("r")) & (x.h == F.col("h"))))).alias("o"))
+    rest = tails.select("items", "t", F.col("o.r").alias("r"), F.col("o.h").alias("h")).join(facts.select("r", "h", "t"), ["r", "h", "t"], "left_semi")
+    whole = rest.groupBy("items", "t").agg(F.count(F.lit(1)).alias("n")).filter("n = size(items) - 1")
+    single = open_.filter("size(items) = 1").join(facts.select("r", "h", "t"), ["r", "h"]).select("items", "t")
+    counted = whole.select("items", "t").unionByName(single).groupBy("items").agg((F.lit(1.0) / F.count(F.lit(1))).alias("f"))
+    return sure.unionByName(counted)
+
+
+def global_lists(facts: DataFrame, needed: DataFrame, longest: int, relations: DataFrame | None = None, budget: int | None = None, seed: int = 7) -> DataFrame:
     """(rels, f) for the distinct relation lists (arrays of r) in ``needed``: head lists over (head list, tail) pairs.
 
-    Grows head lists position by position, for the needed relation lists only.
+    A list with a relation whose heads all have one tail is 1, as the head
+    fixes the tail. The others grow head lists position by position. budget:
+    relation lists of more (head list, tail) pairs, counted by degrees, are
+    estimated from hash-chosen tails with about that many: the mean of the local
+    functionality, which equals the global one over all tails.
     """
     keys = needed.select("rels").distinct().withColumn("size", F.size("rels"))
+    known = of_relations(facts) if relations is None else relations
+    fixed = keys.select("rels", F.explode("rels").alias("r")).join(known.filter("f = 1.0").select("r"), "r", "left_semi").select("rels").distinct()
+    sure = fixed.select("rels", F.lit(1.0).alias("f"))
+    keys = keys.join(fixed, "rels", "left_anti")
     one = facts.select("r", "h", "t")
-    done = None
-    grown = keys.select("rels", "size", F.col("rels")[0].alias("r")).join(one, "r").select("rels", "size", "t", F.array("h").alias("hs"))
+    draw = F.pmod(F.xxhash64(F.lit(seed), "t"), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    if budget is None:
+        keys = keys.withColumn("q", F.lit(1.0))
+    else:
+        keys = keys.join(list_counts(one, keys.select("rels")), "rels").withColumn("q", F.least(F.lit(1.0), F.lit(float(budget)) / F.col("n"))).select("rels", "size", "q")
+    done = sure
+    grown = keys.select("rels", "size", "q", F.col("rels")[0].alias("r")).join(one, "r").filter(draw < F.col("q")).select("rels", "size", "q", "t", F.array("h").alias("hs"))
     for n in range(1, longest + 1):
-        full = grown.filter(F.col("size") == n).groupBy("rels", "hs").agg(F.count(F.lit(1)).alias("k")).groupBy("rels").agg((F.count(F.lit(1)) / F.sum("k")).alias("f"))
-        done = full if done is None else done.unionByName(full)
+        full = grown.filter(F.col("size") == n)
+        exact = full.filter("q = 1").groupBy("rels", "hs").agg(F.count(F.lit(1)).alias("k")).groupBy("rels").agg((F.count(F.lit(1)) / F.sum("k")).alias("f"))
+        done = done.unionByName(exact)
+        if budget is not None:
+            part = full.filter("q < 1").withColumn("items", F.arrays_zip(F.col("rels").alias("r"), F.col("hs").alias("h")))
+            local = local_lists(facts, part.select("items"))
+            done = done.unionByName(part.join(local, "items").groupBy("rels").agg(F.avg("f").alias("f")))
         if n < longest:
             step = grown.filter(F.col("size") > n).withColumn("r", F.col("rels")[n]).join(one, ["r", "t"])
             later = (F.col("rels")[n] != F.col("rels")[n - 1]) | (F.col("h") > F.element_at("hs", -1))
-            grown = step.filter(later).select("rels", "size", "t", F.concat("hs", F.array("h")).alias("hs"))
+            grown = step.filter(later).select("rels", "size", "q", "t", F.concat("hs", F.array("h")).alias("hs"))
     return done
+
+
+def list_counts(facts: DataFrame, needed: DataFrame) -> DataFrame:
+    """(rels, n): the (head list, tail) pairs of relation lists, from the degrees of tails: over all tails the product of binomials."""
+    degree = facts.groupBy("t", "r").agg(F.count(F.lit(1)).cast("double").alias("d"))
+    wanted = needed.select("rels").distinct().select("rels", F.explode(F.array_distinct("rels")).alias("r"))
+    wanted = wanted.withColumns({"m": F.size(F.filter("rels", lambda x: x == F.col("r"))), "kinds": F.size(F.array_distinct("rels"))})
+    ways = F.aggregate(F.sequence(F.lit(1), F.col("m")), F.lit(1.0), lambda s, i: s * F.greatest(F.lit(0.0), F.col("d") - i + 1) / i)
+    rows = wanted.join(degree, "r").withColumn("w", ways).filter("w > 0")
+    each = rows.groupBy("rels", "t").agg(F.count(F.lit(1)).alias("k"), F.exp(F.sum(F.ln("w"))).alias("w"), F.first("kinds").alias("kinds"))
+    return each.filter("k = kinds").groupBy("rels").agg(F.sum("w").alias("n"))

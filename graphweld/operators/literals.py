@@ -13,6 +13,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from graphweld.plans.lineage import cut
+
 
 def grams(text: Column, size: int = 3) -> Column:
     """All substrings of ``size`` characters of the text between two marks."""
@@ -35,21 +37,27 @@ def vectors(strings: DataFrame, encoder: str = "ngram") -> DataFrame:
     return counts.withColumn("w", F.col("c") / F.sqrt(F.sum(F.col("c") * F.col("c")).over(Window.partitionBy("s")))).select("s", "g", "w")
 
 
-def strings_similar(a: DataFrame, b: DataFrame, theta: float = 0.7, top: int | None = 1, encoder: str = "ngram", common: float | None = None) -> DataFrame:
-    """(s, s2, sim) of distinct strings above ``theta``; each string keeps its ``top`` ranks, from either side.
+def strings_similar(a: DataFrame, b: DataFrame, theta: float = 0.7, top: int | None = 1, encoder: str = "ngram") -> DataFrame:
+    """(s, s2, sim) of distinct strings from ``theta`` on; each string keeps its ``top`` ranks, from either side.
 
-    ``common``: grams in more than this share of the second side's strings only
-    count for the cosine and don't propose partners.
+    Exact by a prefix filter: grams are in order of how many strings hold them,
+    rarest first. The grams after a string's prefix have a norm below theta, so
+    two strings without a common prefix gram are less alike than theta. Only
+    prefix grams propose pairs; common grams just count for the cosine.
     """
-    x = vectors(a, encoder)
-    y = vectors(b, encoder).withColumnsRenamed({"s": "s2", "w": "w2"})
-    if common is None:
-        sims = x.join(y, "g").groupBy("s", "s2").agg(F.sum(F.col("w") * F.col("w2")).alias("sim"))
-    else:
-        total = y.select("s2").distinct().count()
-        rare = y.groupBy("g").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") <= max(1.0, common * total)).select("g")
-        proposed = x.join(rare, "g").join(y.select("g", "s2"), "g").select("s", "s2").distinct()
-        sims = proposed.join(x, "s").join(y, ["s2", "g"]).groupBy("s", "s2").agg(F.sum(F.col("w") * F.col("w2")).alias("sim"))
+    x, y = vectors(a, encoder), vectors(b, encoder)
+    held = x.select("g").unionByName(y.select("g")).groupBy("g").agg(F.count(F.lit(1)).alias("n"))
+
+    def side(v: DataFrame) -> DataFrame:
+        order = Window.partitionBy("s").orderBy("n", "g").rowsBetween(0, Window.unboundedFollowing)
+        marked = v.join(held, "g").withColumn("rest", F.sqrt(F.sum(F.col("w") * F.col("w")).over(order)))
+        return marked.select("s", "g", "w", (F.col("rest") >= F.lit(theta) - 1e-9).alias("first"))
+
+    left, right = cut(side(x)), cut(side(y))
+    proposed = left.filter("first").select("s", "g").join(right.filter("first").select(F.col("s").alias("s2"), "g"), "g").select("s", "s2").distinct()
+    whole = lambda v: v.groupBy("s").agg(F.map_from_entries(F.collect_list(F.struct("g", "w"))).alias("v"))
+    dot = F.aggregate(F.map_entries("v"), F.lit(0.0), lambda acc, e: acc + e.value * F.coalesce(F.try_element_at("v2", e.key), F.lit(0.0)))
+    sims = proposed.join(whole(left), "s").join(whole(right).withColumnsRenamed({"s": "s2", "v": "v2"}), "s2").select("s", "s2", dot.alias("sim"))
     sims = sims.withColumn("sim", F.least(F.lit(1.0), F.round("sim", 9))).filter(F.col("sim") >= theta)
     return sims if top is None else best(sims, "s", "s2", top)
 

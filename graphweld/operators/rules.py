@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from functools import reduce
+
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from graphweld.operators import functionality as fun
 from graphweld.operators.facts import is_literal
-from graphweld.plans.lineage import cut
+from graphweld.plans.lineage import cut, keep, release
 
 
 def counterparts(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame | None = None, theta_r: float = 0.1) -> DataFrame:
@@ -34,17 +36,52 @@ def candidates(cp: DataFrame, direction: str = "left", top: int = 1) -> DataFram
     return ranked.filter(F.col("k") <= top).drop("k")
 
 
-def ranked_lists(cp: DataFrame, longest: int = 4) -> DataFrame:
-    """(t, t2, items): the best counterparts of a pair by the weaker of head and relation score, one to one, at most ``longest``.
+#: Counterparts of a pair that are looked at first; pairs that need more get all of theirs.
+FIRST = 32
+
+
+def ranked_lists(cp: DataFrame, longest: int = 4, first: int | None = FIRST) -> DataFrame:
+    """(t, t2, items, seen): the best counterparts of a pair by the weaker of head and relation score, one to one, at most ``longest``.
 
     The first in rank wins on either side, so both lists hold distinct facts.
+    Only the ``first`` ranks of a pair are gathered, which is cut off before the
+    shuffle; ``seen`` tells how many there were. None: all are gathered.
     """
+    kind = "array<struct<m:double,n:double,r:string,h:string,r2:string,h2:string,s_h:double,s_r:double>>"
     item = F.struct((-F.least("s_h", "s_r")).alias("m"), (-F.col("s_h")).alias("n"), "r", "h", "r2", "h2", "s_h", "s_r")
-    rows = cp.groupBy("t", "t2").agg(F.array_sort(F.collect_list(item)).alias("all"))
     taken = lambda acc, x: F.exists(acc, lambda y: ((y.r == x.r) & (y.h == x.h)) | ((y.r2 == x.r2) & (y.h2 == x.h2)))
-    kind = "array<struct<m:double,n:double,r:string,h:string,r2:string,h2:string,s_h:double,s_r:double>>"
     greedy = F.aggregate("all", F.expr("array()").cast(kind), lambda acc, x: F.when((F.size(acc) >= longest) | taken(acc, x), acc).otherwise(F.concat(acc, F.array(x).cast(kind))))
-    return rows.select("t", "t2", greedy.alias("items"))
+    if first is not None:
+        rank = F.row_number().over(Window.partitionBy("t", "t2").orderBy(F.desc(F.least("s_h", "s_r")), F.desc("s_h"), "r", "h", "r2", "h2"))
+        cp = cp.withColumn("k", rank).filter(F.col("k") <= first)
+    return cp.groupBy("t", "t2").agg(F.array_sort(F.collect_list(item)).alias("all")).select("t", "t2", greedy.alias("items"), F.size("all").alias("seen"))
+
+
+def ranked_prefixes(cp: DataFrame, longest: int, minimum: bool = False, first: int = FIRST) -> DataFrame:
+    """``prefixes`` of ``ranked_lists``, written. A pair whose list is short of ``longest`` after its ``first`` counterparts is done again with all of them."""
+    short = (F.col("seen") >= first) & (F.size("items") < longest)
+    watch = Observation()
+    top = ranked_lists(cp, longest, first)
+    lists = cut(prefixes(top.observe(watch, F.count(F.when(short, 1)).alias("short")), longest, minimum))
+    if not watch.get["short"]:
+        return lists
+    again = cut(top.filter(short).select("t", "t2"))
+    more = prefixes(ranked_lists(cp.join(again, ["t", "t2"], "left_semi"), longest, None), longest, minimum)
+    return cut(lists.join(again, ["t", "t2"], "left_anti").unionByName(more))
+
+
+def positional_lists(cp: DataFrame, longest: int = 4) -> DataFrame:
+    """As ``ranked_lists``, paired by place: both sides' facts are ordered by name and the first meets the first. For comparison only, as names of two graphs don't sort alike."""
+    left = Window.partitionBy("t", "t2").orderBy("r", "h")
+    a = cp.select("t", "t2", "r", "h").distinct().withColumn("k", F.row_number().over(left)).filter(F.col("k") <= longest)
+    right = Window.partitionBy("t", "t2").orderBy("r2", "h2")
+    b = cp.select("t", "t2", "r2", "h2").distinct().withColumn("k", F.row_number().over(right)).filter(F.col("k") <= longest)
+    rows = a.join(b, ["t", "t2", "k"]).join(cp, ["t", "t2", "r", "h", "r2", "h2"])
+    item = F.struct("k", (-F.col("s_h")).alias("n"), "r", "h", "r2", "h2", "s_h", "s_r")
+    # a list ends before the first place where no counterparts meet
+    full = rows.groupBy("t", "t2").agg(F.array_sort(F.collect_list(item)).alias("all"))
+    whole = F.filter("all", lambda x, i: x.k == i + 1)
+    return full.select("t", "t2", whole.alias("items")).filter("size(items) > 0")
 
 
 def prefixes(lists: DataFrame, longest: int, minimum: bool = False) -> DataFrame:
@@ -55,42 +92,71 @@ def prefixes(lists: DataFrame, longest: int, minimum: bool = False) -> DataFrame
     return rows.select("t", "t2", "n", side("r", "h").alias("a"), side("r2", "h2").alias("b"), mean("s_h").alias("hm_h"), mean("s_r").alias("hm_r"))
 
 
-def list_functionality(facts: DataFrame, needed: DataFrame, longest: int, of_relations: DataFrame | None = None, of_heads: DataFrame | None = None) -> DataFrame:
+def list_functionality(facts: DataFrame, needed: DataFrame, longest: int, relations: DataFrame | None = None, heads: DataFrame | None = None, budget: int | None = None) -> DataFrame:
     """(items, f_all, f_here): global and local functionality of the distinct lists in ``needed``; facts closed under inverses.
 
-    of_relations and of_heads: the values of single relations and heads, if they are known already.
+    relations and heads: the values of single relations and heads, if they are known already.
     """
     items = needed.select("items").distinct()
-    of_relations = fun.of_relations(facts) if of_relations is None else of_relations
-    of_heads = fun.of_heads(facts) if of_heads is None else of_heads
+    relations = fun.of_relations(facts) if relations is None else relations
+    heads = fun.of_heads(facts) if heads is None else heads
     single = items.filter("size(items) = 1")
-    here = single.select("items", F.col("items")[0]["r"].alias("r"), F.col("items")[0]["h"].alias("h")).join(of_heads.withColumnRenamed("f", "f_here"), ["r", "h"])
-    out = here.join(F.broadcast(of_relations.withColumnRenamed("f", "f_all")), "r").select("items", "f_all", "f_here")
+    here = single.select("items", F.col("items")[0]["r"].alias("r"), F.col("items")[0]["h"].alias("h")).join(heads.withColumnRenamed("f", "f_here"), ["r", "h"])
+    out = here.join(relations.withColumnRenamed("f", "f_all"), "r").select("items", "f_all", "f_here")
     if longest > 1:
         more = items.filter("size(items) > 1").withColumn("rels", F.transform("items", lambda x: x.r))
-        everywhere = fun.global_lists(facts, more, longest).withColumnRenamed("f", "f_all")
-        local = fun.local_lists(facts, more).withColumnRenamed("f", "f_here")
+        everywhere = fun.global_lists(facts, more, longest, relations, budget).withColumnRenamed("f", "f_all")
+        local = fun.local_lists(facts, more, heads).withColumnRenamed("f", "f_here")
         out = out.unionByName(more.join(local, "items").join(everywhere, "rels").select("items", "f_all", "f_here"))
     return out
 
 
-class ListFunctionality:
-    """Functionality of the lists of one graph; it never changes, so each list is computed once in all rounds."""
+def sided(facts: DataFrame, side: str) -> DataFrame:
+    """Facts of one graph with a mark before their relations, for tables that hold both graphs."""
+    return facts.select("h", F.concat(F.lit(side), "r").alias("r"), "t")
+
 
-    def __init__(self, facts: DataFrame, longest: int) -> None:
-        self.facts, self.longest, self.known = facts, longest, None
-        self.relations, self.heads = cut(fun.of_relations(facts)), cut(fun.of_heads(facts))
+def sided_items(items, side: str):
+    return F.transform(items, lambda x: F.struct(F.concat(F.lit(side), x.r).alias("r"), x.h.alias("h")))
 
-    def of(self, needed: DataFrame) -> DataFrame:
-        items = needed.select("items").distinct()
-        fresh = cut(items if self.known is None else items.join(self.known.select("items"), "items", "left_anti"))
-        if self.known is None or not fresh.isEmpty():
-            new = list_functionality(self.facts, fresh, self.longest, self.relations, self.heads)
-            self.known = cut(new if self.known is None else self.known.unionByName(new))
-        return self.known
 
+class ListFunctionality:
+    """Functionality of the lists of both graphs; it never changes, so each list, and each relation list, is computed once in all rounds.
+
+    Lists of the two graphs are kept in one table, told apart by a mark before
+    the names of relations, so one pass serves both.
+    """
 
-def entity_scores(a: DataFrame, b: DataFrame, cp: DataFrame, chosen: DataFrame | None = None, longest: int = 2, minimum: bool = False, terms: tuple[str, ...] = ("global", "local"), lists: DataFrame | None = None, known: tuple[ListFunctionality, ListFunctionality] | None = None) -> DataFrame:
+    def __init__(self, a: DataFrame, b: DataFrame, longest: int, budget: int | None = None) -> None:
+        self.facts = cut(sided(a, "1").unionByName(sided(b, "2")))
+        self.longest, self.budget = longest, budget
+        self.relations, self.heads = cut(fun.of_relations(self.facts)), cut(fun.of_heads(self.facts))
+        self.rels: DataFrame | None = None
+        self.known: list[DataFrame] = []
+
+    def of(self, lists: DataFrame) -> DataFrame:
+        """(items, f_all, f_here) of the lists a and b of each row, and maybe more."""
+        items = lists.select(sided_items("a", "1").alias("items")).unionByName(lists.select(sided_items("b", "2").alias("items"))).distinct()
+        if self.known:
+            items = items.join(reduce(DataFrame.unionByName, self.known).select("items"), "items", "left_anti")
+        fresh = cut(items)
+        single = list_functionality(self.facts, fresh.filter("size(items) = 1"), 1, self.relations, self.heads)
+        if self.longest > 1:
+            more = fresh.filter("size(items) > 1").withColumn("rels", F.transform("items", lambda x: x.r))
+            rels = more.select("rels").distinct()
+            if self.rels is not None:
+                rels = rels.join(self.rels, "rels", "left_anti")
+            new, old = fun.global_lists(self.facts, rels, self.longest, self.relations, self.budget).withColumnRenamed("f", "f_all"), self.rels
+            self.rels = keep(cut(new if old is None else old.unionByName(new)))
+            release(old)
+            local = fun.local_lists(self.facts, more, self.heads).withColumnRenamed("f", "f_here")
+            listed = local.withColumn("rels", F.transform("items", lambda x: x.r)).join(self.rels, "rels")
+            single = single.unionByName(listed.select("items", "f_all", "f_here"))
+        self.known.append(keep(cut(single)))
+        return reduce(DataFrame.unionByName, self.known)
+
+
+def entity_scores(a: DataFrame, b: DataFrame, cp: DataFrame, chosen: DataFrame | None = None, longest: int = 2, minimum: bool = False, terms: tuple[str, ...] = ("global", "local"), lists: DataFrame | None = None, known: ListFunctionality | None = None) -> DataFrame:
     """(t, t2, score, why): the strongest list of each pair. a and b are closed under inverses.
 
     The strength of a list is the weakest of the head score, the relation score
@@ -99,11 +165,15 @@ def entity_scores(a: DataFrame, b: DataFrame, cp: DataFrame, chosen: DataFrame |
     if lists is None:
         if chosen is not None:
             cp = cp.join(chosen.select("t", "t2"), ["t", "t2"], "left_semi")
-        lists = cut(prefixes(ranked_lists(cp, longest), longest, minimum))
-    of_a, of_b = (k.of for k in known) if known else ((lambda x: list_functionality(a, x, longest)), (lambda x: list_functionality(b, x, longest)))
-    fa = of_a(lists.select(F.col("a").alias("items"))).select(F.col("items").alias("a"), F.col("f_all").alias("f1"), F.col("f_here").alias("f2"))
-    fb = of_b(lists.select(F.col("b").alias("items"))).select(F.col("items").alias("b"), F.col("f_all").alias("f3"), F.col("f_here").alias("f4"))
-    rows = lists.join(fa, "a").join(fb, "b")
+        lists = ranked_prefixes(cp, longest, minimum)
+    if known is not None:
+        both = known.of(lists)
+        here = lambda x, f, g: both.select(F.col("items").alias(x), F.col("f_all").alias(f), F.col("f_here").alias(g))
+        rows = lists.withColumns({"xa": sided_items("a", "1"), "xb": sided_items("b", "2")}).join(here("xa", "f1", "f2"), "xa").join(here("xb", "f3", "f4"), "xb").drop("xa", "xb")
+    else:
+        fa = list_functionality(a, lists.select(F.col("a").alias("items")), longest).select(F.col("items").alias("a"), F.col("f_all").alias("f1"), F.col("f_here").alias("f2"))
+        fb = list_functionality(b, lists.select(F.col("b").alias("items")), longest).select(F.col("items").alias("b"), F.col("f_all").alias("f3"), F.col("f_here").alias("f4"))
+        rows = lists.join(fa, "a").join(fb, "b")
     parts = ["hm_h", "hm_r"] + ["f1", "f3"] * ("global" in terms) + ["f2", "f4"] * ("local" in terms)
     rows = rows.withColumn("score", F.round(F.least(*parts), 9))  # so that ties are ties
     why = F.struct("score", (-F.col("n")).alias("shorter"), "a", "b", "hm_h", "hm_r", "f1", "f2", "f3", "f4")
@@ -136,7 +206,7 @@ def subrelations(a: DataFrame, b: DataFrame, nodes: DataFrame, alpha: float = 3.
     w = witnesses(a, b, nodes)
     total = a.groupBy("r").agg(F.count(F.lit(1)).alias("total"))
     seen = w.groupBy("r", "r2").agg(F.sum("m").alias("s"), F.count(F.lit(1)).alias("k"), F.min("m").alias("low"))
-    rows = seen.join(F.broadcast(total), "r").withColumn("coverage", F.round(F.col("s") / F.col("total"), 9))
+    rows = seen.join(total, "r").withColumn("coverage", F.round(F.col("s") / F.col("total"), 9))
     degree = F.when(F.col("k") == F.col("total"), F.col("low")).otherwise(0.0) if minimum else F.round(F.least(F.lit(1.0), F.lit(float(alpha)) * F.col("coverage")), 9)
     return rows.select("r", "r2", "coverage", degree.alias("degree"))
 

@@ -3,15 +3,16 @@
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 from dataclasses import dataclass, field, replace
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphweld.operators import literals as lit
 from graphweld.operators import rules
-from graphweld.operators.facts import inverse_name, with_inverse
-from graphweld.plans.lineage import cut
+from graphweld.operators.facts import inverse_name, is_literal, with_inverse
+from graphweld.plans.lineage import cut, keep, release, scratch
 
 
 @dataclass(frozen=True)
@@ -23,61 +24,110 @@ class Params:
     epsilon: float = 0.01
     relative: bool = False
     longest: int = 3
-    lists: str = "ranked"  # or "subsets": all lists up to length two
+    lists: str = "ranked"  # "subsets": all lists up to length two; "positional": paired by place
     minimum: bool = False  # the weakest premise in every rule
     terms: tuple[str, ...] = ("global", "local")
     direction: str | None = "left"  # of the candidate search; None: no search
     refresh: bool = True  # search candidates anew in every step
     assign_each_round: bool = True
     accumulate: bool = True
-    encoder: str = "ngram"
+    encoder: str | Callable = "ngram"
     identity: bool = False  # literals by identity only
     rounds: int = 12
-    #: Heads with more tails than this don't propose pairs; they still count as evidence for proposed ones. None: all propose.
-    hub: int | None = None
+    #: Entity steps at theta_r before the first relation step. With one, relations whose heads are no literals find no witness yet and are lost.
+    lead: int = 2
+    #: Heads with more tails than this propose no pairs where that can't change the candidates. None: all propose.
+    hub: int | None = 50
+    #: Relation lists with more lists of heads than this get an estimated functionality. None: all exact.
+    budget: int | None = None
 
 
 @dataclass
 class Alignment:
-    entities: DataFrame  # t, t2, score, why above theta_e, assigned
+    entities: DataFrame  # t, t2, score, why above theta_e, assigned; ties stay
     scores: DataFrame  # all scored pairs before assignment
     relations: DataFrame  # r, r2, sub, sup, cov, cov2, s_r
     history: list[dict] = field(default_factory=list)
     seconds: dict[str, float] = field(default_factory=dict)
+    settled: bool = False  # did the total settle before the limit of rounds?
 
+    @property
+    def one_to_one(self) -> DataFrame:
+        """The entities with ties broken, so that nobody has two partners."""
+        return rules.one_to_one(self.entities)
 
-def without_hubs(facts: DataFrame, hub: int | None) -> DataFrame:
-    """Facts of heads with at most ``hub`` tails of the relation."""
-    if hub is None:
-        return facts
-    busy = facts.groupBy("h", "r").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > hub).select("h", "r")
-    return facts.join(busy, ["h", "r"], "left_anti")
 
-
-def evidence(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame | None, p: Params) -> DataFrame:
-    """Counterparts; with a hub bound, pairs come from selective heads and then collect all their evidence."""
-    if p.hub is None:
-        return rules.counterparts(a, b, heads, relations, p.theta_r)
-    proposed = rules.counterparts(without_hubs(a, p.hub), without_hubs(b, p.hub), heads, relations, p.theta_r).select("t", "t2").distinct()
-    x = a.select("h", "r", "t").join(proposed, "t")
+def of_pairs(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame | None, pairs: DataFrame, theta_r: float) -> DataFrame:
+    """All counterparts of given pairs (t, t2), as ``rules.counterparts`` has them."""
+    x = a.select("h", "r", "t").join(pairs.select("t", "t2"), "t")
     y = b.select(F.col("h").alias("h2"), F.col("r").alias("r2"), F.col("t").alias("t2"))
-    rows = x.join(heads.select("h", "h2", F.col("s").alias("s_h")), "h").join(y, ["h2", "t2"])
+    rows = x.join(heads.filter("s > 0").select("h", "h2", F.col("s").alias("s_h")), "h").join(y, ["h2", "t2"])
     if relations is None:
-        return rows.withColumn("s_r", F.lit(p.theta_r)).select("t", "t2", "r", "h", "r2", "h2", "s_h", "s_r")
+        return rows.withColumn("s_r", F.lit(theta_r)).select("t", "t2", "r", "h", "r2", "h2", "s_h", "s_r")
     return rows.join(relations.filter("s_r > 0").select("r", "r2", "s_r"), ["r", "r2"]).select("t", "t2", "r", "h", "r2", "h2", "s_h", "s_r")
 
 
-def entity_step(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame | None, p: Params, chosen: DataFrame | None = None, known=None) -> tuple[DataFrame, DataFrame | None]:
-    """(scores, candidates): one pass of the entity rule."""
-    cp = evidence(a, b, heads, relations, p)
-    if p.direction is not None:
-        cp = cut(cp)
+class Busy:
+    """The heads of both graphs with more than ``hub`` tails that are no literals; they never change."""
+
+    def __init__(self, a: DataFrame, b: DataFrame, hub: int) -> None:
+        busy = lambda f: f.filter(~is_literal(F.col("t"))).groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > hub).select("h")
+        self.a, self.b = cut(busy(a)), cut(busy(b))
+        self.none = self.a.isEmpty() and self.b.isEmpty()
+
+
+def search(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame | None, p: Params, busy: Busy | None = None, work: dict | None = None) -> DataFrame:
+    """(t, t2): for each t the partners with the most counterpart facts, the same with and without ``hub``.
+
+    A head with d tails that meets one with d2 makes d x d2 pairs, so popular
+    heads are held back: the others propose pairs, for which the facts of all
+    heads count. A pair that only popular heads would propose shares at most
+    the popular facts of t. So a tail whose best proposed pair has more facts
+    than that is done; only the other tails meet everyone under their popular
+    heads, and that is counted before anything is written.
+    """
+    if p.hub is not None and p.direction == "left" and busy is None:
+        busy = Busy(a, b, p.hub)
+    if busy is None or busy.none or p.direction != "left":
+        return rules.candidates(rules.counterparts(a, b, heads, relations, p.theta_r), p.direction)
+    inner = lambda f: f.filter(~is_literal(F.col("t")))
+    a, b = inner(a), inner(b)
+    meets = heads.join(busy.b.withColumnRenamed("h", "h2"), "h2", "left_semi").select("h")
+    popular = busy.a.unionByName(meets).distinct()
+    proposed = cut(rules.counterparts(a.join(popular, "h", "left_anti"), b, heads, relations, p.theta_r).select("t", "t2").distinct())
+    count = lambda cp: cp.groupBy("t", "t2").agg(F.count_distinct("r", "h").alias("n"))
+    found = cut(count(of_pairs(a, b, heads, relations, proposed, p.theta_r)))
+    held = a.join(popular, "h", "left_semi").join(heads.select("h").distinct(), "h", "left_semi").groupBy("t").agg(F.count(F.lit(1)).alias("most"))
+    best = found.groupBy("t").agg(F.max("n").alias("n"))
+    open_tails = held.join(best, "t", "left").filter(F.coalesce("n", F.lit(0)) <= F.col("most")).select("t")
+    rest = cut(count(rules.counterparts(a.join(open_tails, "t", "left_semi"), b, heads, relations, p.theta_r)))
+    if work is not None:
+        work |= {"proposed": proposed.count(), "open_tails": open_tails.count(), "counted": found.count() + rest.count()}
+    every = found.join(open_tails, "t", "left_anti").unionByName(rest)
+    rank = F.rank().over(Window.partitionBy("t").orderBy(F.desc("n")))
+    return every.withColumn("k", rank).filter("k = 1").select("t", "t2")
+
+
+def entity_step(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame | None, p: Params, chosen: DataFrame | None = None, known=None, busy: Busy | None = None, work: dict | None = None) -> tuple[DataFrame, DataFrame | None]:
+    """(scores, candidates): one pass of the entity rule. work: gets the numbers of rows that the pass has made."""
+    if p.direction is None:
+        cp = rules.counterparts(a, b, heads, relations, p.theta_r)
+    else:
         if chosen is None:
-            chosen = rules.candidates(cp, p.direction)
-        cp = cp.join(chosen.select("t", "t2"), ["t", "t2"], "left_semi")
+            chosen = search(a, b, heads, relations, p, busy, work)
+            if not p.refresh:
+                chosen = cut(chosen)
+        cp = of_pairs(a.filter(~is_literal(F.col("t"))), b, heads, relations, chosen, p.theta_r)
     if p.lists == "subsets":
-        return rules.entity_scores(a, b, cp, longest=2, minimum=p.minimum, terms=p.terms, lists=cut(rules.subset_lists(cp, p.minimum)), known=known), chosen
-    return rules.entity_scores(a, b, cp, longest=p.longest, minimum=p.minimum, terms=p.terms, known=known), chosen
+        lists = cut(rules.subset_lists(cp, p.minimum))
+    elif p.lists == "positional":
+        lists = cut(rules.prefixes(rules.positional_lists(cut(cp), p.longest), p.longest, p.minimum))
+    else:
+        lists = rules.ranked_prefixes(cp, p.longest, p.minimum)
+    if work is not None:
+        work |= {"lists": lists.count()}
+    longest = 2 if p.lists == "subsets" else p.longest
+    return rules.entity_scores(a, b, cp, longest=longest, minimum=p.minimum, terms=p.terms, lists=lists, known=known), chosen
 
 
 def merged(old: DataFrame | None, new: DataFrame, seeds: DataFrame | None) -> DataFrame:
@@ -101,41 +151,54 @@ def relation_step(a: DataFrame, b: DataFrame, entities: DataFrame, literals: Dat
     return found.unionByName(mirrored)
 
 
-def align(facts_a: DataFrame, facts_b: DataFrame, params: Params | None = None, seeds: DataFrame | None = None, **changes) -> Alignment:
+def align(facts_a: DataFrame, facts_b: DataFrame, params: Params | None = None, seeds: DataFrame | None = None, counters: bool = False, **changes) -> Alignment:
     """Aligns two fact tables (h, r, t, kind, x). seeds: (t, t2), matched with score 1 for good.
 
-    Every round is written to a reliable checkpoint; one number a round comes
-    back to the driver, to tell when the total score has settled.
+    Every round is written to tables in the shared folder, and what only that
+    round needs is deleted at its end; a sum and a count a round come back to
+    the driver, to tell when the total score has settled. The first ``lead``
+    rounds and the one after them never stop the loop, as they only set the
+    starting values of relations. counters: also count the rows that a round
+    has made, for ``history``.
     """
     p = replace(params or Params(), **changes)
+    spark = facts_a.sparkSession
     started = time.time()
     literals = cut(lit.matches(facts_a, facts_b, p.theta_s, 1, p.encoder, identity=p.identity))
     a, b = cut(with_inverse(facts_a)), cut(with_inverse(facts_b))
     longest = 2 if p.lists == "subsets" else p.longest
-    known = rules.ListFunctionality(a, longest), rules.ListFunctionality(b, longest)
+    known = rules.ListFunctionality(a, b, longest, p.budget)
+    busy = Busy(a, b, p.hub) if p.hub is not None and p.direction == "left" else None
     seconds = {"literals": time.time() - started}
     entities = merged(None, _no_scores(a), seeds) if seeds is not None else None
-    relations = chosen = None
+    relations = chosen = scores = None
     history: list[dict] = []
-    total = 0.0
+    total, settled = 0.0, False
     for number in range(p.rounds):
         began = time.time()
-        heads = literals if entities is None else literals.unionByName(entities.select(F.col("t").alias("h"), F.col("t2").alias("h2"), F.col("score").alias("s")))
-        new, found = entity_step(a, b, heads, relations, p, None if p.refresh else chosen, known)
-        chosen = chosen if chosen is not None or p.refresh else cut(found.select("t", "t2")) if found is not None else None
-        scores = cut(merged(entities if p.accumulate else None, new, seeds))
-        entities = cut(rules.mutual_max(scores)) if p.assign_each_round else scores
-        now = entities.agg(F.coalesce(F.sum("score"), F.lit(0.0)), F.count(F.lit(1))).first()
-        gain = now[0] - total
-        total = now[0]
-        relations = cut(relation_step(a, b, entities, literals, p))
-        history.append({"round": number, "total": total, "gain": gain, "pairs": now[1], "seconds": time.time() - began})
-        # the first rounds only lift the starting value of relations, so they don't stop
-        if number > 1 and abs(gain) < (p.epsilon * max(1.0, total) if p.relative else p.epsilon):
+        work: dict | None = {} if counters else None
+        before = (entities, relations, scores)
+        with scratch(spark):
+            heads = literals if entities is None else literals.unionByName(entities.select(F.col("t").alias("h"), F.col("t2").alias("h2"), F.col("score").alias("s")))
+            new, found = entity_step(a, b, heads, relations, p, None if p.refresh else chosen, known, busy, work)
+            if not p.refresh and chosen is None and found is not None:
+                chosen = keep(found)
+            scores = keep(cut(merged(entities if p.accumulate else None, new, seeds)))
+            entities = keep(cut(rules.mutual_max(scores))) if p.assign_each_round else scores
+            now = entities.agg(F.coalesce(F.sum("score"), F.lit(0.0)), F.count(F.lit(1))).first()
+            gain, total = now[0] - total, now[0]
+            if number + 1 >= p.lead:
+                relations = keep(cut(relation_step(a, b, entities, literals, p)))
+        release(*{id(x): x for x in before if x is not None and x is not relations}.values())
+        history.append({"round": number, "total": total, "gain": gain, "pairs": now[1], "seconds": time.time() - began} | (work or {}))
+        if number > p.lead and abs(gain) < (p.epsilon * max(1.0, total) if p.relative else p.epsilon):
+            settled = True
             break
+    if relations is None:
+        relations = cut(relation_step(a, b, entities, literals, p))
     seconds["rounds"] = time.time() - started - seconds["literals"]
     final = rules.mutual_max(scores).filter(F.col("score") > p.theta_e)
-    return Alignment(final, scores, relations, history, seconds)
+    return Alignment(final, scores, relations, history, seconds, settled)
 
 
 def _no_scores(facts: DataFrame) -> DataFrame:
