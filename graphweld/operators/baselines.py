@@ -71,7 +71,7 @@ def probable_entities(a: DataFrame, b: DataFrame, heads: DataFrame, sub: DataFra
     fb = cut(fun.of_relations(b).withColumnsRenamed({"r": "r2", "f": "f2"}))
     rows = cp.join(fa, "r").join(fb, "r2")
     miss = (1.0 - F.col("s2") * F.col("f1") * F.col("s_h")) * (1.0 - F.col("s1") * F.col("f2") * F.col("s_h"))
-    return rows.withColumn("p", 1.0 - miss).groupBy("t", "t2").agg(none_of(F.col("p")).alias("score"))
+    return rows.withColumn("p", 1.0 - miss).groupBy("t", "t2").agg(F.round(none_of(F.col("p")), 9).alias("score"))  # so that ties are ties
 
 
 def probable_inclusion(a: DataFrame, b: DataFrame, nodes: DataFrame) -> DataFrame:

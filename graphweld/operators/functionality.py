@@ -113,7 +113,7 @@ def local_lists(facts: DataFrame, needed: DataFrame, heads: DataFrame | None = N
     least = each.groupBy("k", "items").agg(F.min(F.struct("d", "r", "h")).alias("m"))
     sure = least.filter("m.d = 1").select("items", F.lit(1.0).alias("f"))
     open_ = least.filter("m.d > 1").select("items", F.col("m.r").alias("r"), F.col("m.h").alias("h"))
-    tails = open_.join(facts.select("r", "h", "t"), ["r", "h"]).select("items", "t", F.explode(F.filter("items", lambda x: ~((x.r == F.col("r")) & (x.h == F.col("h"))))).alias("o"))
+    tails = open_.join(facts.select("r", "h", "t"), ["r", "h"]).select("items", "t", "r", "h", F.explode("items").alias("o")).filter("NOT (o.r = r AND o.h = h)")
     rest = tails.select("items", "t", F.col("o.r").alias("r"), F.col("o.h").alias("h")).join(facts.select("r", "h", "t"), ["r", "h", "t"], "left_semi")
     whole = rest.groupBy("items", "t").agg(F.count(F.lit(1)).alias("n")).filter("n = size(items) - 1")
     single = open_.filter("size(items) = 1").join(facts.select("r", "h", "t"), ["r", "h"]).select("items", "t")
@@ -121,49 +121,59 @@ def local_lists(facts: DataFrame, needed: DataFrame, heads: DataFrame | None = N
     return sure.unionByName(counted)
 
 
+#: Facts of one relation that a list may hold.
+LONGEST = 8
+#: Lists that an estimate is made from; its error is about 0.02.
+SAMPLE_LISTS = 5_000
+
+
 def global_lists(facts: DataFrame, needed: DataFrame, longest: int, relations: DataFrame | None = None, budget: int | None = None, seed: int = 7) -> DataFrame:
     """(rels, f) for the distinct relation lists (arrays of r) in ``needed``: head lists over (head list, tail) pairs.
 
     A list with a relation whose heads all have one tail is 1, as the head
     fixes the tail. The others grow head lists position by position. budget:
     relation lists of more (head list, tail) pairs, counted by degrees, are
-    estimated from hash-chosen tails with about that many: the mean of the local
-    functionality, which equals the global one over all tails.
+    estimated: facts are chosen by hash with the share that leaves about
+    ``SAMPLE_LISTS`` lists, each of all with the same chance, and the mean of
+    their local functionality, which equals the global one over all lists, is
+    the estimate. No tail's lists are enumerated as a whole for it.
     """
     keys = needed.select("rels").distinct().withColumn("size", F.size("rels"))
     known = of_relations(facts) if relations is None else relations
     fixed = keys.select("rels", F.explode("rels").alias("r")).join(known.filter("f = 1.0").select("r"), "r", "left_semi").select("rels").distinct()
-    sure = fixed.select("rels", F.lit(1.0).alias("f"))
     keys = keys.join(fixed, "rels", "left_anti")
     one = facts.select("r", "h", "t")
-    draw = F.pmod(F.xxhash64(F.lit(seed), "t"), F.lit(1 << 30)) / F.lit(float(1 << 30))
     if budget is None:
         keys = keys.withColumn("q", F.lit(1.0))
     else:
-        keys = keys.join(list_counts(one, keys.select("rels")), "rels").withColumn("q", F.least(F.lit(1.0), F.lit(float(budget)) / F.col("n"))).select("rels", "size", "q")
-    done = sure
-    grown = keys.select("rels", "size", "q", F.col("rels")[0].alias("r")).join(one, "r").filter(draw < F.col("q")).select("rels", "size", "q", "t", F.array("h").alias("hs"))
+        share = F.when(F.col("n") <= budget, 1.0).otherwise(F.pow(F.lit(float(SAMPLE_LISTS)) / F.col("n"), 1.0 / F.col("size")))
+        keys = cut(keys.join(list_counts(one, keys.select("rels")), "rels").select("rels", "size", share.alias("q")))
+    drawn = (F.col("q") >= 1) | (F.pmod(F.xxhash64(F.lit(seed), "rels", "r", "h", "t"), F.lit(1 << 30)) < F.col("q") * F.lit(float(1 << 30)))
+    done = fixed.select("rels", F.lit(1.0).alias("f"))
+    grown = keys.select("rels", "size", "q", F.col("rels")[0].alias("r")).join(one, "r").filter(drawn).select("rels", "size", "q", "t", F.array("h").alias("hs"))
     for n in range(1, longest + 1):
         full = grown.filter(F.col("size") == n)
-        exact = full.filter("q = 1").groupBy("rels", "hs").agg(F.count(F.lit(1)).alias("k")).groupBy("rels").agg((F.count(F.lit(1)) / F.sum("k")).alias("f"))
+        exact = full.filter("q >= 1").groupBy("rels", "hs").agg(F.count(F.lit(1)).alias("k")).groupBy("rels").agg((F.count(F.lit(1)) / F.sum("k")).alias("f"))
         done = done.unionByName(exact)
         if budget is not None:
-            part = full.filter("q < 1").withColumn("items", F.arrays_zip(F.col("rels").alias("r"), F.col("hs").alias("h")))
-            local = local_lists(facts, part.select("items"))
-            done = done.unionByName(part.join(local, "items").groupBy("rels").agg(F.avg("f").alias("f")))
+            part = full.filter("q < 1").withColumn("items", F.zip_with("rels", "hs", lambda r, h: F.struct(r.alias("r"), h.alias("h"))))
+            part = cut(part.select("rels", "items"))
+            done = done.unionByName(part.join(local_lists(facts, part.select("items")), "items").groupBy("rels").agg(F.avg("f").alias("f")))
         if n < longest:
             step = grown.filter(F.col("size") > n).withColumn("r", F.col("rels")[n]).join(one, ["r", "t"])
             later = (F.col("rels")[n] != F.col("rels")[n - 1]) | (F.col("h") > F.element_at("hs", -1))
-            grown = step.filter(later).select("rels", "size", "q", "t", F.concat("hs", F.array("h")).alias("hs"))
+            grown = step.filter(later).filter(drawn).select("rels", "size", "q", "t", F.concat("hs", F.array("h")).alias("hs"))
     return done
 
 
 def list_counts(facts: DataFrame, needed: DataFrame) -> DataFrame:
     """(rels, n): the (head list, tail) pairs of relation lists, from the degrees of tails: over all tails the product of binomials."""
     degree = facts.groupBy("t", "r").agg(F.count(F.lit(1)).cast("double").alias("d"))
-    wanted = needed.select("rels").distinct().select("rels", F.explode(F.array_distinct("rels")).alias("r"))
-    wanted = wanted.withColumns({"m": F.size(F.filter("rels", lambda x: x == F.col("r"))), "kinds": F.size(F.array_distinct("rels"))})
-    ways = F.aggregate(F.sequence(F.lit(1), F.col("m")), F.lit(1.0), lambda s, i: s * F.greatest(F.lit(0.0), F.col("d") - i + 1) / i)
+    wanted = needed.select("rels").distinct().select("rels", F.size(F.array_distinct("rels")).alias("kinds"), F.explode("rels").alias("r"))
+    wanted = wanted.groupBy("rels", "kinds", "r").agg(F.count(F.lit(1)).alias("m"))
+    ways = F.lit(1.0)
+    for i in range(LONGEST):
+        ways = ways * F.when(F.col("m") > i, F.greatest(F.lit(0.0), F.col("d") - i) / (i + 1)).otherwise(F.lit(1.0))
     rows = wanted.join(degree, "r").withColumn("w", ways).filter("w > 0")
     each = rows.groupBy("rels", "t").agg(F.count(F.lit(1)).alias("k"), F.exp(F.sum(F.ln("w"))).alias("w"), F.first("kinds").alias("kinds"))
     return each.filter("k = kinds").groupBy("rels").agg(F.sum("w").alias("n"))

@@ -30,16 +30,15 @@ class Params:
     direction: str | None = "left"  # of the candidate search; None: no search
     refresh: bool = True  # search candidates anew in every step
     assign_each_round: bool = True
+    assign: str = "ties"  # pairs that are the best of row and column; "one": ties broken, so that nobody has two partners
     accumulate: bool = True
     encoder: str | Callable = "ngram"
     identity: bool = False  # literals by identity only
     rounds: int = 12
-    #: Entity steps at theta_r before the first relation step. With one, relations whose heads are no literals find no witness yet and are lost.
-    lead: int = 2
     #: Heads with more tails than this propose no pairs where that can't change the candidates. None: all propose.
     hub: int | None = 50
     #: Relation lists with more lists of heads than this get an estimated functionality. None: all exact.
-    budget: int | None = None
+    budget: int | None = 100_000
 
 
 @dataclass
@@ -80,11 +79,12 @@ def search(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame |
     """(t, t2): for each t the partners with the most counterpart facts, the same with and without ``hub``.
 
     A head with d tails that meets one with d2 makes d x d2 pairs, so popular
-    heads are held back: the others propose pairs, for which the facts of all
-    heads count. A pair that only popular heads would propose shares at most
-    the popular facts of t. So a tail whose best proposed pair has more facts
-    than that is done; only the other tails meet everyone under their popular
-    heads, and that is counted before anything is written.
+    heads are held back, and the others propose pairs with a count. The popular
+    facts of t can add at most their own number to it; only pairs that may still
+    win get these counted, by looking up both tails. A pair that popular heads
+    alone would propose has at most that number too. So a tail whose best pair
+    has more facts is done; only the other tails meet everyone under their
+    popular heads. All of it is counted before anything is written.
     """
     if p.hub is not None and p.direction == "left" and busy is None:
         busy = Busy(a, b, p.hub)
@@ -94,15 +94,18 @@ def search(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFrame |
     a, b = inner(a), inner(b)
     meets = heads.join(busy.b.withColumnRenamed("h", "h2"), "h2", "left_semi").select("h")
     popular = busy.a.unionByName(meets).distinct()
-    proposed = cut(rules.counterparts(a.join(popular, "h", "left_anti"), b, heads, relations, p.theta_r).select("t", "t2").distinct())
     count = lambda cp: cp.groupBy("t", "t2").agg(F.count_distinct("r", "h").alias("n"))
-    found = cut(count(of_pairs(a, b, heads, relations, proposed, p.theta_r)))
     held = a.join(popular, "h", "left_semi").join(heads.select("h").distinct(), "h", "left_semi").groupBy("t").agg(F.count(F.lit(1)).alias("most"))
+    found = count(rules.counterparts(a.join(popular, "h", "left_anti"), b, heads, relations, p.theta_r)).join(held, "t", "left")
+    top = F.max("n").over(Window.partitionBy("t"))
+    found = cut(found.withColumn("most", F.coalesce("most", F.lit(0))).withColumn("top", top).filter(F.col("n") >= F.col("top") - F.col("most")))
+    more = count(of_pairs(a.join(popular, "h", "left_semi"), b, heads, relations, found.filter("most > 0"), p.theta_r)).withColumnRenamed("n", "more")
+    found = cut(found.join(more, ["t", "t2"], "left").select("t", "t2", (F.col("n") + F.coalesce("more", F.lit(0))).alias("n")))
     best = found.groupBy("t").agg(F.max("n").alias("n"))
-    open_tails = held.join(best, "t", "left").filter(F.coalesce("n", F.lit(0)) <= F.col("most")).select("t")
-    rest = cut(count(rules.counterparts(a.join(open_tails, "t", "left_semi"), b, heads, relations, p.theta_r)))
+    open_tails = cut(held.join(best, "t", "left").filter(F.coalesce("n", F.lit(0)) <= F.col("most")).select("t"))
+    rest = count(rules.counterparts(a.join(open_tails, "t", "left_semi"), b, heads, relations, p.theta_r))
     if work is not None:
-        work |= {"proposed": proposed.count(), "open_tails": open_tails.count(), "counted": found.count() + rest.count()}
+        work |= {"proposed": found.count(), "open_tails": open_tails.count()}
     every = found.join(open_tails, "t", "left_anti").unionByName(rest)
     rank = F.rank().over(Window.partitionBy("t").orderBy(F.desc("n")))
     return every.withColumn("k", rank).filter("k = 1").select("t", "t2")
@@ -114,9 +117,7 @@ def entity_step(a: DataFrame, b: DataFrame, heads: DataFrame, relations: DataFra
         cp = rules.counterparts(a, b, heads, relations, p.theta_r)
     else:
         if chosen is None:
-            chosen = search(a, b, heads, relations, p, busy, work)
-            if not p.refresh:
-                chosen = cut(chosen)
+            chosen = cut(search(a, b, heads, relations, p, busy, work))
         cp = of_pairs(a.filter(~is_literal(F.col("t"))), b, heads, relations, chosen, p.theta_r)
     if p.lists == "subsets":
         lists = cut(rules.subset_lists(cp, p.minimum))
@@ -144,11 +145,27 @@ def merged(old: DataFrame | None, new: DataFrame, seeds: DataFrame | None) -> Da
 
 
 def relation_step(a: DataFrame, b: DataFrame, entities: DataFrame, literals: DataFrame, p: Params) -> DataFrame:
-    """Both directions of inclusion for forward relations of the first graph, mirrored to their inverses."""
+    """Both directions of inclusion for forward relations of the first graph, mirrored to their inverses.
+
+    A relation without any fact whose ends are both matched can't be judged
+    yet. Pairs of two such relations keep the starting value; classes, say, are
+    only reached through instances, one round later.
+    """
     nodes = entities.select(F.col("t").alias("h"), F.col("t2").alias("h2"), F.col("score").alias("s")).filter("s > 0").unionByName(literals)
-    found = rules.relation_pairs(a.filter("NOT r LIKE '%~'"), b, nodes, p.alpha, p.minimum)
-    mirrored = found.withColumns({"r": inverse_name(F.col("r")), "r2": inverse_name(F.col("r2"))})
-    return found.unionByName(mirrored)
+    forward = a.filter("NOT r LIKE '%~'")
+    found = rules.relation_pairs(forward, b, nodes, p.alpha, p.minimum)
+    dark_a, dark_b = unjudged(forward, nodes.select("h")), unjudged(b, nodes.select(F.col("h2").alias("h"))).withColumnRenamed("r", "r2")
+    zero = [F.lit(0.0).alias(c) for c in ("sub", "sup", "cov", "cov2")]
+    found = found.unionByName(dark_a.crossJoin(dark_b).select("r", "r2", *zero, F.lit(p.theta_r).alias("s_r")))
+    both = F.array(F.struct("r", "r2"), F.struct(inverse_name(F.col("r")).alias("r"), inverse_name(F.col("r2")).alias("r2")))
+    return found.withColumn("x", F.explode(both)).select("x.r", "x.r2", "sub", "sup", "cov", "cov2", "s_r")
+
+
+def unjudged(facts: DataFrame, matched: DataFrame) -> DataFrame:
+    """(r): relations without a fact whose ends are both matched. One row a relation, the dictionary of a graph."""
+    ends = matched.distinct()
+    seen = facts.join(ends, "h", "left_semi").join(ends.withColumnRenamed("h", "t"), "t", "left_semi").select("r").distinct()
+    return facts.select("r").distinct().join(seen, "r", "left_anti")
 
 
 def align(facts_a: DataFrame, facts_b: DataFrame, params: Params | None = None, seeds: DataFrame | None = None, counters: bool = False, **changes) -> Alignment:
@@ -156,9 +173,9 @@ def align(facts_a: DataFrame, facts_b: DataFrame, params: Params | None = None,
 
     Every round is written to tables in the shared folder, and what only that
     round needs is deleted at its end; a sum and a count a round come back to
-    the driver, to tell when the total score has settled. The first ``lead``
-    rounds and the one after them never stop the loop, as they only set the
-    starting values of relations. counters: also count the rows that a round
+    the driver, to tell when the total score has settled. The first two
+    rounds never stop the loop, as they only set the starting values of
+    relations. counters: also count the rows that a round
     has made, for ``history``.
     """
     p = replace(params or Params(), **changes)
@@ -184,23 +201,24 @@ def align(facts_a: DataFrame, facts_b: DataFrame, params: Params | None = None,
             if not p.refresh and chosen is None and found is not None:
                 chosen = keep(found)
             scores = keep(cut(merged(entities if p.accumulate else None, new, seeds)))
-            entities = keep(cut(rules.mutual_max(scores))) if p.assign_each_round else scores
+            entities = keep(cut(assigned(scores, p.assign))) if p.assign_each_round else scores
             now = entities.agg(F.coalesce(F.sum("score"), F.lit(0.0)), F.count(F.lit(1))).first()
             gain, total = now[0] - total, now[0]
-            if number + 1 >= p.lead:
-                relations = keep(cut(relation_step(a, b, entities, literals, p)))
-        release(*{id(x): x for x in before if x is not None and x is not relations}.values())
+            relations = keep(cut(relation_step(a, b, entities, literals, p)))
+        release(*{id(x): x for x in before if x is not None}.values())
         history.append({"round": number, "total": total, "gain": gain, "pairs": now[1], "seconds": time.time() - began} | (work or {}))
-        if number > p.lead and abs(gain) < (p.epsilon * max(1.0, total) if p.relative else p.epsilon):
+        if number > 1 and abs(gain) < (p.epsilon * max(1.0, total) if p.relative else p.epsilon):
             settled = True
             break
-    if relations is None:
-        relations = cut(relation_step(a, b, entities, literals, p))
     seconds["rounds"] = time.time() - started - seconds["literals"]
-    final = rules.mutual_max(scores).filter(F.col("score") > p.theta_e)
+    final = assigned(scores, p.assign).filter(F.col("score") > p.theta_e)
     return Alignment(final, scores, relations, history, seconds, settled)
 
 
+def assigned(scores: DataFrame, how: str) -> DataFrame:
+    return rules.one_to_one(scores) if how == "one" else rules.mutual_max(scores)
+
+
 def _no_scores(facts: DataFrame) -> DataFrame:
     item = "array<struct<r:string,h:string>>"
     why = f"struct<score:double,shorter:int,a:{item},b:{item},hm_h:double,hm_r:double,f1:double,f2:double,f3:double,f4:double>"

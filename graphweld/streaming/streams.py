@@ -6,15 +6,13 @@ derived from them; scores of touched relations are recomputed, never raised.
 
 from __future__ import annotations
 
-import shutil
-import tempfile
 import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphweld.plans.lineage import table
+from graphweld.plans.lineage import shared_folder, table
 
 
 def events(spark: SparkSession, sf_dir: str, files: int = 1) -> DataFrame:
@@ -32,12 +30,9 @@ def drain(stream: DataFrame, mode: str) -> DataFrame:
     """Runs a stream over what is there and returns the final table. mode: append or complete."""
     spark = stream.sparkSession
     name = f"s_{uuid.uuid4().hex}"
-    place = spark.conf.get("spark.checkpoint.dir", None)
-    home = f"{place}/{name}" if place else tempfile.mkdtemp()
+    home = f"{shared_folder(spark)}/{name}"
     query = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", home).trigger(availableNow=True).start()
     query.awaitTermination()
-    if not place:
-        shutil.rmtree(home, ignore_errors=True)
     return spark.table(name)
 
 
@@ -66,11 +61,8 @@ def distinct_facts(facts: DataFrame, late: str = "3650 days") -> DataFrame:
 def each_batch(stream: DataFrame, work: Callable[[DataFrame, int], None]) -> None:
     """Runs ``work`` on every micro-batch until the stream is drained."""
     spark = stream.sparkSession
-    place = spark.conf.get("spark.checkpoint.dir", None)
-    home = f"{place}/b_{uuid.uuid4().hex}" if place else tempfile.mkdtemp()
+    home = f"{shared_folder(spark)}/b_{uuid.uuid4().hex}"
     stream.writeStream.foreachBatch(work).option("checkpointLocation", home).trigger(availableNow=True).start().awaitTermination()
-    if not place:
-        shutil.rmtree(home, ignore_errors=True)
 
 
 def with_matches(facts: DataFrame, matches: DataFrame) -> DataFrame:

@@ -71,7 +71,11 @@ def kg_facts_part(spark, d):
 
 @query(f"WITH {WHOLE} SELECT r, kind, count(*) AS n, count(DISTINCT h) AS heads, count(DISTINCT t) AS tails FROM facts GROUP BY r, kind")
 def kg_facts_full(spark, d):
-    return facts.build(spark, d, FULL).groupBy("r", "kind").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("h").alias("heads"), F.count_distinct("t").alias("tails"))
+    """Heads and tails are grouped before they are counted, so no row is expanded for a distinct count."""
+    f = cut(facts.build(spark, d, FULL).select("r", "kind", "h", "t"))
+    heads = f.groupBy("r", "kind", "h").agg(F.count(F.lit(1)).alias("k")).groupBy("r", "kind").agg(F.sum("k").alias("n"), F.count(F.lit(1)).alias("heads"))
+    tails = f.groupBy("r", "kind", "t").agg(F.count(F.lit(1)).alias("k")).groupBy("r", "kind").agg(F.count(F.lit(1)).alias("tails"))
+    return heads.join(tails, ["r", "kind"]).select("r", "kind", "n", "heads", "tails")
 
 
 @query(f"WITH {PARTS} SELECT * FROM closed")
@@ -135,9 +139,19 @@ def fun_inverse(spark, d):
     return f.select(facts.inverse_name(F.col("r")).alias("r"), *six("f"))
 
 
-@query(f"WITH {PARTS} SELECT x.r AS r1, x.h AS h1, y.r AS r2, y.h AS h2, x.t FROM closed x JOIN closed y ON x.t = y.t AND (x.r, x.h) < (y.r, y.h) WHERE x.r LIKE '%~' AND y.r LIKE '%~'")
+@query(f"WITH {PARTS}, inv AS (SELECT * FROM closed WHERE r LIKE '%~') SELECT x.r AS r1, y.r AS r2, count(*) AS n, count(DISTINCT x.t) AS tails, sum(length(x.h) + 3 * length(y.h) + 7 * length(x.t))::BIGINT AS mark FROM inv x JOIN inv y ON x.t = y.t AND (x.r, x.h) < (y.r, y.h) GROUP BY ALL")
 def list_enum_2(spark, d):
-    return fun.pairs(part_closed(spark, d).filter("r LIKE '%~'"))
+    """All lists of two facts, told by their number, their tails and a sum over them."""
+    mark = F.sum(F.length("h1") + 3 * F.length("h2") + 7 * F.length("t")).cast("long")
+    return fun.pairs(part_closed(spark, d).filter("r LIKE '%~'")).groupBy("r1", "r2").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("t").alias("tails"), mark.alias("mark"))
+
+
+@query(f"WITH {PARTS}, inv AS (SELECT * FROM closed WHERE r LIKE '%~' AND r IN ('brand~', 'price~', 'size~')) SELECT x.r || ',' || y.r || ',' || z.r AS rels, count(*) AS n, count(DISTINCT (x.h, y.h, z.h)) AS head_lists FROM inv x JOIN inv y ON x.t = y.t AND (x.r, x.h) < (y.r, y.h) JOIN inv z ON z.t = y.t AND (y.r, y.h) < (z.r, z.h) GROUP BY ALL")
+def list_enum_3(spark, d):
+    """Lists of three facts by two joins on the tail."""
+    lists = fun.enumerate_lists(part_closed(spark, d).filter("r IN ('brand~', 'price~', 'size~')"), 3)
+    rows = lists.select(F.array_join(F.transform("items", lambda x: x.r), ",").alias("rels"), F.transform("items", lambda x: x.h).alias("hs")).groupBy("rels", "hs").agg(F.count(F.lit(1)).alias("k"))
+    return rows.groupBy("rels").agg(F.sum("k").alias("n"), F.count(F.lit(1)).alias("head_lists"))
 
 
 @query(f"WITH {PARTS}, {q.pair_tables('closed', 'c')} SELECT r1, r2, round(f, 6) AS f FROM cp WHERE r1 LIKE '%~' AND r2 LIKE '%~'")
@@ -290,9 +304,9 @@ def _strings(f):
     return f.filter("kind = 'string'").select(F.expr("substring(t, 2)").alias("s")).distinct()
 
 
-@query(f"WITH {tw.sql('cross_y')} SELECT DISTINCT substr(fa.t, 2) AS s, substr(fb.t, 2) AS s2, 1.0::DOUBLE AS sim FROM fa JOIN fb ON fa.t = fb.t AND fa.kind = 'string' AND fb.kind = 'string'")
+@query(f"WITH {tw.sql('dense15')} SELECT DISTINCT substr(fa.t, 2) AS s, substr(fb.t, 2) AS s2, 1.0::DOUBLE AS sim FROM fa JOIN fb ON fa.t = fb.t AND fa.kind = 'string' AND fb.kind = 'string'")
 def lit_identity(spark, d):
-    w = tw.twin(spark, d, "cross_y")
+    w = tw.twin(spark, d, "dense15")
     return literals.identical(_strings(w.a), _strings(w.b))
 
 

@@ -116,3 +116,34 @@ nodes1 AS MATERIALIZED (SELECT h, h2, s FROM lm UNION ALL SELECT t, t2, score FR
 {cp_sql('nodes1', 'rel1', '2')}, {candidates_sql('2')}, {entity_sql('2', longest, minimum)},
 raw2 AS (SELECT coalesce(e.t, m.t) AS t, coalesce(e.t2, m.t2) AS t2, greatest(coalesce(e.score, 0), coalesce(m.score, 0)) AS score FROM es2 e FULL JOIN mm1 m ON m.t = e.t AND m.t2 = e.t2),
 {pinned('raw2', 'scores2')}, {mutual_sql('scores2', 'mm2')}"""
+
+
+def probable_sql(rounds: int, name: str = "tiny", seeds: str | None = None, theta: float = 0.1) -> str:
+    """CTEs of the probabilistic aligner up to pe{rounds} (t, t2, score), literals by identity; rounds unrolled."""
+    none = "CASE WHEN max({0}) >= 1 THEN 1.0 ELSE 1 - exp(sum(CASE WHEN {0} < 1 THEN ln(1 - {0}) END)) END"
+    out = f"""{closed_sql(name)}, {pair_tables('a', 'a')}, {pair_tables('(SELECT r2 AS r, h2 AS h, t2 AS t FROM b)', 'b')}, {NUMBERS},
+lm AS MATERIALIZED (SELECT n AS h, n2 AS h2, 1.0::DOUBLE AS s FROM nums UNION ALL SELECT DISTINCT fa.t, fb.t, 1.0 FROM fa JOIN fb ON fa.t = fb.t AND fa.kind = fb.kind AND fa.kind IN ('string', 'date'))"""
+    if seeds:
+        out += f", seeds AS MATERIALIZED ({seeds})"
+    for k in range(1, rounds + 1):
+        heads = "lm" if k == 1 else f"pn{k - 1}"
+        sims = f"{theta}::DOUBLE AS s1, {theta}::DOUBLE AS s2" if k == 1 else "i.sub AS s1, i.sup AS s2"
+        join = "" if k == 1 else f"JOIN ps{k - 1} i ON i.r = a.r AND i.r2 = b.r2 AND greatest(i.sub, i.sup) > 0"
+        free = "" if not seeds else " WHERE t NOT IN (SELECT t FROM seeds) AND t2 NOT IN (SELECT t2 FROM seeds) UNION ALL SELECT t, t2, 1.0 FROM seeds"
+        out += f""",
+pc{k} AS MATERIALIZED (SELECT a.t, b.t2, a.r, b.r2, m.s AS s_h, {sims} FROM {heads} m JOIN a ON a.h = m.h JOIN b ON b.h2 = m.h2 {join} WHERE m.s > 0 AND NOT {LIT.format('a.t')} AND NOT {LIT.format('b.t2')}),
+pr{k} AS (SELECT t, t2, 1 - (1 - s2 * ar.f * s_h) * (1 - s1 * br.f * s_h) AS p FROM pc{k} c JOIN ar ON ar.r = c.r JOIN br ON br.r = c.r2),
+pw{k} AS MATERIALIZED (SELECT t, t2, round({none.format('p')}, 9) AS score FROM pr{k} GROUP BY t, t2),
+px{k} AS MATERIALIZED (SELECT t, t2, score FROM pw{k}{free}),
+pe{k} AS MATERIALIZED (SELECT t, t2, score FROM px{k} QUALIFY row_number() OVER (PARTITION BY t ORDER BY score DESC, t2) = 1 AND row_number() OVER (PARTITION BY t2 ORDER BY score DESC, t) = 1)"""
+        if k < rounds:
+            out += f""",
+pn{k} AS MATERIALIZED (SELECT h, h2, s FROM lm UNION ALL SELECT t, t2, score FROM pe{k}),
+pq{k} AS MATERIALIZED (SELECT a.r, a.h, a.t, x.h2, y.h2 AS t2, x.s * y.s AS p FROM a JOIN pn{k} x ON x.h = a.h JOIN pn{k} y ON y.h = a.t),
+pb{k} AS (SELECT r, sum(p) AS total FROM (SELECT r, h, t, {none.format('p')} AS p FROM pq{k} GROUP BY ALL) GROUP BY r),
+pd{k} AS (SELECT r, r2, sum(p) AS s FROM (SELECT q.r, q.h, q.t, b.r2, {none.format('q.p')} AS p FROM pq{k} q JOIN b ON b.h2 = q.h2 AND b.t2 = q.t2 GROUP BY ALL) GROUP BY r, r2),
+pv{k} AS MATERIALIZED (SELECT b.r2, b.h2, b.t2, x.h, y.h AS t, x.s * y.s AS p FROM b JOIN pn{k} x ON x.h2 = b.h2 JOIN pn{k} y ON y.h2 = b.t2),
+pf{k} AS (SELECT r2, sum(p) AS total FROM (SELECT r2, h2, t2, {none.format('p')} AS p FROM pv{k} GROUP BY ALL) GROUP BY r2),
+pg{k} AS (SELECT r, r2, sum(p) AS s FROM (SELECT q.r2, q.h2, q.t2, a.r, {none.format('q.p')} AS p FROM pv{k} q JOIN a ON a.h = q.h AND a.t = q.t GROUP BY ALL) GROUP BY r, r2),
+ps{k} AS MATERIALIZED (SELECT r, r2, coalesce(sub, 0) AS sub, coalesce(sup, 0) AS sup FROM (SELECT r, r2, s / total AS sub FROM pd{k} JOIN pb{k} USING (r)) FULL JOIN (SELECT r, r2, s / total AS sup FROM pg{k} JOIN pf{k} USING (r2)) USING (r, r2))"""
+    return out

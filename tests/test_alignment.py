@@ -10,7 +10,9 @@ from graphweld.functions import aggregators as agg
 from graphweld.operators import baselines, facts, fis, literals, metrics, rules
 from graphweld.operators import functionality as fun
 from graphweld.operators import twin as tw
-from graphweld.plans.engine import align, explain
+from graphweld.plans.fact_rules import PART
+from graphweld.plans.lineage import cut
+from graphweld.plans.engine import Params, align, explain, search
 
 FACTS = "h string, r string, t string"
 KIND = "h string, r string, t string, kind string, x double"
@@ -176,10 +178,67 @@ def test_seeds_stay(spark, people):
     assert {(r.t, r.t2): r.score for r in found.scores.collect()}["p1", "q2"] == 1.0
 
 
-def test_hub_bound_keeps_selective_evidence(people):
-    full, bounded = (align(*people, longest=1, theta_e=0.05, rounds=2, hub=h) for h in (None, 1))
-    key = lambda f: {(r.t, r.t2) for r in f.entities.collect()}
-    assert key(bounded) == key(full)
+def test_popular_heads_change_no_candidate(spark):
+    r = random.Random(2)
+    side = lambda mark, keep: [(f"{mark}{i}", k, v + w, "string", None) for i in range(60) for k, v, w in ((f"{mark}kind", '"', "abc"[i % 3] * 4), (f"{mark}town", '"', f"town{i % 7}"), (f"{mark}name", '"', f"name{i:03d}xyz")) if r.random() < keep]
+    a, b = (spark.createDataFrame(side(m, 0.7), KIND) for m in "ab")
+    ca, cb = facts.with_inverse(a).cache(), facts.with_inverse(b).cache()
+    heads = literals.matches(a, b).cache()
+    key = lambda df: {(x.t, x.t2) for x in df.select("t", "t2").collect()}
+    every = key(search(ca, cb, heads, None, Params(hub=None)))
+    assert every and all(key(search(ca, cb, heads, None, Params(hub=h))) == every for h in (1, 5, 12))
+
+
+def test_classes_are_found_through_instances(spark):
+    rows = lambda m, names: [x for i, n in enumerate(names) for x in ((f"{m}{i}", f"{m}name", '"' + n, "string", None), (f"{m}{i}", f"{m}type", f"{m}class{i % 2}", "class", None))]
+    names = ["aardvark", "buffalo", "crocodile", "dromedary", "elephant", "flamingo"]
+    found = align(spark.createDataFrame(rows("a", names), KIND), spark.createDataFrame(rows("b", names), KIND), longest=2)
+    assert found.settled
+    got = {(x.t, x.t2): x.score for x in found.entities.collect()}
+    assert got["aclass0", "bclass0"] == got["aclass1", "bclass1"] == 1.0 and len(got) == 8
+    assert ("atype", "btype", "equivalent") in {(x.r, x.r2, x.op) for x in rules.verdicts(found.relations).collect()}
+
+
+def test_few_ranks_suffice_or_all_are_taken(spark):
+    r = random.Random(4)
+    rows = [("t", "u", "r", f"h{r.randint(0, 3)}", "s", f"k{r.randint(0, 40)}", round(r.random(), 1) + 0.1, 0.5) for _ in range(150)] + [("v", "w", "r", "h", "s", f"k{i}", 0.5, 0.5) for i in range(30)]
+    cp = spark.createDataFrame(sorted(set(rows)), "t string, t2 string, r string, h string, r2 string, h2 string, s_h double, s_r double").cache()
+    plain = lambda df: sorted((x.t, x.n, str(x.a), str(x.b), round(x.hm_h, 9)) for x in df.collect())
+    full = plain(rules.prefixes(rules.ranked_lists(cp, 4, None), 4))
+    assert plain(rules.ranked_prefixes(cp, 4, first=3)) == plain(rules.ranked_prefixes(cp, 4)) == full
+
+
+def test_list_functionality_by_enumeration(spark):
+    r = random.Random(8)
+    f = spark.createDataFrame(list({(f"h{r.randint(0, 9)}", r.choice("pqs"), f"t{r.randint(0, 12)}") for _ in range(110)} | {(f"x{i}", "one", f"t{i % 5}") for i in range(9)}), FACTS)
+    f = cut(f)
+    lists: dict = {}
+    for x in fun.enumerate_lists(f, 3).collect():
+        lists.setdefault(tuple((y.r, y.h) for y in x["items"]), set()).add(x.t)
+    kinds = sorted({tuple(x[0] for x in k) for k in lists})
+    want = {k: sum(1 for x in lists if tuple(y[0] for y in x) == k) / sum(len(v) for x, v in lists.items() if tuple(y[0] for y in x) == k) for k in kinds}
+    needed = spark.createDataFrame([(list(k),) for k in kinds], "rels array<string>")
+    got = {tuple(x.rels): x.f for x in fun.global_lists(f, needed, 3).collect()}
+    assert got == pytest.approx(want)
+    counted = {tuple(x.rels): x.n for x in fun.list_counts(f, needed).collect()}
+    assert counted == pytest.approx({k: sum(len(v) for x, v in lists.items() if tuple(y[0] for y in x) == k) for k in kinds})
+    asked = spark.createDataFrame([([{"r": a, "h": b} for a, b in k],) for k in lists], "items array<struct<r:string,h:string>>")
+    here = {tuple((y.r, y.h) for y in x["items"]): x.f for x in fun.local_lists(f, asked).collect()}
+    assert here == pytest.approx({k: 1 / len(v) for k, v in lists.items()})
+    near = {tuple(x.rels): x.f for x in fun.global_lists(f, needed, 3, budget=50).collect()}
+    assert all(abs(near[k] - want[k]) < 0.1 for k in kinds)
+
+
+def test_delta_equals_full_and_alternative_form(spark):
+    tables = system(spark, [("min", ["a", "b"], "c"), ("hmean", ["c", "a"], "b"), ("mean", ["b", "c"], "d")], {"a": 0.8, "b": 0.3, "c": 0.1, "d": 0.0})
+    one, two = ({x.var: x.value for x in fis.solve(*tables, epsilon=1e-3, rounds=12, delta=d).collect()} for d in (True, False))
+    assert one == pytest.approx(two, abs=1e-2)
+    assert {x.var: x.fixed for x in fis.normalised(tables[0], tables[2]).collect()} == {"a": True, "b": False, "c": False, "d": False}
+
+
+def test_pairing_by_place(spark):
+    cp = spark.createDataFrame([("t", "u", "a", "h1", "x", "k1", 1.0, 1.0), ("t", "u", "b", "h2", "y", "k2", 0.5, 1.0), ("v", "w", "a", "h1", "y", "k2", 1.0, 1.0), ("v", "w", "b", "h2", "x", "k1", 1.0, 1.0)], "t string, t2 string, r string, h string, r2 string, h2 string, s_h double, s_r double")
+    assert {(x.t, len(x["items"])) for x in rules.positional_lists(cp).collect()} == {("t", 2)}
 
 
 def test_tiny_twin(spark, tiny_dir):
@@ -199,12 +258,17 @@ def test_baselines(spark, people):
     assert all(math.isclose(r.s, 1, abs_tol=1e-6) for r in s.collect())
 
 
-def test_nulls_give_no_facts(spark):
-    assert facts.inverse_name(F.lit("r")) is not None
-    f = facts.with_inverse(facts.with_inverse(triples(spark, "a r b")).select("h", "r", "t"))
+def test_inverses_of_inverses(spark):
+    f = facts.with_inverse(facts.with_inverse(triples(spark, "a r b")))
     assert {(r.h, r.r, r.t) for r in f.collect()} == {("a", "r", "b"), ("b", "r~", "a")}
 
 
+def test_nulls_give_no_facts(spark, tmp_path):
+    spark.createDataFrame([(1, "one", None, "k", 5, 1.5), (None, "two", "b", "k", 6, 2.5), (2, None, "b", None, None, None)], "p_partkey long, p_name string, p_brand string, p_type string, p_size int, p_retailprice double").write.parquet(str(tmp_path / "part.parquet"))
+    got = {(r.h, r.r, r.t) for r in facts.build(spark, str(tmp_path), PART).collect()}
+    assert got == {("part/1", "label", '"one'), ("part/1", "kind", '"k'), ("part/1", "size", "#500"), ("part/1", "price", "#150"), ("part/2", "brand", '"b')}
+
+
 def test_feature_propagation_counts_common_grams(spark):
     fact = "h string, r string, t string, kind string, x double"
     said = [("e", "common"), *[(f"p{i}", f"common {i:04d}") for i in range(210)], *[(f"s{i}", f"{i:04d} common") for i in range(210)]]
