@@ -7,13 +7,13 @@ the last return the columns of ``documents``.
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphweld.llm import mixing, quality_bayes, simhash_bk, suffix_dedup, token_packing
+from graphweld.llm.common import delete_folder, shared_folder
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -46,16 +46,19 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 STAGES = [("quality_classifier", quality), ("simhash_near_dedup", near_dedup), ("suffix_array_dedup", suffix_strip), ("mix_sources", mix_sources), ("best_fit_packing", pack)]
-#: SQL can't express the stages; tests/llm/test_operators.py holds each operator against a plain version or its invariants, test_pipeline.py the counts of the chain.
+#: SQL can't express the stages; tests/llm/test_operators.py holds their operators against plain versions or invariants, test_pipeline.py only the counts and columns of the chain.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``; the last one's rows."""
-    top = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="graphweld-")
-    home = f"{top}/pipeline-{uuid.uuid4().hex}"
+    """All stages over ``documents``; the last one's rows. A stage's folder is deleted when the next one is written; the last one's input stays, as the result reads it."""
+    home = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    before = None
     for name, stage in STAGES[:-1]:
         stage(spark, docs, sf_dir).write.parquet(f"{home}/{name}")
         docs = spark.read.parquet(f"{home}/{name}")
+        if before:
+            delete_folder(spark, before)
+        before = f"{home}/{name}"
     return STAGES[-1][1](spark, docs, sf_dir)
