@@ -51,6 +51,8 @@ from graphweld.llm.components import components
 BITS, RADIUS, SHINGLE, SEED = 64, 4, 4, 42
 #: Fingerprints that one task holds of one shard.
 SHARD = 4096
+#: Tasks among which the fingerprints of one component are dealt to learn its smallest doc_id.
+CELLS = 16
 #: Up to this many in a tree are searched one by one, more of them together.
 SMALL = 24
 
@@ -350,9 +352,11 @@ def cluster(documents: DataFrame, radius: int = RADIUS, shingle: int = SHINGLE)
     marked = cut(fingerprints(documents, shingle))
     distinct = marked.groupBy("fp").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("copies"))
     labels = components(near_links(distinct.select("fp"), radius))
-    named = distinct.join(labels.withColumnRenamed("node", "fp"), "fp", "left").withColumn("label", F.coalesce("label", "fp"))
-    least = named.groupBy("label").agg(F.min("first").alias("component_id"))
-    named = named.join(least, "label").select("fp", "component_id", "copies")
+    named = distinct.join(labels.withColumnRenamed("node", "fp"), "fp", "left")
+    named = named.select("fp", "first", "copies", F.coalesce("label", "fp").alias("label"), F.col("label").isNotNull().alias("linked"), F.pmod(F.xxhash64("fp"), F.lit(CELLS)).alias("cell"))
+    least = named.filter("linked").groupBy("label", "cell").agg(F.min("first").alias("m")).groupBy("label").agg(F.min("m").alias("m"))
+    least = least.withColumn("cell", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(CELLS - 1).cast("long"))))
+    named = named.join(least, ["label", "cell"], "left").select("fp", F.coalesce("m", "first").alias("component_id"), "copies")
     return marked.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "copies")
 
 
