@@ -36,6 +36,24 @@ def drain(stream: DataFrame, mode: str) -> DataFrame:
     return spark.table(name)
 
 
+def late_rows(parts: list[DataFrame], key: str, late: str = "10 minutes") -> list[int]:
+    """How many rows of each part (key, ts, ...) came after the watermark had passed them, by the counter of the operator that drops them.
+
+    The parts arrive one after the other. Each is a run of the same query,
+    which goes on from its checkpoint as it does after a restart.
+    """
+    spark = parts[0].sparkSession
+    home = f"{shared_folder(spark)}/late-{uuid.uuid4().hex}"
+    found = []
+    for part in parts:
+        part.write.mode("append").parquet(f"{home}/rows")
+        rows = spark.readStream.schema(part.schema).parquet(f"{home}/rows").withWatermark("ts", late).dropDuplicatesWithinWatermark([key])
+        query = rows.writeStream.outputMode("append").format("noop").option("checkpointLocation", f"{home}/state").trigger(availableNow=True).start()
+        query.awaitTermination()
+        found.append(sum(o["numRowsDroppedByWatermark"] for p in query.recentProgress for o in p["stateOperators"]))
+    return found
+
+
 def functionality(facts: DataFrame) -> DataFrame:
     """(r, h, n): tails of each head so far; fun(r, h) is 1/n and fun(r) the heads over the sum."""
     return facts.groupBy("r", "h").agg(F.count(F.lit(1)).alias("n"))

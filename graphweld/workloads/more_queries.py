@@ -525,6 +525,14 @@ def stream_stream_join(spark, d):
     return streams.drain(streams.both_sides(f("click"), f("purchase")), "append").select("h", "t", "t2")
 
 
+@query("SELECT 'purchases' AS part, 0 AS late UNION ALL SELECT 'rest', count(*) FROM events WHERE event_type <> 'purchase' AND ts <= (SELECT date_trunc('milliseconds', max(ts)) - INTERVAL 10 MINUTE FROM events WHERE event_type = 'purchase')")
+def stream_late_rows(spark, d):
+    """Purchases arrive first; of the other events, those are late that the watermark has passed by then."""
+    rows = table(spark, d, "events").select("event_id", "event_type", F.col("ts").cast("timestamp").alias("ts"))
+    found = streams.late_rows([rows.filter("event_type = 'purchase'"), rows.filter("event_type <> 'purchase'")], "event_id")
+    return spark.createDataFrame(list(zip(("purchases", "rest"), found, strict=True)), "part string, late long")
+
+
 @query("SELECT c_mktsegment AS segment, count(*) AS pairs FROM (SELECT a.c_mktsegment FROM customer a JOIN customer b ON a.c_mktsegment = b.c_mktsegment AND a.c_custkey < b.c_custkey AND a.c_nationkey = b.c_nationkey) GROUP BY 1")
 def join_salted_self(spark, d):
     """A self-join on a key with few values: one side is dealt into cells of the key, the other is copied to each."""

@@ -13,7 +13,7 @@ TABLES = "region nation customer supplier part orders lineitem events documents
 QUICK = [
     "kg_facts_part", "kg_facts_full", "kg_nodes_by_kind", "twin_facts_tiny", "fun_local", "list_enum_2", "fun_list_global_2", "list_pairs_binomial", "fun_list_on_demand", "fuzzify_price", "mamdani_cap_combine",
     "agg_hmean", "agg_product", "lit_numbers_band", "lit_top1", "counterparts_part", "candidates_structural", "entity_round0", "align_two_rounds", "metrics_prf", "explain_best_pair", "sql_fn_hmean", "base_probabilistic_round1", "join_asof", "join_interval",
-    "agg_grouping_sets", "win_running_hmean", "doc_benchmark_containment", "page_facts", "event_json_facts", "udtf_lists", "stream_functionality", "stream_sessions", "stream_dedup",
+    "agg_grouping_sets", "win_running_hmean", "doc_benchmark_containment", "page_facts", "event_json_facts", "udtf_lists", "stream_functionality", "stream_sessions", "stream_dedup", "stream_late_rows",
 ]
 
 
