@@ -58,6 +58,39 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 _RULE_ROWS = ", ".join(f"('{v}', '{h}', '{p}')" for v, h, p in url_rules.RULES)
 
 ORACLE: dict[str, str] = {
+    # the level is that of the first source, by the level at which it fills up, that isn't full at it
+    "op2_mix_sources": """
+        WITH docs AS (
+            SELECT doc_id, source, coalesce(len(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')), 0)::BIGINT AS size,
+                   ('0x' || left(md5(concat_ws('|', 20, doc_id, text)), 15))::BIGINT AS k FROM documents),
+        sums AS (SELECT source, sum(size)::BIGINT AS source_size, row_number() OVER (ORDER BY source NULLS LAST) AS o FROM docs GROUP BY source),
+        per AS (SELECT *, [1.0, 2.0, 3.0][((o - 1) % 3 + 1)::INT]::DOUBLE AS w, 3.0::DOUBLE * source_size AS cap FROM sums),
+        tried AS (
+            SELECT p.o, p.w, p.cap, ((SELECT sum(source_size) FROM per) - coalesce(sum(q.cap), 0)) / ((SELECT sum(w) FROM per) - coalesce(sum(q.w), 0)) AS level
+            FROM per p LEFT JOIN per q ON (q.cap / q.w, q.o) < (p.cap / p.w, p.o) GROUP BY p.o, p.w, p.cap),
+        found AS (SELECT level FROM tried WHERE cap >= level * w ORDER BY cap / w, o LIMIT 1),
+        goal AS (SELECT source, source_size, coalesce(least(cap, (SELECT level FROM found) * w), cap) AS target FROM per),
+        runs AS (
+            SELECT d.*, g.source_size, g.target, round(g.target)::BIGINT AS budget,
+                   coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY k, doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before
+            FROM docs d JOIN goal g ON d.source IS NOT DISTINCT FROM g.source),
+        cuts AS (SELECT *, CASE WHEN source_size > 0 THEN budget // source_size ELSE 0 END AS epochs FROM runs)
+        SELECT doc_id, size, source_size, target, (epochs * size + greatest(0, least(size, budget - epochs * source_size - before)))::BIGINT AS taken FROM cuts""",
+    # all windows of 200 bytes, as hexadecimal digits, cut from pieces of 399 bytes; then runs of starts at most 200 apart
+    "op7_suffix_dedup": """
+        WITH texts AS MATERIALIZED (SELECT row_number() OVER (ORDER BY doc_id, text) AS k, doc_id, hex(encode(coalesce(text, ''))) AS x FROM documents),
+        pieces AS (SELECT k, 200 * j AS off, substr(x, 400 * j + 1, 798) AS y FROM (SELECT k, x, unnest(range((len(x) // 2 + 199) // 200)) AS j FROM texts)),
+        windows AS MATERIALIZED (SELECT k, off + o AS a, md5_number(substr(y, 2 * o + 1, 400)) AS w FROM (SELECT k, off, y, unnest(range(len(y) // 2 - 199)) AS o FROM pieces WHERE len(y) >= 400)),
+        hits AS (SELECT k, a FROM windows WHERE w IN (SELECT w FROM windows GROUP BY w HAVING count(*) > 1)),
+        marked AS (SELECT k, a, coalesce(a - lag(a) OVER (PARTITION BY k ORDER BY a) > 200, true) AS fresh FROM hits),
+        numbered AS (SELECT k, a, sum(fresh::INT) OVER (PARTITION BY k ORDER BY a) AS run FROM marked),
+        runs AS (SELECT k, run, min(a) AS a, max(a) + 200 AS b FROM numbered GROUP BY k, run),
+        gaps AS (
+            SELECT k, coalesce(lag(b) OVER (PARTITION BY k ORDER BY a), 0) AS a, a AS b FROM runs
+            UNION ALL SELECT k, max(b), NULL FROM runs GROUP BY k UNION ALL SELECT k, 0, NULL FROM texts WHERE k NOT IN (SELECT k FROM runs)),
+        rests AS (SELECT k, string_agg(CASE WHEN b IS NULL THEN substr(x, 2 * a + 1) ELSE substr(x, 2 * a + 1, 2 * (b - a)) END, '' ORDER BY a, b NULLS LAST) AS rest FROM gaps JOIN texts USING (k) GROUP BY k)
+        SELECT doc_id, (len(x) // 2)::BIGINT AS n_bytes, ((len(x) - len(rest)) // 2)::BIGINT AS n_removed, coalesce(n, 0)::BIGINT AS n_spans, sha256(unhex(rest)) AS kept_sha256
+        FROM texts JOIN rests USING (k) LEFT JOIN (SELECT k, count(*) AS n FROM runs GROUP BY k) USING (k)""",
     "op9_url_rules": f"""
         WITH rules(verdict, rule_host, rule_path) AS (VALUES {_RULE_ROWS}),
         parts AS (

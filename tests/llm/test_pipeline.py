@@ -1,5 +1,8 @@
 """The stages of the corpus pipeline on the smallest tables."""
 
+import duckdb
+import pytest
+
 import corpus_pipeline
 from graphweld.llm import queries
 
@@ -19,3 +22,15 @@ def test_stages(spark, tiny_dir, tmp_path):
 
 def test_registered():
     assert sorted(int(n[2:].split("_")[0]) for n in queries.queries()) == list(range(1, 11))
+
+
+@pytest.mark.parametrize("name", sorted(queries.ORACLE))
+def test_same_as_sql(spark, tiny_dir, name):
+    duck = duckdb.connect()
+    for t in ("documents", "pages"):
+        duck.sql(f"CREATE VIEW {t} AS SELECT * FROM '{tiny_dir}/{t}.parquet'")
+    df, want = queries.queries()[name](spark, tiny_dir), duck.sql(queries.ORACLE[name])
+    columns = sorted(df.columns)
+    assert columns == sorted(want.columns)
+    rows = lambda found: sorted(map(repr, found))
+    assert rows(tuple(r) for r in df.select(*columns).collect()) == rows(want.select(*columns).fetchall())
