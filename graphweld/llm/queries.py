@@ -57,7 +57,64 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 _RULE_ROWS = ", ".join(f"('{v}', '{h}', '{p}')" for v, h, p in url_rules.RULES)
 
+#: Fixed values of XXH64.
+_P1, _P2, _P3, _P4, _P5 = 11400714785074694791, 14029467366897019727, 1609587929392839161, 9650029242287828579, 2870177450012600261
+
+
+def _mod(x: str) -> str:
+    return f"(({x}) % {1 << 64}::UHUGEINT)"
+
+
+def _turn(x: str, bits: int) -> str:
+    """x turned left within 64 bits."""
+    return f"({_mod(f'{x} * {1 << bits}::UHUGEINT')} + {x} // {1 << (64 - bits)}::UHUGEINT)"
+
+
+def _lane(acc: str, x: str) -> str:
+    return _mod(f"{_turn(_mod(f'{acc} + {_mod(f"{x} * {_P2}::UHUGEINT")}'), 31)} * {_P1}::UHUGEINT")
+
+
+def _step(h: str, x: str, turn: int, factor: int, plus: int) -> str:
+    return _mod(f"{_turn(f'xor({h}, {x})', turn)} * {factor}::UHUGEINT + {plus}")
+
+
+def _hash_sql(seed: int) -> str:
+    """Common tables that end in ``hashed``: shingle and its XXH64 as h, for the distinct rows of a table ``shingles`` (shingle)."""
+    number = lambda a, b: f"list_reduce(list_reverse(bytes[{a}:{b}]), lambda x, y: x * 256 + y)"
+    starts = [(seed + _P1 + _P2) % (1 << 64), (seed + _P2) % (1 << 64), seed, (seed - _P1) % (1 << 64)]
+    accs = ", ".join(f"list_reduce([{v}::UHUGEINT] || list_transform(range(n // 32), lambda i: lanes[4 * i + {j}]), lambda x, y: {_lane('x', 'y')}) AS v{j}" for j, v in enumerate(starts, 1))
+    long = _mod(" + ".join(_turn(f"v{j}", t) for j, t in enumerate((1, 7, 12, 18), 1)))
+    mix = lambda h, v: _mod(f"xor({h}, {_lane('0::UHUGEINT', v)}) * {_P1}::UHUGEINT + {_P4}::UHUGEINT")
+    return f"""
+        bytes AS (SELECT shingle, strlen(shingle) AS n, list_transform(range(strlen(shingle)), lambda i: ('0x' || substr(hex(encode(shingle)), 2 * i + 1, 2))::INT::UHUGEINT) AS bytes FROM (SELECT DISTINCT shingle FROM shingles)),
+        lanes AS (SELECT *, list_transform(range(n // 8), lambda k: {number("8 * k + 1", "8 * k + 8")}) AS lanes FROM bytes),
+        accs AS (SELECT *, {accs} FROM lanes),
+        heads AS (SELECT *, {long} AS w FROM accs),
+        started AS (SELECT *, {_mod(f"CASE WHEN n < 32 THEN {(seed + _P5) % (1 << 64)}::UHUGEINT ELSE list_reduce([w, v1, v2, v3, v4], lambda x, y: {mix('x', 'y')}) END + n::UHUGEINT")} AS h0 FROM heads),
+        eights AS (SELECT *, list_reduce([h0] || lanes[4 * (n // 32) + 1 :], lambda x, y: {_step("x", _lane("0::UHUGEINT", "y"), 27, _P1, _P4)}) AS h1 FROM started),
+        fours AS (SELECT *, CASE WHEN n % 8 >= 4 THEN {_step("h1", _mod(f"{number('n - n % 8 + 1', 'n - n % 8 + 4')} * {_P1}::UHUGEINT"), 23, _P2, _P3)} ELSE h1 END AS h2 FROM eights),
+        ones AS (SELECT *, list_reduce([h2] || bytes[n - n % 4 + 1 :], lambda x, y: {_step("x", _mod(f"y * {_P5}::UHUGEINT"), 11, _P1, 0)}) AS h3 FROM fours),
+        first_mix AS (SELECT shingle, {_mod(f"xor(h3, h3 // {1 << 33}::UHUGEINT) * {_P2}::UHUGEINT")} AS h4 FROM ones),
+        second_mix AS (SELECT shingle, {_mod(f"xor(h4, h4 // {1 << 29}::UHUGEINT) * {_P3}::UHUGEINT")} AS h5 FROM first_mix),
+        hashed AS MATERIALIZED (SELECT shingle, xor(h5, h5 // {1 << 32}::UHUGEINT)::UBIGINT AS h FROM second_mix)"""
+
+
 ORACLE: dict[str, str] = {
+    "op3_simhash_bk": f"""
+        WITH RECURSIVE docs AS (
+            SELECT row_number() OVER (ORDER BY doc_id, text) AS k, doc_id,
+                   regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents),
+        shingles AS MATERIALIZED (SELECT k, unnest(list_transform(range(1, greatest(len(w) - 2, 2)), lambda i: array_to_string(w[i : i + 3], ' '))) AS shingle FROM docs WHERE len(w) > 0),
+        {_hash_sql(42)},
+        counted AS (SELECT k, h, count(*) AS c FROM shingles JOIN hashed USING (shingle) GROUP BY k, h),
+        bits AS (SELECT k, b, sum(c * ((h >> b::UBIGINT) & 1::UBIGINT)::INT) AS ones, sum(c) AS n FROM counted, range(64) t(b) GROUP BY k, b),
+        majority AS (SELECT k, bit_or(CASE WHEN 2 * ones > n THEN 1::UHUGEINT << b::UHUGEINT ELSE 0::UHUGEINT END)::UBIGINT AS fp FROM bits GROUP BY k),
+        marked AS MATERIALIZED (SELECT doc_id, coalesce(fp, 0::UBIGINT) AS fp FROM docs LEFT JOIN majority USING (k)),
+        prints AS MATERIALIZED (SELECT fp, min(doc_id) AS first, count(*) AS copies FROM marked GROUP BY fp),
+        links AS MATERIALIZED (SELECT a.fp AS a, b.fp AS b FROM prints a, prints b WHERE a.fp <> b.fp AND bit_count(xor(a.fp, b.fp)::HUGEINT) <= 4),
+        reach(a, b) AS (SELECT fp, fp FROM prints UNION SELECT r.a, l.b FROM reach r JOIN links l ON l.a = r.b),
+        least_id AS (SELECT a, min(first) AS component_id FROM reach JOIN prints ON fp = b GROUP BY a)
+        SELECT doc_id, lpad(lower(hex(fp)), 16, '0') AS fingerprint, component_id, copies FROM marked JOIN prints USING (fp) JOIN least_id ON a = fp""",
     # the level is that of the first source, by the level at which it fills up, that isn't full at it
     "op2_mix_sources": """
         WITH docs AS (
