@@ -289,7 +289,7 @@ def intervals(key: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarra
     order = np.lexsort((start, key))
     key, start = key[order], start[order]
     new = np.flatnonzero(np.concatenate(([True], (key[1:] != key[:-1]) | (start[1:] > start[:-1] + 1)))) if len(key) else np.zeros(0, np.int64)
-    last = np.append(new[1:], len(key)) - 1
+    last = np.append(new[1:], len(key))[: len(new)] - 1
     return key[new], start[new], start[last]
 
 
