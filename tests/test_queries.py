@@ -41,6 +41,20 @@ def test_same_as_sql(spark, duck, tiny_dir, name):
     assert sorted(tuple(map(plain, r)) for r in df.select(*columns).collect()) == sorted(tuple(plain(r[i]) for i in order) for r in want.fetchall())
 
 
+@pytest.mark.parametrize("name", ["twin_gold_entities", "twin_dangling"])
+def test_gold_with_repeated_opaque_names(spark, tiny_dir, tmp_path, name):
+    """Keys over 1000003 share their names in the second graph with smaller ones."""
+    connection = duckdb.connect()
+    for t in ("region", "nation", "customer", "supplier", "part", "orders", "lineitem"):
+        moved = {"orders": "o_orderkey", "lineitem": "l_orderkey"}.get(t)
+        copy = f"UNION ALL SELECT * REPLACE ({moved} + 1000003 AS {moved}) FROM '{tiny_dir}/{t}.parquet'" if moved else ""
+        connection.sql(f"COPY (SELECT * FROM '{tiny_dir}/{t}.parquet' {copy}) TO '{tmp_path}/{t}.parquet'")
+        connection.sql(f"CREATE VIEW {t} AS SELECT * FROM '{tmp_path}/{t}.parquet'")
+    want = connection.sql(registry.oracle_sql()[name])
+    got = registry.queries()[name](spark, str(tmp_path)).select(*want.columns).collect()
+    assert sorted(map(tuple, got)) == sorted(want.fetchall())
+
+
 def test_entry_and_registry(spark):
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries()) and len(registry.queries()) > 90
