@@ -12,7 +12,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphweld.plans.lineage import shared_folder, table
+from graphweld.plans.lineage import delete_folder, shared_folder, table
 
 
 def events(spark: SparkSession, sf_dir: str, files: int = 1) -> DataFrame:
@@ -27,13 +27,28 @@ def triples(stream: DataFrame) -> DataFrame:
 
 
 def drain(stream: DataFrame, mode: str) -> DataFrame:
-    """Runs a stream over what is there and returns the final table. mode: append or complete."""
+    """Runs a stream over what is there and returns the final table, written in the shared folder: no row comes to the driver. mode: append or complete.
+
+    In complete mode every micro-batch is the whole table, so the last one stays.
+    """
     spark = stream.sparkSession
-    name = f"s_{uuid.uuid4().hex}"
-    home = f"{shared_folder(spark)}/{name}"
-    query = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", home).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return spark.table(name)
+    home = f"{shared_folder(spark)}/s_{uuid.uuid4().hex}"
+    writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{home}/state").trigger(availableNow=True)
+    if mode == "append":
+        writer.format("parquet").option("path", f"{home}/rows").start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(f"{home}/rows")
+    done: list[str] = []
+
+    def write(batch: DataFrame, k: int) -> None:
+        path = f"{home}/rows-{k}"
+        batch.write.mode("overwrite").parquet(path)
+        for old in done:
+            if old != path:
+                delete_folder(spark, old)
+        done[:] = [path]
+
+    writer.foreachBatch(write).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(done[0]) if done else spark.createDataFrame([], stream.schema)
 
 
 def late_rows(parts: list[DataFrame], key: str, late: str = "10 minutes") -> list[int]:

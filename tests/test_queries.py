@@ -7,6 +7,7 @@ import __spark_entry__ as entry
 from graphweld.operators import facts
 from graphweld.plans.fact_rules import PART
 from graphweld.sources import triples
+from graphweld.streaming import streams
 from graphweld.workloads import registry
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -64,6 +65,21 @@ def test_of_the_tables_and_same_as_sql(spark, duck, tiny_dir, name):
     assert rows and (name == "twin_gold_relations" or "part.parquet" in " ".join(df.inputFiles()))
 
 
+@pytest.mark.parametrize("mode", ["append", "complete"])
+def test_drained_streams_are_written_tables(spark, tmp_path, mode):
+    rows = spark.createDataFrame([(i, f"k{i % 3}") for i in range(30)], "n int, k string")
+    for part in range(3):  # three micro-batches
+        rows.filter(f"n % 3 = {part}").coalesce(1).write.parquet(str(tmp_path / "in"), mode="append")
+    stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    found = streams.drain(stream if mode == "append" else stream.groupBy("k").count(), mode)
+    want = rows.collect() if mode == "append" else [(f"k{i}", 10) for i in range(3)]
+    assert sorted(map(tuple, found.collect())) == sorted(map(tuple, want))
+    assert found.inputFiles()  # read from files, not from rows that the driver holds
+    (tmp_path / "none").mkdir()
+    nothing = spark.readStream.schema(rows.schema).parquet(str(tmp_path / "none"))
+    assert streams.drain(nothing if mode == "append" else nothing.groupBy("k").count(), mode).count() == 0
+
+
 def test_entry_and_registry(spark):
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries()) and len(registry.queries()) > 90
