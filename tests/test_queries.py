@@ -5,6 +5,7 @@ import pytest
 
 import __spark_entry__ as entry
 from graphweld.operators import facts
+from graphweld.operators import functionality as fun
 from graphweld.plans.fact_rules import PART
 from graphweld.sources import triples
 from graphweld.streaming import streams
@@ -65,6 +66,13 @@ def test_of_the_tables_and_same_as_sql(spark, duck, tiny_dir, name):
     assert rows and (name == "twin_gold_relations" or "part.parquet" in " ".join(df.inputFiles()))
 
 
+def test_facts_are_not_broadcast(spark, tiny_dir):
+    f = facts.with_inverse(facts.build(spark, tiny_dir, PART))
+    for df in (fun.pairs(f), fun.pair_counts(f), fun.enumerate_lists(f, 2), fun.pair_mean_local(f)):
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
+
+
 @pytest.mark.parametrize("mode", ["append", "complete"])
 def test_drained_streams_are_written_tables(spark, tmp_path, mode):
     rows = spark.createDataFrame([(i, f"k{i % 3}") for i in range(30)], "n int, k string")
