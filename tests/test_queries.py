@@ -6,6 +6,7 @@ import pytest
 import __spark_entry__ as entry
 from graphweld.operators import facts
 from graphweld.operators import functionality as fun
+from graphweld.operators import literals
 from graphweld.plans.fact_rules import PART
 from graphweld.sources import triples
 from graphweld.streaming import streams
@@ -66,6 +67,29 @@ def test_of_the_tables_and_same_as_sql(spark, duck, tiny_dir, name):
     assert rows and (name == "twin_gold_relations" or "part.parquet" in " ".join(df.inputFiles()))
 
 
+def test_close_numbers_equal_brute_force(spark):
+    rows = [("a", 0.0), ("b", 5.0), ("b", 5.0 * (1 + 4e-10)), ("c", -5.0), ("d", 5.0 * (1 + 8e-10)), ("d", 7.0), ("e", 7.0), ("f", None), ("g", 5.0 * (1 + 2e-9))]
+    a = spark.createDataFrame(rows, "n string, x double")
+    found = literals.numbers_close(a, a.withColumnsRenamed({"n": "n2", "x": "x2"}))
+    want = {(n, m) for n, x in rows for m, y in rows if None not in (x, y) and abs(x - y) <= 1e-9 * max(abs(x), abs(y))}
+    assert sorted(map(tuple, found.collect())) == sorted(want)
+    plan = found._jdf.queryExecution().optimizedPlan().toString().splitlines()
+    assert plan[0].startswith("Union")  # pairs of ids with one value aren't made distinct by a shuffle
+
+
+def test_lsh_best_equal_all_pairs_that_meet(spark):
+    """With one key for all vectors every pair meets, so the best is that of the exact search; vectors are shuffled by key only."""
+    v = [(i, [float((i * 7 + j * j) % 11) - 5.0 + (j == i % 8) for j in range(8)]) for i in range(40)]
+    a = spark.createDataFrame(v, "id long, v array<double>")
+    b = a.withColumnsRenamed({"id": "id2", "v": "v2"})
+    found = literals.vector_lsh(a, b, dimension=8, tables=2, bits=0)
+    want = literals.vector_top1(a, b)
+    tell = lambda df: sorted((r.id, r.id2, round(r.sim, 9)) for r in df.collect())
+    assert tell(found) == tell(want)
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert not [x for x in plan.splitlines() if "hashpartitioning(id" in x and "id2" in x]
+
+
 def test_facts_are_not_broadcast(spark, tiny_dir):
     f = facts.with_inverse(facts.build(spark, tiny_dir, PART))
     for df in (fun.pairs(f), fun.pair_counts(f), fun.enumerate_lists(f, 2), fun.pair_mean_local(f)):
