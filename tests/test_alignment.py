@@ -10,6 +10,7 @@ from graphweld.functions import aggregators as agg
 from graphweld.operators import baselines, facts, fis, literals, metrics, rules
 from graphweld.operators import functionality as fun
 from graphweld.operators import twin as tw
+from graphweld.operators.overlap import most_shared
 from graphweld.plans.fact_rules import PART
 from graphweld.plans.lineage import cut
 from graphweld.plans.engine import Params, align, explain, search
@@ -189,6 +190,19 @@ def test_popular_heads_change_no_candidate(spark):
     assert every and all(key(search(ca, cb, heads, None, Params(hub=h))) == every for h in (1, 5, 12))
 
 
+def test_partners_are_counted_in_blocks(spark):
+    draw = random.Random(7)
+    kinds = ["r", "s"]
+    a = spark.createDataFrame([(f"h{draw.randrange(6)}", draw.choice(kinds), f"t{i % 40}") for i in range(160)], "h string, r string, t string").distinct()
+    b = spark.createDataFrame([(f"k{draw.randrange(6)}", draw.choice(kinds) + "2", f"u{i % 50}") for i in range(200)], "h string, r string, t string").distinct()
+    heads = spark.createDataFrame([(f"h{i}", f"k{(i + d) % 6}", s) for i in range(6) for d, s in ((0, 1.0), (1, 0.5), (2, 0.0))], "h string, h2 string, s double")
+    sims = spark.createDataFrame([("r", "r2", 1.0), ("s", "s2", 0.5), ("s", "r2", 0.2), ("r", "s2", 0.0)], "r string, r2 string, s_r double")
+    key = lambda df: sorted((r.t, r.t2) for r in df.collect())
+    for relations in (None, sims):
+        every = key(rules.candidates(rules.counterparts(a, b, heads, relations)))
+        assert every and all(key(most_shared(a, b, heads, relations, *sizes)) == every for sizes in ((50_000, 300_000), (7, 30)))
+
+
 def test_classes_are_found_through_instances(spark):
     rows = lambda m, names: [x for i, n in enumerate(names) for x in ((f"{m}{i}", f"{m}name", '"' + n, "string", None), (f"{m}{i}", f"{m}type", f"{m}class{i % 2}", "class", None))]
     names = ["aardvark", "buffalo", "crocodile", "dromedary", "elephant", "flamingo"]
