@@ -33,7 +33,6 @@ import re
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -219,13 +218,19 @@ def keep_good(documents: DataFrame, labels: DataFrame, sample: int = SAMPLE) ->
     """The documents that are kept, with all their columns; their texts are read again instead of being shuffled."""
     model, _, levels, prior = learn(documents, labels, sample)
 
-    @F.pandas_udf("double")
-    def evidence(body: pd.Series) -> pd.Series:
-        return pd.Series(model.logit(np.array([features(b or b"") for b in body]).reshape(-1, len(NAMES))))
-
     names = documents.columns
     own = ("evidence", "quality", "keep", "site_posterior", "path_posterior", "_s", "_l", "_n", "_good", "_site_n", "_site_good")
     taken = {c: f"_in_{i}" for i, c in enumerate(names) if c in own}
-    rows = documents.withColumnsRenamed(taken).withColumn("evidence", evidence(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
+    inputs = documents.withColumnsRenamed(taken)
+    kinds = dict(inputs.dtypes)
+
+    def make():
+        def work(part):
+            x = np.array([features(b or b"") for b in part.column("text").cast(pa.binary()).to_pylist()])
+            return {c: part.column(c) for c in kinds} | {"evidence": model.logit(x.reshape(-1, len(NAMES)))}
+
+        return work
+
+    rows = map_slices(inputs, "text", make, "".join(f"`{c}` {k}, " for c, k in kinds.items()) + "evidence double")
     kept = combined(rows, levels, prior, 1 / (1 + F.exp(-F.col("evidence")))).filter("keep").drop(*own)
     return kept.withColumnsRenamed({v: k for k, v in taken.items()}).select(*names)

@@ -40,14 +40,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphweld.llm.common import cut, map_slices
+from graphweld.llm.common import cut, give_back, map_slices
 
 LENGTH, GRAM = 200, 64
 #: Spans of one hash that a task sorts together.
 SHARD = 100_000
 #: Spans that are sorted at a time otherwise.
 BATCH = 32_000
-_SEGMENT = 1 << 20
+#: Bytes that are hashed at a time; the arrays for it take some 60 bytes each.
+_SEGMENT = 1 << 18
 _STEP = np.array([0x9E3779B97F4A7C15, 0xD1342543DE82EF95, 0xAF251AF3B0F025B5, 0xB564EF22EC7AECE5, 0xF7C2EBC08F67F2B5, 0x8CB92BA72F3D8DD7], np.uint64)
 
 
@@ -322,6 +323,8 @@ def sort_shards(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             held, size = [batch.slice(at)], len(batch) - at
     if held:
         yield solve(held)
+    held = batch = None
+    give_back()
 
 
 def hot_windows(hot: DataFrame) -> DataFrame:
