@@ -272,6 +272,21 @@ def test_baselines(spark, people):
     assert all(math.isclose(r.s, 1, abs_tol=1e-6) for r in s.collect())
 
 
+def test_names_are_judged_before_entities_meet(spark):
+    draw = random.Random(5)
+    words = ["abcdef", "abcdeg", "abcdfg", "xyzuvw", "xyzuvx", "lonely"]
+    side = lambda mark: [(f"{mark}{i}", f"{mark}name", '"' + w, "string", None) for i in range(30) for w in draw.sample(words, draw.choice((1, 1, 2)))]
+    a, b = (spark.createDataFrame(side(m), KIND) for m in "ab")
+    na, nb = baselines.names(a, ("aname",)), baselines.names(b, ("bname",)).withColumnsRenamed({"e": "e2", "s": "s2"})
+    sims = literals.strings_similar(na.select("s"), nb.select(F.col("s2").alias("s")), 0.3, 1)
+    pairs = na.join(sims, "s").join(nb, "s2").groupBy("e", "e2").agg(F.max("sim").alias("score"))
+    found = baselines.name_similarity(a, b, ("aname",), ("bname",), 0.3)
+    every = sorted(tuple(r) for r in rules.mutual_max(pairs, "e", "e2").select("e", "e2", "score").collect())
+    assert every and sorted(tuple(r) for r in found.collect()) == every
+    plan = found._jdf.queryExecution().sparkPlan().toString()
+    assert "Window" not in plan.split("SortMergeJoin")[0]  # pairs of entities aren't shuffled to be ranked
+
+
 def test_inverses_of_inverses(spark):
     f = facts.with_inverse(facts.with_inverse(triples(spark, "a r b")))
     assert {(r.h, r.r, r.t) for r in f.collect()} == {("a", "r", "b"), ("b", "r~", "a")}
