@@ -272,6 +272,19 @@ def test_baselines(spark, people):
     assert all(math.isclose(r.s, 1, abs_tol=1e-6) for r in s.collect())
 
 
+def test_sampled_lists_are_looked_up_either_way(spark):
+    draw = random.Random(3)
+    rows = lambda tails, heads: spark.createDataFrame([(f"h{draw.randrange(heads)}", r, f"t{i}") for i in range(tails) for r in "uvw" for _ in range(2)], "h string, r string, t string").distinct()
+    for f, n in ((rows(60, 4), 400), (rows(4, 40), 3)):  # popular heads, and tails with many facts
+        f = cut(f)
+        every = {tuple(r)[:4]: r.f for r in fun.of_head_pairs(f).collect()}
+        needed = dict(draw.sample(sorted(every.items()), min(n, len(every))))
+        asked = spark.createDataFrame([*needed], "r1 string, h1 string, r2 string, h2 string")
+        assert {tuple(r)[:4]: r.f for r in fun.head_pairs_among(f, asked).select("r1", "h1", "r2", "h2", "f").collect()} == needed
+        whole = {(r.r1, r.r2): r.f for r in fun.of_pairs(f).collect()}
+        assert {(r.r1, r.r2): r.f for r in fun.pair_sampled(f, 1 << 20).collect()} == pytest.approx(whole)
+
+
 def test_names_are_judged_before_entities_meet(spark):
     draw = random.Random(5)
     words = ["abcdef", "abcdeg", "abcdfg", "xyzuvw", "xyzuvx", "lonely"]
