@@ -317,3 +317,51 @@ def test_feature_propagation_counts_common_grams(spark):
     side = lambda mark: spark.createDataFrame([(mark + e, "name", '"' + s, "string", None) for e, s in said], fact)
     got = baselines.feature_propagation(side("a"), side("b"), ("name",), ("name",), hops=0).collect()
     assert {r.t2 for r in got if r.t == "ae"} == {"be"}
+
+
+def copies(spark, side, words, numbers):
+    """People with a name and a town, several of them alike in all facts, and a friend that some have."""
+    rng = random.Random(5)
+    rows = []
+    for i in range(24):
+        kept = [r for r in ("name", "town", "age") if rng.random() < 0.8]
+        for n in range(numbers):
+            x = f"{side}{i}-{n}"
+            rows += [(x, side + r, f'"{words} {r} {i % {"name": 8, "town": 3, "age": 4}[r]}', "string", None) for r in kept]
+            if i % 6 == 0 and n < 2:
+                rows.append((x, side + "friend", f"{side}{i + 1}-0", "person", None))
+    return spark.createDataFrame(rows, KIND)
+
+
+@pytest.mark.parametrize("changes", [{}, {"assign": "one", "seeded": True}])
+def test_entities_alike_are_scored_once(spark, monkeypatch, changes):
+    from graphweld.operators import alike as al
+
+    a, b = cut(copies(spark, "a", "some", 2)), cut(copies(spark, "b", "some", 3))
+    settings = dict(changes)
+    seeds = spark.createDataFrame([("a3-1", "b3-2"), ("a7-0", "b7-0")], "t string, t2 string") if settings.pop("seeded", False) else None
+
+    def run():
+        found = align(a, b, seeds=seeds, longest=2, rounds=2, theta_e=-1.0, counters=True, **settings)
+        pairs = lambda df: {(r.t, r.t2): (r.score, r.why) for r in df.collect()}
+        relations = {(r.r, r.r2): (r.sub, r.sup, r.cov, r.cov2) for r in found.relations.collect()}
+        return pairs(found.entities), pairs(found.scores), relations, [(h["lists"], h["pairs"], round(h["total"], 6)) for h in found.history]
+
+    folded = run()
+    assert al.alike(facts.with_inverse(a)).count() > 20
+    monkeypatch.setattr(al, "FACTS", 0)  # nobody is alike
+    assert al.alike(facts.with_inverse(a)).count() == 0
+    plain = run()
+    assert folded[1:] == plain[1:] and folded[0] == plain[0] and folded[0]
+
+
+def test_lists_of_tails_with_few_and_many_facts(spark, monkeypatch):
+    rng = random.Random(3)
+    rows = {(f"h{rng.randrange(5)}", f"r{rng.randrange(3)}", f"t{t}") for t in range(30) for _ in range(12 if t % 3 == 0 else 3)}
+    f = cut(spark.createDataFrame(sorted(rows), FACTS))
+    item = lambda i: F.struct(F.col(f"r{i}").alias("r"), F.col(f"h{i}").alias("h"))
+    items = cut(fun.of_head_pairs(f).select(F.array(item(1), item(2)).alias("items")))
+    want = {str(r["items"]): r.f for r in fun.local_lists(f, items).collect()}
+    for few in (0, 4, 100):
+        monkeypatch.setattr(fun, "FEW", few)
+        assert {str(r["items"]): r.f for r in fun.LocalLists(f, 2).of(items).collect()} == want
