@@ -365,3 +365,44 @@ def test_lists_of_tails_with_few_and_many_facts(spark, monkeypatch):
     for few in (0, 4, 100):
         monkeypatch.setattr(fun, "FEW", few)
         assert {str(r["items"]): r.f for r in fun.LocalLists(f, 2).of(items).collect()} == want
+
+
+def test_pairs_with_the_same_counterparts_are_one(spark, monkeypatch):
+    from graphweld.operators import shared as sh
+
+    draw = random.Random(11)
+    side = lambda mark, n: cut(spark.createDataFrame(sorted({(f"{mark}h{draw.randrange(4)}", mark + draw.choice("rs"), f"{mark}t{draw.randrange(n)}") for _ in range(3 * n)}), FACTS))
+    a, b = side("a", 20), side("b", 25)
+    heads = spark.createDataFrame([(f"ah{i}", f"bh{(i + d) % 4}", s) for i in range(4) for d, s in ((0, 1.0), (1, 0.5), (2, 0.0))], "h string, h2 string, s double")
+    sims = spark.createDataFrame([("ar", "br", 1.0), ("as", "bs", 0.5), ("ar", "bs", 0.2), ("as", "br", 0.0)], "r string, r2 string, s_r double")
+    row = lambda x: (x.r, x.h, x.r2, x.h2, x.s_h, x.s_r)
+    for relations in (None, sims):
+        cp = rules.counterparts(a, b, heads, relations)
+        want: dict = {}
+        for x in cp.collect():
+            want.setdefault((x.t, x.t2), set()).add(row(x))
+        for most in (256, 4):
+            monkeypatch.setattr(sh, "MOST", most)
+            found = sh.SharedPairs(sh.Facts(a), sh.Facts(b), heads, relations, cut(cp.select("t", "t2").distinct()))
+            sets: dict = {}
+            for x in found.counterparts(relations, 0.1).collect():
+                sets.setdefault((x.t, x.t2), set()).add(row(x))
+            alone = set() if found.large is None else {(x.t, x.t2) for x in found.large.collect()}
+            assert bool(alone) == (most == 4) and all(sets[k] == want[k] for k in sets)
+            stands = {(x.t, x.t2): (x.k, x.k2) for x in found.rows.collect()}
+            assert stands.keys() | alone == want.keys() and not stands.keys() & alone and set(stands.values()) == set(sets)
+            assert all(want[k] == want[v] for k, v in stands.items()) and len({frozenset(v) for v in sets.values()}) == len(sets) < len(stands)
+            every = found.spread(cp.groupBy("t", "t2").agg(F.count(F.lit(1)).alias("n")), "n").collect()
+            assert {(x.t, x.t2): x.n for x in every} == {k: len(v) for k, v in want.items()}
+
+
+def test_numbers_keep_the_order_of_names(spark):
+    from graphweld.operators.numbered import named, numbered, numbers
+
+    f = spark.createDataFrame([("!x", "r", "10"), ("b", "r", '"b'), ("9", "r", "#9"), ("b", "r", "~"), ("Z", "r", "@d")], FACTS)
+    n = cut(numbers(f, spark.createDataFrame([("seed",)], "t string")))
+    ids = {x.name: x.id for x in n.collect()}
+    assert sorted(ids) == sorted(ids, key=ids.get) and {k for k, i in ids.items() if i % 2} == {'"b', "#9", "@d"} and len(ids) == 10
+    told = numbered(f, ("h", n), ("t", n))
+    assert {(x.h, x.t) for x in told.filter(facts.is_literal(F.col("t"))).collect()} == {(ids["b"], ids['"b']), (ids["9"], ids["#9"]), (ids["Z"], ids["@d"])}
+    assert {tuple(x) for x in named(told, ("h", n), ("t", n)).collect()} == {tuple(x) for x in f.collect()}
