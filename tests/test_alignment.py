@@ -243,6 +243,44 @@ def test_list_functionality_by_enumeration(spark):
     assert all(abs(near[k] - want[k]) < 0.1 for k in kinds)
 
 
+def many_names(spark):
+    """Facts of 20 entities with 110 of 400 names each, 119,900 lists of two names, and the share of distinct ones."""
+    r = random.Random(5)
+    named = {f"t{i}": r.sample(range(400), 110) for i in range(20)}
+    lists = [(x, y) for names in named.values() for x in names for y in names if x < y]
+    return spark.createDataFrame([(t, "name", f'"{n:03}', "string", None) for t, names in named.items() for n in names], FACTS + ", kind string, x double"), len(set(lists)) / len(lists)
+
+
+def test_functionality_in_a_run_is_exact_whatever_the_size(spark):
+    f, want = many_names(spark)
+    rows = align(f, f, identity=True, longest=2, rounds=1, theta_r=1.0, theta_e=-1.0).scores.select("why.f1", "why.f3", "why.a").collect()
+    assert any(len(x.a) == 2 for x in rows) and all(x.f1 == x.f3 == pytest.approx(want, abs=1e-12) for x in rows if len(x.a) == 2)
+
+
+def test_pairs_in_blocks_equal_enumeration(spark, monkeypatch):
+    import pyarrow as pa
+
+    r = random.Random(9)
+    rows = [(f"h{r.randint(0, 40)}", r.choice("pq"), f"t{r.randint(0, 6)}") for _ in range(400)]  # some facts twice
+    f = cut(spark.createDataFrame(rows, FACTS))
+    needed = spark.createDataFrame([(["p", "p"],), (["p", "q"],), (["q", "q"],)], "rels array<string>")
+    told = lambda df: {tuple(x.rels): x.f for x in df.collect()}
+    want = {}
+    for a, b in (("p", "p"), ("p", "q"), ("q", "q")):
+        met = [(h, h2) for h, x, t in rows for h2, y, t2 in rows if t == t2 and (x, y) == (a, b) and (a != b or h < h2)]
+        want[a, b] = len(set(met)) / len(met)
+    monkeypatch.setattr(fun, "PAIRS_A_ROW", 1e9)
+    assert told(fun.global_lists(f, needed, 2)) == pytest.approx(want)
+    monkeypatch.setattr(fun, "PAIRS_A_ROW", 0)
+    monkeypatch.setattr(fun, "BLOCK", 60)
+    assert cut(fun.dense_pairs(f, needed)).filter("left > 1 AND right > 1").count() == 3
+    assert told(fun.global_lists(f, needed, 2)) == pytest.approx(want)
+    block = pa.table({"k": [7] * 800, "same": [True] * 800, "side": [1] * 400 + [0] * 400, "h": [x[0] for x in rows] * 2, "t": [x[2] for x in rows] * 2}).to_batches()
+    whole = fun._pair_block(block).to_pylist()
+    monkeypatch.setattr(fun, "_PAIRS", 50)
+    assert fun._pair_block(block).to_pylist() == whole
+
+
 def test_delta_equals_full_and_alternative_form(spark):
     tables = system(spark, [("min", ["a", "b"], "c"), ("hmean", ["c", "a"], "b"), ("mean", ["b", "c"], "d")], {"a": 0.8, "b": 0.3, "c": 0.1, "d": 0.0})
     one, two = ({x.var: x.value for x in fis.solve(*tables, epsilon=1e-3, rounds=12, delta=d).collect()} for d in (True, False))
