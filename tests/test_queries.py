@@ -97,6 +97,12 @@ def test_facts_are_not_broadcast(spark, tiny_dir):
         assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
 
 
+@pytest.mark.parametrize("name", ["fis_violations", "fis_minimality"])
+def test_systems_of_parts_are_not_broadcast(spark, tiny_dir, name):
+    plan = registry.queries()[name](spark, tiny_dir)._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "Broadcast" not in plan
+
+
 @pytest.mark.parametrize("mode", ["append", "complete"])
 def test_drained_streams_are_written_tables(spark, tmp_path, mode):
     rows = spark.createDataFrame([(i, f"k{i % 3}") for i in range(30)], "n int, k string")
