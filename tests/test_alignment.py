@@ -3,6 +3,7 @@
 import math
 import random
 
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -258,8 +259,6 @@ def test_functionality_in_a_run_is_exact_whatever_the_size(spark):
 
 
 def test_pairs_in_blocks_equal_enumeration(spark, monkeypatch):
-    import pyarrow as pa
-
     r = random.Random(9)
     rows = [(f"h{r.randint(0, 40)}", r.choice("pq"), f"t{r.randint(0, 6)}") for _ in range(400)]  # some facts twice
     f = cut(spark.createDataFrame(rows, FACTS))
@@ -281,6 +280,31 @@ def test_pairs_in_blocks_equal_enumeration(spark, monkeypatch):
     assert fun._pair_block(block).to_pylist() == whole
 
 
+def test_best_strings_in_blocks_equal_proposed_ones(spark, monkeypatch):
+    """Names that differ in a number only have common grams in their prefixes, so these would propose all pairs."""
+    r = random.Random(3)
+    a = spark.createDataFrame([(f"Supplier#{r.randint(0, 9999):09}",) for _ in range(150)] + [("é",), ("",), ("a long name of words",)], "s string")
+    b = spark.createDataFrame([(f"supplier {r.randint(0, 9999):09}",) for _ in range(130)] + [("É",), ("",), ("a long name of worlds",), ("zzz",)], "s string")
+    told = lambda: sorted((x.s, x.s2, round(x.sim, 8)) for x in literals.strings_similar(a, b).collect())
+    monkeypatch.setattr(literals, "FEW_PAIRS", 0)
+    monkeypatch.setattr(literals, "DEAR", 0)
+    want = told()
+    assert len(want) > 50
+    for changes in ({"DEAR": 300}, {"FEW_PAIRS": 10**8}, {"STRINGS": 40}):
+        for k, v in changes.items():
+            monkeypatch.setattr(literals, k, v)
+        assert told() == want
+    plan = literals.strings_similar(a, b)._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapGroupsInArrow" in plan and "SortMergeJoin" not in plan  # no table of proposed pairs
+    table = pa.table({"s": [x.s for x in a.collect()] + [x.s for x in b.collect()], "side": [1] * 153 + [0] * 134})
+    table = table.append_column("text", pa.array([x.lower() for x in table.column("s").to_pylist()]))
+    key = lambda t: {(x["s"], x["s2"], round(x["sim"], 8)) for x in t.to_pylist()}
+    whole = key(literals._best_strings(table, 0.7))
+    for name, value in (("_SIMS", 700), ("_KEPT", 10), ("_DENSE", 2)):
+        monkeypatch.setattr(literals, name, value)
+        assert key(literals._best_strings(table, 0.7)) == whole
+
+
 def test_delta_equals_full_and_alternative_form(spark):
     tables = system(spark, [("min", ["a", "b"], "c"), ("hmean", ["c", "a"], "b"), ("mean", ["b", "c"], "d")], {"a": 0.8, "b": 0.3, "c": 0.1, "d": 0.0})
     one, two = ({x.var: x.value for x in fis.solve(*tables, epsilon=1e-3, rounds=12, delta=d).collect()} for d in (True, False))
