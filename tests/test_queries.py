@@ -90,6 +90,29 @@ def test_lsh_best_equal_all_pairs_that_meet(spark):
     assert not [x for x in plan.splitlines() if "hashpartitioning(id" in x and "id2" in x]
 
 
+def test_lsh_pairs_are_no_rows_and_blocks_change_nothing(spark, monkeypatch):
+    v = [(i, [float((i % 30 * 7 + j * j) % 11) - 5.0 + (j == i % 8) for j in range(8)]) for i in range(120)] + [(200, None), (201, [0.0] * 8), (202, [1.0, 2.0]), (203, [])]  # vectors of 120 ids are 30 or so, so there are ties
+    a = spark.createDataFrame(v, "id long, v array<double>").filter("id <> 203")
+    b = spark.createDataFrame(v, "id2 long, v2 array<double>")
+    brute = {}
+    for i, x in v:
+        for j, y in v:
+            if x and y and len(x) == len(y) and any(x) and any(y):
+                dot = sum(p * q for p, q in zip(x, y, strict=True))
+                sim = round(dot / (sum(p * p for p in x) * sum(q * q for q in y)) ** 0.5, 9)
+                if sim >= 0.7 and (i not in brute or (-sim, j) < brute[i]):
+                    brute[i] = (-sim, j)
+    want = sorted((i, j, -sim) for i, (sim, j) in brute.items())
+    told = lambda **c: sorted((r.id, r.id2, round(r.sim, 9)) for r in literals.vector_lsh(a, b, dimension=8, **c).collect())
+    assert told(tables=2, bits=0) == want
+    some = told(tables=3, bits=2)
+    assert 0 < len(some)
+    monkeypatch.setattr(literals, "VECTORS", 7)  # a key is dealt over several blocks
+    assert told(tables=2, bits=0) == want and told(tables=3, bits=2) == some
+    plan = literals.vector_lsh(a, b, dimension=8)._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapCoGroupsInArrow" in plan and "SortMergeJoin" not in plan
+
+
 def test_facts_are_not_broadcast(spark, tiny_dir):
     f = facts.with_inverse(facts.build(spark, tiny_dir, PART))
     for df in (fun.pairs(f), fun.pair_counts(f), fun.enumerate_lists(f, 2), fun.pair_mean_local(f)):
