@@ -113,6 +113,15 @@ def test_lsh_pairs_are_no_rows_and_blocks_change_nothing(spark, monkeypatch):
     assert "FlatMapCoGroupsInArrow" in plan and "SortMergeJoin" not in plan
 
 
+def test_dense_twin_runs_until_settled(monkeypatch):
+    from graphweld.plans.engine import Params
+    from graphweld.workloads import more_queries
+
+    monkeypatch.setattr(more_queries, "quality", lambda spark, d, twin, method, **changes: (twin, changes))
+    twin, changes = registry.queries()["align_wide_dense15"](None, "")
+    assert twin == "dense15" and changes["rounds"] > Params().rounds and changes["longest"] == 2
+
+
 def test_facts_are_not_broadcast(spark, tiny_dir):
     f = facts.with_inverse(facts.build(spark, tiny_dir, PART))
     for df in (fun.pairs(f), fun.pair_counts(f), fun.enumerate_lists(f, 2), fun.pair_mean_local(f)):
